@@ -5,13 +5,13 @@ lower-cased. Keys of at least `min_chars` code points found in at least
 `min_docs` documents lose all their lines except those of the largest doc_id
 that holds the key.
 
-Plan: each document yields one row per distinct key, with the key's 64-bit hash
-and the positions of its lines; no text moves. Rows go to equal ranges of the
-hash space, sorted there by hash, document and position. A key's holders are
-counted from partial counts per (hash, document), so a line that a third of
-the documents share arrives as a few rows, and the join that reads the counts
-back is of the kind whose hot partitions Spark splits. What comes back to a
-document is a run-length keep bitmap.
+Plan: each long line yields a row of the key's 64-bit hash, document and
+position; no text moves. Rows go to ranges of (hash, document), sorted there by
+hash, document and position, and the first line of each key and document is
+streamed off. A key's holders are counted from partial counts, so a line that
+a third of the documents share arrives as a few rows, and the join that reads
+the counts back is of the kind whose hot partitions Spark splits. What comes
+back to a document is a run-length keep bitmap.
 
 Defined cases: a null or empty text is one empty line; rows that share a doc_id
 are one document for the counts and each gets the bitmap of its own lines; a
@@ -50,8 +50,13 @@ def line_hits(docs: DataFrame, min_chars: int = 20) -> DataFrame:
 
 def line_bitmaps(docs: DataFrame, min_chars: int = 20, min_docs: int = 3) -> DataFrame:
     """doc_id, row_key, n_lines, n_dropped, dropped: for documents that lose lines, the sorted runs [from, to) of dropped line numbers."""
-    hits = line_hits(docs, min_chars)
-    holders = hits.groupBy("hash", "doc_id").agg(F.lit(1).alias("one")).groupBy("hash").agg(F.count("one").alias("holders"), F.max("doc_id").alias("keeper")).where(F.col("holders") >= min_docs)
+    spark = docs.sparkSession
+    hits = common.stored(spark, line_hits(docs, min_chars), "line-hits")
+    # Ranges of (hash, document): a key that very many documents hold spans several of them.
+    ranged = hits.repartitionByRange(common.partitions(spark), "hash", "doc_id").sortWithinPartitions("hash", "doc_id", "pos")
+    firsts = ranged.groupBy("hash", "doc_id").agg(F.min("pos").alias("pos"))
+    counted = firsts.groupBy("hash").agg(F.count(F.lit(1)).alias("holders"), F.max("doc_id").alias("keeper")).where(F.col("holders") >= min_docs)
+    holders = common.stored(spark, counted, "line-holders")  # stored, so that both sides of the join are plain exchanges, whose hot partitions Spark splits
     lost = hits.join(holders, "hash").where(F.col("doc_id") < F.col("keeper"))
     drops = lost.groupBy("doc_id", "row_key").agg(F.array_sort(F.collect_set("pos")).alias("at"))
     return drops.select("doc_id", "row_key", F.size("at").cast("long").alias("n_dropped"), runs(F.col("at")).alias("dropped"))

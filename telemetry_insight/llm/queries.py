@@ -2,17 +2,22 @@
 
 from __future__ import annotations
 
-from . import chat_quotes, line_dedup, sharding, substring_dedup
+from . import archives, chat_quotes, decontaminate, line_dedup, sharding, substring_dedup, topk, toxicity
 
 QUERIES = {
     "op1_line_dedup": line_dedup.op1_line_dedup,
+    "op2_toxicity": toxicity.op2_toxicity,
+    "op3_decontaminate": decontaminate.op3_decontaminate,
     "op5_sharding": sharding.op5_sharding,
+    "op6_warc": archives.op6_warc,
     "op7_chat_quotes": chat_quotes.op7_chat_quotes,
+    "op8_topk": topk.op8_topk,
     "op10_substring_dedup": substring_dedup.op10_substring_dedup,
 }
 
 SQL = {
     "op1_line_dedup": line_dedup.OP1_SQL,
     "op7_chat_quotes": chat_quotes.OP7_SQL,
+    "op8_topk": topk.OP8_SQL,
     "op10_substring_dedup": substring_dedup.OP10_SQL,
 }

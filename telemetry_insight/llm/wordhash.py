@@ -46,6 +46,9 @@ _FOLD = np.arange(256, dtype=np.uint8)
 _FOLD[65:91] += 32
 _GAP = np.zeros(256, bool)
 _GAP[[32, 9, 10, 11, 12, 13]] = True
+#: Also ASCII punctuation, for words without it.
+_PUNCTUATED = _GAP.copy()
+_PUNCTUATED[[i for i in range(33, 127) if not chr(i).isalnum()]] = True
 
 
 def buffers(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -65,12 +68,12 @@ def buffers(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return raw[offsets[0] : offsets[-1]], offsets - offsets[0]
 
 
-def _piece(raw: np.ndarray, offsets: np.ndarray, lower: bool) -> tuple[np.ndarray, np.ndarray]:
+def _piece(raw: np.ndarray, offsets: np.ndarray, lower: bool, punctuation: bool) -> tuple[np.ndarray, np.ndarray]:
     """Word hashes of some rows and the number of words of each."""
     rows = len(offsets) - 1
     if not len(raw):
         return np.zeros(0, np.uint64), np.zeros(rows, np.int64)
-    gap = _GAP[raw]
+    gap = (_PUNCTUATED if punctuation else _GAP)[raw]
     first = ~gap
     edge = np.zeros(len(raw) + 1, bool)
     edge[offsets[:-1]] = True
@@ -89,15 +92,15 @@ def _piece(raw: np.ndarray, offsets: np.ndarray, lower: bool) -> tuple[np.ndarra
     return mix(hashes), counts
 
 
-def word_hashes(texts: pa.Array, lower: bool = False) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes of all words in row order, and the row pointer (rows + 1 entries) into them."""
+def word_hashes(texts: pa.Array, lower: bool = False, punctuation: bool = False) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of all words in row order, and the row pointer (rows + 1 entries) into them. punctuation: ASCII punctuation parts words too."""
     raw, offsets = buffers(texts)
     rows = len(offsets) - 1
     found, counts, at = [], [], 0
     while at < rows:  # slices of about a MB keep the 8-byte arrays in cache
         to = max(at + 1, int(np.searchsorted(offsets, offsets[at] + _SLICE, "right")) - 1)
         to = min(to, rows)
-        h, n = _piece(raw[offsets[at] : offsets[to]], offsets[at : to + 1] - offsets[at], lower)
+        h, n = _piece(raw[offsets[at] : offsets[to]], offsets[at : to + 1] - offsets[at], lower, punctuation)
         found.append(h)
         counts.append(n)
         at = to
