@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import archives, chat_quotes, decontaminate, line_dedup, sharding, substring_dedup, topk, toxicity
+from . import archives, chat_quotes, decontaminate, jaccard_join, line_dedup, sharding, substring_dedup, topk, toxicity
 
 QUERIES = {
     "op1_line_dedup": line_dedup.op1_line_dedup,
@@ -12,6 +12,7 @@ QUERIES = {
     "op6_warc": archives.op6_warc,
     "op7_chat_quotes": chat_quotes.op7_chat_quotes,
     "op8_topk": topk.op8_topk,
+    "op9_jaccard_join": jaccard_join.op9_jaccard_join,
     "op10_substring_dedup": substring_dedup.op10_substring_dedup,
 }
 
@@ -19,5 +20,6 @@ SQL = {
     "op1_line_dedup": line_dedup.OP1_SQL,
     "op7_chat_quotes": chat_quotes.OP7_SQL,
     "op8_topk": topk.OP8_SQL,
+    "op9_jaccard_join": jaccard_join.OP9_SQL,
     "op10_substring_dedup": substring_dedup.OP10_SQL,
 }
