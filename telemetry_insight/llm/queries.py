@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from . import archives, chat_quotes, decontaminate, jaccard_join, line_dedup, sharding, substring_dedup, topk, toxicity
+from . import archives, chat_quotes, decontaminate, jaccard_join, line_dedup, piece_lattice, sharding, substring_dedup, topk, toxicity
 
 QUERIES = {
     "op1_line_dedup": line_dedup.op1_line_dedup,
     "op2_toxicity": toxicity.op2_toxicity,
     "op3_decontaminate": decontaminate.op3_decontaminate,
+    "op4_sentencepiece": piece_lattice.op4_sentencepiece,
     "op5_sharding": sharding.op5_sharding,
     "op6_warc": archives.op6_warc,
     "op7_chat_quotes": chat_quotes.op7_chat_quotes,
