@@ -209,7 +209,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.5, overlap
         index = Index(sorted((r["item_id"], r["text"]) for r in part.collect()), threshold)
 
         def run(batches: Iterator[pa.RecordBatch], index: Index = index) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
+            for batch in (x for whole in batches for x in wordhash.slices(whole)):
                 rows = index.leaks(batch.column("doc_id").to_pylist(), batch.column("text"), overlap)
                 if rows:
                     kinds = [("doc_id", pa.int64()), ("item_id", pa.int64()), ("score", pa.float64()), ("question_overlap", pa.float64()), ("answer_overlap", pa.float64())]

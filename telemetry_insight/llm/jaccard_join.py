@@ -12,9 +12,9 @@ ones. Elements go by how common they are in a fixed-size count sketch, then by
 hash, so common passages come last; any order gives the same result.
 
 Groups of copies never become all pairs. Equal sets are one class from the
-start. Each class is compared with one leader of its lists, and the links found
+start. Each class is compared with the nearest leader of its lists, and the links found
 so are joined into components; only classes of a common list that are still in
-different components are compared one by one, after a bound on their difference from 512-bit parity maps.
+different components are compared one by one, after a bound on their difference from their parity maps.
 Every linked pair is therefore compared or already connected, and components are exact.
 
 Defined cases: words are runs without ASCII white space, A-Z lower-cased; a
@@ -37,8 +37,7 @@ from pyspark.sql import functions as F
 from . import common, wordhash
 from .components import components
 
-SKETCH_BITS, SEGMENTS = 20, 64
-PARITY_BITS = 512
+SKETCH_BITS, SEGMENTS = 22, 256
 _EMPTY = 0
 
 
@@ -73,9 +72,29 @@ def class_id(s: np.ndarray) -> int:
 
 
 def parity_map(s: np.ndarray) -> bytes:
-    """Which of PARITY_BITS places an odd number of elements fall on: two maps differ in no more places than the sets do in elements."""
-    odd = np.bincount((s >> np.uint64(20)).astype(np.int64) % PARITY_BITS, minlength=PARITY_BITS) & 1
-    return np.packbits(odd.astype(np.uint8)).tobytes()
+    """Which places an odd number of elements fall on: two maps differ in no more places than the sets do in elements.
+
+    The places grow with the set, a power of two of them; halves of a map, one upon the other, are the map of half the places.
+    """
+    places = max(256, 1 << int(max(1, 2 * len(s)) - 1).bit_length())
+    odd = np.bincount(((s >> np.uint64(20)) & np.uint64(places - 1)).astype(np.int64), minlength=places) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").tobytes()
+
+
+def _map_bits(maps: list[bytes], size: int) -> np.ndarray:
+    """Maps as rows of 64-bit words, folded to `size` bytes."""
+    out = np.empty((len(maps), size // 8), np.uint64)
+    for i, m in enumerate(maps):
+        x = np.frombuffer(m, np.uint64)
+        while len(x) > size // 8:
+            x = x[: len(x) // 2] ^ x[len(x) // 2 :]
+        out[i] = x
+    return out
+
+
+def _may_link(apart: np.ndarray, both: np.ndarray, percent: int) -> np.ndarray:
+    """Whether sets that differ in `apart` places at least, of `both` elements together, can reach the similarity."""
+    return apart * (100 + percent) <= (100 - percent) * both
 
 
 def _need(n: int, percent: int) -> int:
@@ -83,24 +102,24 @@ def _need(n: int, percent: int) -> int:
 
 
 def _describe(width: int):
-    """doc_id, n and class of each document; at the end of a task, its counts of elements in sketch segments."""
+    """doc_id, n, class and parity map of each document; at the end of a task, its counts of elements in sketch segments."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts = np.zeros(1 << SKETCH_BITS, np.uint32)
-        for batch in batches:
+        for batch in (x for whole in batches for x in wordhash.slices(whole)):
             sets = element_sets(batch.column("text"), width)
             every = np.concatenate(sets) if sets else np.zeros(0, np.uint64)
             counts += np.bincount((every >> np.uint64(64 - SKETCH_BITS)).astype(np.int64), minlength=1 << SKETCH_BITS).astype(np.uint32)
             rows = len(sets)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([len(s) for s in sets], pa.int64()), pa.array([class_id(s) for s in sets], pa.int64()), pa.nulls(rows, pa.int32()), pa.nulls(rows, pa.binary())], names=_DESCRIBED)
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([len(s) for s in sets], pa.int64()), pa.array([class_id(s) for s in sets], pa.int64()), pa.array([parity_map(s) for s in sets], pa.binary()), pa.nulls(rows, pa.int32()), pa.nulls(rows, pa.binary())], names=_DESCRIBED)
         parts = counts.reshape(SEGMENTS, -1)
         if counts.any():
-            yield pa.RecordBatch.from_arrays([pa.nulls(SEGMENTS, pa.int64()), pa.nulls(SEGMENTS, pa.int64()), pa.nulls(SEGMENTS, pa.int64()), pa.array(range(SEGMENTS), pa.int32()), pa.array([zlib.compress(p.tobytes(), 1) for p in parts], pa.binary())], names=_DESCRIBED)
+            yield pa.RecordBatch.from_arrays([pa.nulls(SEGMENTS, pa.int64()), pa.nulls(SEGMENTS, pa.int64()), pa.nulls(SEGMENTS, pa.int64()), pa.nulls(SEGMENTS, pa.binary()), pa.array(range(SEGMENTS), pa.int32()), pa.array([zlib.compress(p.tobytes(), 1) for p in parts], pa.binary())], names=_DESCRIBED)
 
     return run
 
 
-_DESCRIBED = ["doc_id", "n", "class", "seg", "counts"]
+_DESCRIBED = ["doc_id", "n", "class", "parity", "seg", "counts"]
 
 
 def _add(table: pa.Table) -> pa.Table:
@@ -110,7 +129,7 @@ def _add(table: pa.Table) -> pa.Table:
 
 
 def _sketch(described: DataFrame) -> np.ndarray:
-    """The summed counts: a fixed 4 MB, whatever the corpus."""
+    """The summed counts: a fixed 16 MB, whatever the corpus."""
     rows = described.where("seg is not null").select("seg", "counts").withColumn("part", F.pmod(F.xxhash64("counts"), F.lit(32)))
     once = rows.groupBy("seg", "part").applyInArrow(_add, "seg int, counts binary")
     got = {r["seg"]: r["counts"] for r in once.groupBy("seg").applyInArrow(_add, "seg int, counts binary").collect()}
@@ -131,7 +150,7 @@ def choose_boundary(sizes: dict[int, int], list_length: float, percent: int, mos
 
 def _postings(width: int, percent: int, boundary: int, level: np.ndarray):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in (x for whole in batches for x in wordhash.slices(whole)):
             keys, sizes, owners, seen = [], [], [], set()
             for s in element_sets(batch.column("text"), width):
                 n, own = len(s), class_id(s)
@@ -201,12 +220,29 @@ def _shared(percent: int):
 
 
 def _classes(width: int):
-    """class, n, parity map and text of documents."""
+    """class and text of documents."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in (x for whole in batches for x in wordhash.slices(whole)):
             sets = element_sets(batch.column("text"), width)
-            yield pa.RecordBatch.from_arrays([pa.array([class_id(s) for s in sets], pa.int64()), pa.array([parity_map(s) for s in sets], pa.binary()), batch.column("text")], names=["class", "parity", "text"])
+            yield pa.RecordBatch.from_arrays([pa.array([class_id(s) for s in sets], pa.int64()), batch.column("text")], names=["class", "text"])
+
+    return run
+
+
+def _nearest_leader(percent: int):
+    """Pairs of class and leader with sizes and parity maps: those that may link, with the places they differ in."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            apart = []
+            for x, y in zip(batch.column("parity").to_pylist(), batch.column("leader_parity").to_pylist(), strict=True):
+                u, v = _map_bits([x, y], min(len(x), len(y)))
+                apart.append(int(np.bitwise_count(u ^ v).sum()))
+            far = np.array(apart, np.int64)
+            keep = np.flatnonzero(_may_link(far, batch.column("n").to_numpy() + batch.column("leader_n").to_numpy(), percent))
+            if len(keep):
+                yield pa.RecordBatch.from_arrays([batch.column("class").take(pa.array(keep)), batch.column("leader").take(pa.array(keep)), pa.array(far[keep])], names=["class", "leader", "apart"])
 
     return run
 
@@ -216,7 +252,7 @@ def _verified(width: int, percent: int):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         last, known = None, None
-        for batch in batches:
+        for batch in (x for whole in batches for x in wordhash.slices(whole, "b_text")):
             a, b = batch.column("a").to_pylist(), batch.column("b").to_pylist()
             others = element_sets(batch.column("b_text"), width)
             keep = []
@@ -247,7 +283,6 @@ def _crossing(percent: int):
     """From shared postings with components, sorted by key: pairs of different components that size and parity maps allow."""
 
     def pairs(n: np.ndarray, own: np.ndarray, comp: np.ndarray, parity: list[bytes]) -> list[np.ndarray]:
-        bits = np.frombuffer(b"".join(parity), np.uint64).reshape(len(n), -1)
         out, at = [], 0
         while at < len(n):  # rows in blocks against the later ones within reach by size
             to = min(len(n), at + 256)
@@ -256,12 +291,15 @@ def _crossing(percent: int):
             i, j = i + at, j + at
             ok = (comp[i] != comp[j]) & (100 * n[i] >= percent * n[j])
             i, j = i[ok], j[ok]
-            for k in range(0, len(i), 1 << 17):
-                x, y = i[k : k + (1 << 17)], j[k : k + (1 << 17)]
-                apart = np.bitwise_count(bits[x] ^ bits[y]).sum(1, dtype=np.int64)
-                # |A ^ B| <= (100 - p) / (100 + p) * (|A| + |B|)
-                ok = apart * (100 + percent) <= (100 - percent) * (n[x].astype(np.int64) + n[y])
-                out.append(np.column_stack([own[x[ok]], own[y[ok]]]))
+            if len(i):
+                # Sizes go up, and so do map sizes: the first row's is the smallest here.
+                bits = _map_bits(parity[at:reach], len(parity[at]))
+                step = max(1, (1 << 20) // bits.shape[1])
+                for k in range(0, len(i), step):
+                    x, y = i[k : k + step], j[k : k + step]
+                    apart = np.bitwise_count(bits[x - at] ^ bits[y - at]).sum(1, dtype=np.int64)
+                    ok = _may_link(apart, n[x].astype(np.int64) + n[y], percent)
+                    out.append(np.column_stack([own[x[ok]], own[y[ok]]]))
             at = to
         return out
 
@@ -297,12 +335,12 @@ def near_components(docs: DataFrame, width: int = 5, percent: int = 80) -> DataF
     """doc_id, n_shingles, component_id: the set's size and the smallest doc_id reachable over links of at least percent / 100."""
     spark = docs.sparkSession
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    described = common.stored(spark, texts.mapInArrow(_describe(width), "doc_id long, n long, class long, seg int, counts binary"), "sets")
+    described = common.stored(spark, texts.mapInArrow(_describe(width), "doc_id long, n long, class long, parity binary, seg int, counts binary"), "sets")
     sets = described.where("n is not null").select("doc_id", "n", "class")
     # The order of elements, and the boundary between light and heavy sets.
     sketch = _sketch(described)
-    mean = max(1.0, sketch.mean())
-    level = np.floor(np.log2(np.maximum(1, sketch / (4 * mean + 16)))).astype(np.uint8)
+    mean = max(1.0, float(sketch.mean()))
+    level = np.minimum(255, 8 * np.log2(1 + sketch / mean)).astype(np.uint8)
     excess = max(0.0, float((sketch.astype(float) ** 2).sum() / max(1, sketch.sum(dtype=np.int64)) - mean))
     sizes = {r["n"]: r["c"] for r in sets.where("n between 2 and 200").groupBy("n").agg(F.count(F.lit(1)).alias("c")).collect()}
     boundary = choose_boundary(sizes, min(excess, 64.0), percent)
@@ -310,21 +348,30 @@ def near_components(docs: DataFrame, width: int = 5, percent: int = 80) -> DataF
     postings = texts.select("text").where(F.length("text") > 0).mapInArrow(_postings(width, percent, boundary, level), "key long, n int, class long")
     parts = common.partitions(spark)
     lists = common.stored(spark, postings.repartition(parts, "key").sortWithinPartitions("key", "n", "class").mapInArrow(_shared(percent), "key long, n int, class long, leader long"), "lists")
-    wanted = common.stored(spark, lists.select("class").distinct(), "wanted")
-    holders = common.stored(spark, sets.groupBy("class").agg(F.min("doc_id").alias("doc_id")).join(wanted, "class", "left_semi").select("doc_id"), "holders")
-    candidates = texts.join(holders.distinct(), "doc_id", "left_semi").select("text").mapInArrow(_classes(width), "class long, parity binary, text string").dropDuplicates(["class"])
-    candidates = common.stored(spark, candidates, "candidates")
-    # Each class against the leader it shares most lists with.
-    led = lists.where("class <> leader").groupBy("class", "leader").agg(F.count(F.lit(1)).alias("c")).groupBy("class").agg(F.max(F.struct("c", "leader")).alias("best"))
-    first = common.stored(spark, _links(led.select(F.col("best.leader").alias("a"), F.col("class").alias("b")), candidates, width, percent), "links")
+    classes = described.where("n > 0").groupBy("class").agg(F.min("doc_id").alias("doc_id"), F.first("n").alias("n"), F.first("parity").alias("parity"))
+    classes = common.stored(spark, classes.join(lists.select("class").distinct(), "class", "left_semi"), "classes")
+
+    def links(pairs: DataFrame) -> DataFrame:
+        """The pairs (a, b) that link, from the texts of their classes."""
+        asked = pairs.select(F.col("a").alias("class")).union(pairs.select(F.col("b").alias("class"))).distinct()
+        holders = common.stored(spark, classes.join(asked, "class", "left_semi").select("doc_id").distinct(), "holders")
+        found = texts.join(holders, "doc_id", "left_semi").select("text").mapInArrow(_classes(width), "class long, text string").dropDuplicates(["class"])
+        return common.stored(spark, _links(pairs, common.stored(spark, found, "candidates"), width, percent), "links")
+
+    # Each class against the leader of its lists that it differs from least.
+    lead = classes.select(F.col("class").alias("leader"), F.col("n").alias("leader_n"), F.col("parity").alias("leader_parity"))
+    led = lists.where("class <> leader").select("class", "leader").distinct().join(classes.select("class", "n", "parity"), "class").join(lead, "leader")
+    near = led.select("class", "leader", "n", "leader_n", "parity", "leader_parity").mapInArrow(_nearest_leader(percent), "class long, leader long, apart long")
+    best = near.groupBy("class").agg(F.min(F.struct("apart", "leader")).alias("best")).select(F.col("best.leader").alias("a"), F.col("class").alias("b"))
+    first = links(common.stored(spark, best, "led"))
     joined = components(first)
     # What is still apart in a list, pair by pair.
     placed = lists.join(joined.withColumnRenamed("node", "class"), "class", "left").select("key", "n", "class", F.coalesce("component", "class").alias("component"))
     placed = common.stored(spark, placed, "placed")
     mixed = common.stored(spark, placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi").select("key"), "mixed")
-    apart = placed.join(mixed, "key", "left_semi").join(candidates.select("class", "parity"), "class").repartition(parts, "key").sortWithinPartitions("key", "n", "class")
+    apart = placed.join(mixed, "key", "left_semi").join(classes.select("class", "parity"), "class").repartition(parts, "key").sortWithinPartitions("key", "n", "class")
     pairs = common.stored(spark, apart.select("key", "n", "class", "component", "parity").mapInArrow(_crossing(percent), "a long, b long").distinct(), "pairs")
-    second = common.stored(spark, _links(pairs, candidates, width, percent), "links")
+    second = links(pairs)
     every = components(first.union(second))
     return _labelled(sets, every)
 

@@ -100,7 +100,7 @@ class Model:
 
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Bigram counts of a batch: class, hashes of the word before, the word and the pair, count."""
-    for batch in batches:
+    for batch in (x for whole in batches for x in wordhash.slices(whole)):
         words, ends = wordhash.word_hashes(batch.column("text"), lower=True, punctuation=True)
         if not len(words):
             continue
@@ -181,7 +181,7 @@ def score(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> Dat
         return own.withColumn("score", F.lit(float(model))).withColumn("predicted", (F.col("score") >= 0.5).cast("int"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in (x for whole in batches for x in wordhash.slices(whole)):
             got = model.score(batch.column("text"))
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(got), pa.array((got >= 0.5).astype(np.int32))], names=[*batch.schema.names, "score", "predicted"])
 

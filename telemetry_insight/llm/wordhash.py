@@ -8,6 +8,7 @@ hash with a chance of about 2**-64.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from functools import cache
 
 import numpy as np
@@ -123,3 +124,15 @@ def windows(words: np.ndarray, ends: np.ndarray, width: int) -> tuple[np.ndarray
     sums = np.zeros(len(words) + 1, np.uint64)
     np.cumsum(words * up[: len(words)], out=sums[1:])
     return mix((sums[index + width] - sums[index]) * down[index]), index, ptr
+
+
+def slices(batch: pa.RecordBatch, column: str = "text", size: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+    """A batch in slices of about `size` bytes of a text column, one row at least: the 8-byte arrays over its words stay small."""
+    texts = batch.column(column)
+    offsets = np.frombuffer(texts.buffers()[1], np.int64 if pa.types.is_large_string(texts.type) else np.int32)[texts.offset : texts.offset + len(texts) + 1] if len(texts) else np.zeros(1, np.int64)
+    at = 0
+    while at < len(texts):
+        to = max(at + 1, int(np.searchsorted(offsets, int(offsets[at]) + size, "right")) - 1)
+        to = min(to, len(texts))
+        yield batch.slice(at, to - at)
+        at = to
