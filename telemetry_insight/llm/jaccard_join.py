@@ -74,9 +74,9 @@ def class_id(s: np.ndarray) -> int:
 def parity_map(s: np.ndarray) -> bytes:
     """Which places an odd number of elements fall on: two maps differ in no more places than the sets do in elements.
 
-    The places grow with the set, a power of two of them; halves of a map, one upon the other, are the map of half the places.
+    The places grow with the set up to 4096, a power of two of them; halves of a map, one upon the other, are the map of half the places.
     """
-    places = max(256, 1 << int(max(1, 2 * len(s)) - 1).bit_length())
+    places = min(4096, max(256, 1 << int(max(1, len(s)) - 1).bit_length()))
     odd = np.bincount(((s >> np.uint64(20)) & np.uint64(places - 1)).astype(np.int64), minlength=places) & 1
     return np.packbits(odd.astype(np.uint8), bitorder="little").tobytes()
 
@@ -279,8 +279,69 @@ def _links(pairs: DataFrame, texts: DataFrame, width: int, percent: int) -> Data
     return held.sortWithinPartitions("a").select("a", "b", "a_text", "b_text").mapInArrow(_verified(width, percent), "a long, b long")
 
 
+def _whole_lists(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, list[bytes]]]:
+    """From postings sorted by key and n: sizes, classes, components and parity maps of one list after another."""
+    rest: pa.Table | None = None
+    for batch in chain(batches, [None]):
+        if batch is not None:
+            here = pa.Table.from_batches([batch])
+            rest = here if rest is None else pa.concat_tables([rest, here])
+            keys = rest["key"].to_numpy()
+            cut = int(np.flatnonzero(keys == keys[-1])[0])
+            now, rest = rest.slice(0, cut), rest.slice(cut)
+        elif rest is not None:
+            now, rest = rest, None
+        else:
+            return
+        if not now.num_rows:
+            continue
+        key, n, own, comp = (now[c].to_numpy() for c in ("key", "n", "class", "component"))
+        parity = now["parity"].to_pylist()
+        begins = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1])))
+        for a, b in zip(begins.tolist(), np.append(begins[1:], len(key)).tolist(), strict=True):
+            yield n[a:b].astype(np.int64), own[a:b], comp[a:b], parity[a:b]
+
+
+LEADERS = 16
+
+
+def _scattered(percent: int):
+    """Each class with the nearest of LEADERS members of its list, of another component, that it may link with: at most one pair a posting."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        out: list[np.ndarray] = []
+        for n, own, comp, parity in _whole_lists(batches):
+            if (comp == comp[0]).all():
+                continue
+            heads = np.sort(np.argsort(wordhash.mix(own.view(np.uint64)), kind="stable")[:LEADERS])
+            best, who = np.full(len(n), np.iinfo(np.int64).max), np.full(len(n), -1, np.int64)
+            bits = _map_bits(parity, len(parity[0]))
+            for h in heads.tolist():
+                apart = np.bitwise_count(bits ^ bits[h]).sum(1, dtype=np.int64)
+                ok = (comp != comp[h]) & (100 * np.minimum(n, n[h]) >= percent * np.maximum(n, n[h])) & _may_link(apart, n + n[h], percent) & (apart < best)
+                best[ok], who[ok] = apart[ok], own[h]
+            hit = np.flatnonzero(best < np.iinfo(np.int64).max)
+            if len(hit):
+                out.append(np.column_stack([own[hit], who[hit], best[hit]]))
+            if sum(map(len, out)) > 100_000:
+                yield _best_rows(out)
+                out = []
+        if out:
+            yield _best_rows(out)
+
+    return run
+
+
+def _best_rows(found: list[np.ndarray]) -> pa.RecordBatch:
+    """One row a class: its nearest leader here."""
+    every = np.concatenate(found)
+    every = every[np.lexsort((every[:, 1], every[:, 2], every[:, 0]))]
+    first = np.concatenate(([True], every[1:, 0] != every[:-1, 0]))
+    return pa.RecordBatch.from_arrays([pa.array(every[first, i]) for i in range(3)], names=["class", "leader", "apart"])
+
+
 def _crossing(percent: int):
-    """From shared postings with components, sorted by key: pairs of different components that size and parity maps allow."""
+    """Pairs of different components of a list that sizes and parity maps allow: all of them."""
 
     def pairs(n: np.ndarray, own: np.ndarray, comp: np.ndarray, parity: list[bytes]) -> list[np.ndarray]:
         out, at = [], 0
@@ -298,35 +359,23 @@ def _crossing(percent: int):
                 for k in range(0, len(i), step):
                     x, y = i[k : k + step], j[k : k + step]
                     apart = np.bitwise_count(bits[x - at] ^ bits[y - at]).sum(1, dtype=np.int64)
-                    ok = _may_link(apart, n[x].astype(np.int64) + n[y], percent)
+                    ok = _may_link(apart, n[x] + n[y], percent)
                     out.append(np.column_stack([own[x[ok]], own[y[ok]]]))
             at = to
         return out
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rest: pa.Table | None = None
-        for batch in chain(batches, [None]):
-            if batch is not None:
-                here = pa.Table.from_batches([batch])
-                rest = here if rest is None else pa.concat_tables([rest, here])
-                keys = rest["key"].to_numpy()
-                cut = int(np.flatnonzero(keys == keys[-1])[0])
-                now, rest = rest.slice(0, cut), rest.slice(cut)
-            elif rest is not None:
-                now, rest = rest, None
-            else:
-                break
-            if not now.num_rows:
-                continue
-            key, n, own, comp = (now[c].to_numpy() for c in ("key", "n", "class", "component"))
-            parity = now["parity"].to_pylist()
-            begins = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1])))
-            found: list[np.ndarray] = []
-            for a, b in zip(begins.tolist(), np.append(begins[1:], len(key)).tolist(), strict=True):
-                found += pairs(n[a:b], own[a:b], comp[a:b], parity[a:b])
-            every = np.unique(np.concatenate(found), axis=0) if found else np.zeros((0, 2), np.int64)
-            if len(every):
-                yield pa.RecordBatch.from_arrays([pa.array(every[:, 0]), pa.array(every[:, 1])], names=["a", "b"])
+        found: list[np.ndarray] = []
+        for n, own, comp, parity in _whole_lists(batches):
+            found += [x for x in pairs(n, own, comp, parity) if len(x)]
+            if sum(map(len, found)) > 500_000:
+                found = [np.unique(np.concatenate(found), axis=0)]
+                if len(found[0]) > 250_000:
+                    yield pa.RecordBatch.from_arrays([pa.array(found[0][:, 0]), pa.array(found[0][:, 1])], names=["a", "b"])
+                    found = []
+        if found:
+            every = np.unique(np.concatenate(found), axis=0)
+            yield pa.RecordBatch.from_arrays([pa.array(every[:, 0]), pa.array(every[:, 1])], names=["a", "b"])
 
     return run
 
@@ -364,15 +413,26 @@ def near_components(docs: DataFrame, width: int = 5, percent: int = 80) -> DataF
     near = led.select("class", "leader", "n", "leader_n", "parity", "leader_parity").mapInArrow(_nearest_leader(percent), "class long, leader long, apart long")
     best = near.groupBy("class").agg(F.min(F.struct("apart", "leader")).alias("best")).select(F.col("best.leader").alias("a"), F.col("class").alias("b"))
     first = links(common.stored(spark, best, "led"))
-    joined = components(first)
+    # Lists of the same classes say the same: one of them stays.
+    marks = lists.groupBy("key").agg(F.sum(F.xxhash64("class").cast("decimal(38,0)")).alias("h"), F.count(F.lit(1)).alias("c"))
+    alone = common.stored(spark, marks.groupBy("h", "c").agg(F.min("key").alias("key")).select("key"), "lists")
+    lists = common.stored(spark, lists.select("key", "n", "class").join(alone, "key", "left_semi"), "lists")
+
+    def still_apart(links: DataFrame) -> DataFrame:
+        """Postings with component and parity map of the lists that hold several components, sorted by key."""
+        placed = lists.join(components(links).withColumnRenamed("node", "class"), "class", "left").select("key", "n", "class", F.coalesce("component", "class").alias("component"))
+        placed = common.stored(spark, placed, "placed")
+        mixed = common.stored(spark, placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi").select("key"), "mixed")
+        apart = placed.join(mixed, "key", "left_semi").join(classes.select("class", "parity"), "class")
+        return apart.select("key", "n", "class", "component", "parity").repartition(parts, "key").sortWithinPartitions("key", "n", "class")
+
+    # A round with other leaders, which leaves next to nothing apart in groups of near copies.
+    near = still_apart(first).mapInArrow(_scattered(percent), "class long, leader long, apart long")
+    best = near.groupBy("class").agg(F.min(F.struct("apart", "leader")).alias("best")).select(F.col("best.leader").alias("a"), F.col("class").alias("b"))
+    linked = first.union(links(common.stored(spark, best, "led")))
     # What is still apart in a list, pair by pair.
-    placed = lists.join(joined.withColumnRenamed("node", "class"), "class", "left").select("key", "n", "class", F.coalesce("component", "class").alias("component"))
-    placed = common.stored(spark, placed, "placed")
-    mixed = common.stored(spark, placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi").select("key"), "mixed")
-    apart = placed.join(mixed, "key", "left_semi").join(classes.select("class", "parity"), "class").repartition(parts, "key").sortWithinPartitions("key", "n", "class")
-    pairs = common.stored(spark, apart.select("key", "n", "class", "component", "parity").mapInArrow(_crossing(percent), "a long, b long").distinct(), "pairs")
-    second = links(pairs)
-    every = components(first.union(second))
+    pairs = common.stored(spark, still_apart(linked).mapInArrow(_crossing(percent), "a long, b long").distinct(), "pairs")
+    every = components(linked.union(links(pairs)))
     return _labelled(sets, every)
 
 
