@@ -2,7 +2,7 @@
 
 A model is read into a piece table (piece, id, score). Texts are cut into units
 that no piece crosses: runs of the space mark with the characters up to the
-next one, and line breaks. Distinct units are exploded into substrings no longer
+next one, and line breaks, cut again wherever two neighbours stand in no piece. Distinct units are exploded into substrings no longer
 than the longest piece and equi-joined to the piece table; the edges of a unit
 are grouped and folded with Spark's aggregate():
 
@@ -94,6 +94,16 @@ class Pieces:
             return []
         return _UNIT.findall((MARK if self.prefix else "") + text.replace(" ", MARK))
 
+    @cached_property
+    def joined(self) -> set[str]:
+        """Neighbouring characters inside pieces; no piece crosses a place between any other two."""
+        return {t[i : i + 2] for t in self.ids for i in range(len(t) - 1)}
+
+    def split(self, unit: str) -> list[str]:
+        """A unit cut at every place that no piece crosses."""
+        cuts = [i for i in range(1, len(unit)) if unit[i - 1 : i + 1] not in self.joined]
+        return [unit[a:b] for a, b in zip([0, *cuts], [*cuts, len(unit)], strict=True)]
+
     def table(self, spark: SparkSession) -> DataFrame:
         rows = [(t, i, float(self.scores[i])) for t, i in self.ids.items()]
         return spark.createDataFrame(rows, "piece string, id int, score double")
@@ -218,7 +228,7 @@ def _list_units(pieces: Pieces):
             for text in table["text"]:
                 seen.update(pieces.units(text.as_py()))
             # The place in sorted order stands for the unit on the way back.
-            names = sorted(filter(pieces.folds, seen))
+            names = sorted(filter(pieces.folds, {x for u in seen for x in pieces.split(u)}))
             for at in range(0, len(names), 50_000):
                 part = names[at : at + 50_000]
                 yield pa.RecordBatch.from_arrays([pa.array([block] * len(part), pa.int64()), pa.array(range(at, at + len(part)), pa.int32()), pa.array(part, pa.string())], names=["block", "place", "unit"])
@@ -249,10 +259,12 @@ def _encode_block(pieces: Pieces):
             seen: set[str] = set()
             for text in texts:
                 seen.update(pieces.units(text))
-            known = {u: by_place[i] for i, u in enumerate(sorted(filter(pieces.folds, seen)))}
-            for u in seen:
-                if u not in known:
-                    known[u] = pieces.merged(u)
+            parts = {u: pieces.split(u) for u in seen}
+            every = {x for own in parts.values() for x in own}
+            code = {u: by_place[i] for i, u in enumerate(sorted(filter(pieces.folds, every)))}
+            code |= {u: pieces.merged(u) for u in every if u not in code}
+            known = {u: [i for x in own for i in code[x]] for u, own in parts.items()}
+            del parts, every, code
             ids = []
             for text in texts:
                 if text is None:
@@ -270,7 +282,7 @@ def _encode_block(pieces: Pieces):
 
 def encode(docs: DataFrame, pieces: Pieces) -> DataFrame:
     """doc_id, text, ids."""
-    parts = common.partitions(docs.sparkSession)
+    parts = 8 * common.partitions(docs.sparkSession)  # a unit's edges are some hundred times the unit
     own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     listed = own.mapInArrow(_list_units(pieces), "block long, place int, unit string").repartition(parts, "unit")
     coded = encode_units(listed.select("unit").distinct(), pieces)
