@@ -206,7 +206,7 @@ def _block_id(table: pa.Table) -> int:
     return int(wordhash.mix(mark.sum(dtype=np.uint64, keepdims=True) ^ np.uint64(zlib.crc32(raw)))[0].view(np.int64))
 
 
-BLOCK_BYTES = 32 << 20
+BLOCK_BYTES = 16 << 20
 
 
 def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
@@ -250,31 +250,27 @@ def _encode_block(pieces: Pieces):
             if right.num_rows:
                 raise ValueError("units of a block without documents: the two passes cut the input differently")
             return pa.table({"doc_id": pa.array([], pa.int64()), "text": pa.array([], pa.string()), "ids": pa.array([], pa.list_(pa.int32()))})
-        codes = right["ids"].to_pylist()
-        by_place = {p: np.frombuffer(x, np.uint16 if len(pieces.texts) < 1 << 16 else np.int32).tolist() for p, x in zip(right["place"].to_pylist(), codes, strict=True)}
+        kind = np.uint16 if len(pieces.texts) < 1 << 16 else np.int32
+        places, codes = right["place"].to_numpy(), right["ids"].combine_chunks()
+        by_place = codes.take(pa.array(np.argsort(places, kind="stable"))) if len(places) == len(set(places.tolist())) else codes.take(pa.array(np.unique(places, return_index=True)[1]))
         found: list[pa.Table] = []
         for docs in left["docs"]:
             table = pa.ipc.open_stream(docs.as_py()).read_all()
-            texts = table["text"].to_pylist()
             seen: set[str] = set()
-            for text in texts:
-                seen.update(pieces.units(text))
-            parts = {u: pieces.split(u) for u in seen}
-            every = {x for own in parts.values() for x in own}
-            code = {u: by_place[i] for i, u in enumerate(sorted(filter(pieces.folds, every)))}
-            code |= {u: pieces.merged(u) for u in every if u not in code}
-            known = {u: [i for x in own for i in code[x]] for u, own in parts.items()}
-            del parts, every, code
+            for text in table["text"]:
+                seen.update(pieces.units(text.as_py()))
+            # A unit's ids stay packed in bytes: the dictionary is a few times the block's words.
+            every = {x for u in seen for x in pieces.split(u)}
+            code = dict(zip(sorted(filter(pieces.folds, every)), map(pa.BinaryScalar.as_py, by_place), strict=True))
+            code |= {u: np.array(pieces.merged(u), kind).tobytes() for u in every if u not in code}
+            known = {u: b"".join(map(code.__getitem__, pieces.split(u))) for u in seen}
+            del seen, every, code
             ids = []
-            for text in texts:
-                if text is None:
-                    ids.append(None)
-                    continue
-                own: list[int] = []
-                for u in pieces.units(text):
-                    own += known[u]
-                ids.append(np.array(own, np.int32))
+            for text in table["text"]:
+                text = text.as_py()
+                ids.append(None if text is None else np.frombuffer(b"".join(map(known.__getitem__, pieces.units(text))), kind).astype(np.int32))
             found.append(pa.table({"doc_id": table["doc_id"].cast(pa.int64()), "text": table["text"].cast(pa.string()), "ids": pa.array(ids, pa.list_(pa.int32()))}))
+            del known, ids
         return pa.concat_tables(found)
 
     return run
