@@ -94,6 +94,12 @@ class Pieces:
             return []
         return _UNIT.findall((MARK if self.prefix else "") + text.replace(" ", MARK))
 
+    def words(self, text: str) -> tuple[bool, list[str]]:
+        """The units of a text; if the first value is true, without the space mark that each begins with (single spaces only)."""
+        if self.prefix and text and "  " not in text and text[0] != " " and text[-1] != " " and MARK not in text:
+            return True, text.split(" ")
+        return False, self.units(text)
+
     @cached_property
     def joined(self) -> set[str]:
         """Neighbouring characters inside pieces; no piece crosses a place between any other two."""
@@ -221,12 +227,21 @@ def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
         yield pa.Table.from_batches(held)
 
 
+def _distinct(table: pa.Table, pieces: Pieces) -> set[str]:
+    """The distinct units of a block's texts."""
+    bare: set[str] = set()
+    marked: set[str] = set()
+    for text in table["text"]:
+        short, own = pieces.words(text.as_py() or "")
+        (bare if short else marked).update(own)
+    marked.update(MARK + x for x in bare)
+    return marked
+
+
 def _list_units(pieces: Pieces):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for table in _blocks(batches):
-            block, seen = _block_id(table), set()
-            for text in table["text"]:
-                seen.update(pieces.units(text.as_py()))
+            block, seen = _block_id(table), _distinct(table, pieces)
             # The place in sorted order stands for the unit on the way back.
             names = sorted(filter(pieces.folds, {x for u in seen for x in pieces.split(u)}))
             for at in range(0, len(names), 50_000):
@@ -256,21 +271,24 @@ def _encode_block(pieces: Pieces):
         found: list[pa.Table] = []
         for docs in left["docs"]:
             table = pa.ipc.open_stream(docs.as_py()).read_all()
-            seen: set[str] = set()
-            for text in table["text"]:
-                seen.update(pieces.units(text.as_py()))
+            seen = _distinct(table, pieces)
             # A unit's ids stay packed in bytes: the dictionary is a few times the block's words.
             every = {x for u in seen for x in pieces.split(u)}
             code = dict(zip(sorted(filter(pieces.folds, every)), map(pa.BinaryScalar.as_py, by_place), strict=True))
             code |= {u: np.array(pieces.merged(u), kind).tobytes() for u in every if u not in code}
             known = {u: b"".join(map(code.__getitem__, pieces.split(u))) for u in seen}
+            bare = {u[1:]: x for u, x in known.items() if u.startswith(MARK)}
             del seen, every, code
             ids = []
             for text in table["text"]:
                 text = text.as_py()
-                ids.append(None if text is None else np.frombuffer(b"".join(map(known.__getitem__, pieces.units(text))), kind).astype(np.int32))
+                if text is None:
+                    ids.append(None)
+                    continue
+                short, own = pieces.words(text)
+                ids.append(np.frombuffer(b"".join(map((bare if short else known).__getitem__, own)), kind).astype(np.int32))
             found.append(pa.table({"doc_id": table["doc_id"].cast(pa.int64()), "text": table["text"].cast(pa.string()), "ids": pa.array(ids, pa.list_(pa.int32()))}))
-            del known, ids
+            del known, bare, ids
         return pa.concat_tables(found)
 
     return run
@@ -281,7 +299,9 @@ def encode(docs: DataFrame, pieces: Pieces) -> DataFrame:
     parts = 8 * common.partitions(docs.sparkSession)  # a unit's edges are some hundred times the unit
     own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     listed = own.mapInArrow(_list_units(pieces), "block long, place int, unit string").repartition(parts, "unit")
-    coded = encode_units(listed.select("unit").distinct(), pieces)
+    # All three columns are asked for, so that the join below reads this same exchange.
+    once = listed.groupBy("unit").agg(F.max("place").alias("p"), F.max("block").alias("b")).where("p >= 0 and b is not null")
+    coded = encode_units(once.select("unit"), pieces)
     small = "short" if len(pieces.texts) < 1 << 16 else "int"
     # Two bytes an id on the way back, lowest first.
     width = 4 if small == "short" else 8
