@@ -405,7 +405,8 @@ def near_components(docs: DataFrame, width: int = 5, percent: int = 80) -> DataF
         asked = pairs.select(F.col("a").alias("class")).union(pairs.select(F.col("b").alias("class"))).distinct()
         holders = common.stored(spark, classes.join(asked, "class", "left_semi").select("doc_id").distinct(), "holders")
         found = texts.join(holders, "doc_id", "left_semi").select("text").mapInArrow(_classes(width), "class long, text string").dropDuplicates(["class"])
-        return common.stored(spark, _links(pairs, common.stored(spark, found, "candidates"), width, percent), "links")
+        with common.arrow_rows(spark, 64):  # rows of two whole texts
+            return common.stored(spark, _links(pairs, common.stored(spark, found, "candidates"), width, percent), "links")
 
     # Each class against the leader of its lists that it differs from least.
     lead = classes.select(F.col("class").alias("leader"), F.col("n").alias("leader_n"), F.col("parity").alias("leader_parity"))
