@@ -72,7 +72,7 @@ def window_duration_sweep(spark, d):
     return per.groupBy("width").agg(F.count(F.lit(1)).alias("windows"), F.round(F.avg("n"), 6).alias("mean_samples"), F.round(F.avg("v"), 6).alias("mean_var"))
 
 
-@query("edge_summary_moments_general", f"WITH {C.NATIVE_SQL} SELECT vehicle_id, epoch_s // 518400 AS bucket, count(x) AS n, round(avg(x), 6) AS mean, round(median(x), 6) AS median, round(var_pop(x), 3) AS variance, round(stddev_pop(x), 6) AS spread, round(quantile_cont(x, 0.9), 6) AS p90, round(regr_slope(x, CAST(epoch_s AS DOUBLE)) * 1e6, 4) AS slope FROM na GROUP BY 1, 2")
+@query("edge_summary_moments_general", f"WITH {C.NATIVE_SQL} SELECT vehicle_id, epoch_s // 518400 AS bucket, count(x) AS n, round(avg(x), 6) AS mean, round(median(x), 6) AS median, round(var_pop(x), 3) AS variance, round(stddev_pop(x), 6) AS spread, round(quantile_cont(x, 0.9), 6) AS p90, CASE WHEN count(x) > 1 AND NOT isnan(regr_slope(x, CAST(epoch_s AS DOUBLE))) THEN round(regr_slope(x, CAST(epoch_s AS DOUBLE)) * 1e6, 4) END AS slope FROM na GROUP BY 1, 2")
 def edge_summary_moments_general(spark, d):
     s = edge.summarize_signal(C.native(spark, d).withColumn("bucket", F.floor(F.col("epoch_s") / 518400)), "x", ["vehicle_id", "bucket"])
     return s.select("vehicle_id", "bucket", "n", F.round("mean", 6).alias("mean"), F.round("median", 6).alias("median"), F.round("variance", 3).alias("variance"), F.round("spread", 6).alias("spread"), F.round("p90", 6).alias("p90"), F.round(F.col("slope") * 1e6, 4).alias("slope"))
