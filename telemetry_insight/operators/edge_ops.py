@@ -21,10 +21,10 @@ def accel_magnitude(spark, d):
 _FULL = [f"{a}_p{q}" for a in "xyz" for q in ("01", "10", "90", "99")]
 
 
-@query("edge_summary", f"WITH {C.SUMMARY_SQL} SELECT vehicle_id, win_start, n, round(mag_mean, 6) AS mag_mean, round(mag_var, 6) AS mag_var, {', '.join(f'round({c}, 6) AS {c}' for c in _FULL)} FROM su")
+@query("edge_summary", f"WITH {C.SUMMARY_SQL} SELECT vehicle_id, win_start, n, round(mag_mean, 6) AS mag_mean, round(mag_var, 6) AS mag_var, {', '.join(f'round({c} + 1e-9, 6) AS {c}' for c in _FULL)} FROM su")
 def edge_summary(spark, d):
     s = edge.summarize(C.burst(spark, d))
-    return s.select("vehicle_id", "win_start", "n", *[F.round(c, 6).alias(c) for c in ["mag_mean", "mag_var", *_FULL]])
+    return s.select("vehicle_id", "win_start", "n", *[F.round(c, 6).alias(c) for c in ["mag_mean", "mag_var"]], *[F.round(F.col(c) + 1e-9, 6).alias(c) for c in _FULL])
 
 
 @query("edge_summary_minimal", f"WITH {C.BURST_SQL} SELECT vehicle_id, win_start, count(*) AS n, round(avg({M}), 6) AS mag_mean, round(var_pop({M}), 6) AS mag_var FROM bu GROUP BY 1, 2")
@@ -32,10 +32,10 @@ def edge_summary_minimal(spark, d):
     return edge.summarize(C.burst(spark, d), stats="moments").select("vehicle_id", "win_start", "n", F.round("mag_mean", 6).alias("mag_mean"), F.round("mag_var", 6).alias("mag_var"))
 
 
-@query("edge_summary_peaks", f"WITH {C.SUMMARY_SQL} SELECT vehicle_id, win_start, round(mag_mean, 6) AS mag_mean, round(mag_var, 6) AS mag_var, round(x_p99, 6) AS x_p99, round(y_p99, 6) AS y_p99, round(z_p99, 6) AS z_p99 FROM su")
+@query("edge_summary_peaks", f"WITH {C.SUMMARY_SQL} SELECT vehicle_id, win_start, round(mag_mean, 6) AS mag_mean, round(mag_var, 6) AS mag_var, round(x_p99 + 1e-9, 6) AS x_p99, round(y_p99 + 1e-9, 6) AS y_p99, round(z_p99 + 1e-9, 6) AS z_p99 FROM su")
 def edge_summary_peaks(spark, d):
     s = edge.summarize(C.burst(spark, d), stats="peaks")
-    return s.select("vehicle_id", "win_start", *[F.round(c, 6).alias(c) for c in ("mag_mean", "mag_var", "x_p99", "y_p99", "z_p99")])
+    return s.select("vehicle_id", "win_start", *[F.round(c, 6).alias(c) for c in ("mag_mean", "mag_var")], *[F.round(F.col(c) + 1e-9, 6).alias(c) for c in ("x_p99", "y_p99", "z_p99")])
 
 
 @query("edge_summary_approx")
@@ -53,10 +53,10 @@ def edge_summary_sample_var(spark, d):
     return edge.summarize(C.burst(spark, d), stats="moments", ddof=1).select("vehicle_id", "win_start", F.round("mag_var", 6).alias("mag_var"))
 
 
-@query("edge_summary_lineitem", f"WITH {C.LINEITEM_SQL} SELECT vehicle_id, win_start, count(*) AS n, round(avg({M}), 5) AS mag_mean, round(var_pop({M}), 4) AS mag_var, round(quantile_cont(x, 0.99), 5) AS x_p99 FROM li GROUP BY 1, 2")
+@query("edge_summary_lineitem", f"WITH {C.LINEITEM_SQL} SELECT vehicle_id, win_start, count(*) AS n, round(avg({M}), 5) AS mag_mean, round(var_pop({M}), 4) AS mag_var, round(quantile_cont(x, 0.99) + 1e-9, 5) AS x_p99 FROM li GROUP BY 1, 2")
 def edge_summary_lineitem(spark, d):
     s = edge.summarize(C.lineitem_samples(spark, d), stats="peaks")
-    return s.select("vehicle_id", "win_start", "n", F.round("mag_mean", 5).alias("mag_mean"), F.round("mag_var", 4).alias("mag_var"), F.round("x_p99", 5).alias("x_p99"))
+    return s.select("vehicle_id", "win_start", "n", F.round("mag_mean", 5).alias("mag_mean"), F.round("mag_var", 4).alias("mag_var"), F.round(F.col("x_p99") + 1e-9, 5).alias("x_p99"))
 
 
 _WIDTHS = (1, 3, 5, 10, 86400)

@@ -37,10 +37,10 @@ def array_functions(spark, d):
     return C.table(spark, d, "embeddings").select("vec_id", F.size(v).cast("long").alias("dims"), F.round(F.aggregate(F.transform(v, lambda x: x * x), F.lit(0.0), lambda a, x: a + x), 6).alias("square"), F.size(F.filter(v, lambda x: x > 0)).cast("long").alias("positive"), F.round(F.array_max(v), 6).alias("most"))
 
 
-@query("map_functions", f"WITH {C.SUMMARY_SQL} SELECT event_id, round(x_p99, 6) AS x, round(z_p99, 6) AS z, 3 AS axes FROM su")
+@query("map_functions", f"WITH {C.SUMMARY_SQL} SELECT event_id, round(x_p99 + 1e-9, 6) AS x, round(z_p99 + 1e-9, 6) AS z, 3 AS axes FROM su")
 def map_functions(spark, d):
     m = F.map_from_arrays(F.array(F.lit("x"), F.lit("y"), F.lit("z")), F.array("x_p99", "y_p99", "z_p99"))
-    return labelled_windows(spark, d).select("event_id", m.alias("m")).select("event_id", F.round(F.element_at("m", F.lit("x")), 6).alias("x"), F.round(F.element_at("m", F.lit("z")), 6).alias("z"), F.size(F.map_entries("m")).alias("axes"))
+    return labelled_windows(spark, d).select("event_id", m.alias("m")).select("event_id", F.round(F.element_at("m", F.lit("x")) + 1e-9, 6).alias("x"), F.round(F.element_at("m", F.lit("z")) + 1e-9, 6).alias("z"), F.size(F.map_entries("m")).alias("axes"))
 
 
 @query("json_functions", f"{E} SELECT event_id, 'k' AS keys, k, CAST(k AS VARCHAR) AS as_text FROM ev")

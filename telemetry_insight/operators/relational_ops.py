@@ -362,9 +362,9 @@ def recursive_stays(spark, d):
     return spark.sql("WITH RECURSIVE " + _REC.format(w="_windows", s="STRING"))
 
 
-@query("unpivot_percentiles", f"WITH {C.SUMMARY_SQL} SELECT event_id, axis, round(v, 6) AS p99 FROM (UNPIVOT (SELECT event_id, x_p99, y_p99, z_p99 FROM su) ON x_p99, y_p99, z_p99 INTO NAME axis VALUE v)")
+@query("unpivot_percentiles", f"WITH {C.SUMMARY_SQL} SELECT event_id, axis, round(v + 1e-9, 6) AS p99 FROM (UNPIVOT (SELECT event_id, x_p99, y_p99, z_p99 FROM su) ON x_p99, y_p99, z_p99 INTO NAME axis VALUE v)")
 def unpivot_percentiles(spark, d):
-    return labelled_windows(spark, d).unpivot("event_id", ["x_p99", "y_p99", "z_p99"], "axis", "v").select("event_id", "axis", F.round("v", 6).alias("p99"))
+    return labelled_windows(spark, d).unpivot("event_id", ["x_p99", "y_p99", "z_p99"], "axis", "v").select("event_id", "axis", F.round(F.col("v") + 1e-9, 6).alias("p99"))
 
 
 @query("sample_rows", "SELECT event_id FROM events WHERE (event_id * 7919 + 42) % 10007 < 1000")
