@@ -37,7 +37,7 @@ from pyspark.sql import functions as F
 from . import common, wordhash
 from .components import components
 
-SKETCH_BITS, SEGMENTS = 22, 256
+SKETCH_BITS, SEGMENTS = 21, 128
 _EMPTY = 0
 
 
@@ -129,7 +129,7 @@ def _add(table: pa.Table) -> pa.Table:
 
 
 def _sketch(described: DataFrame) -> np.ndarray:
-    """The summed counts: a fixed 16 MB, whatever the corpus."""
+    """The summed counts: a fixed 8 MB, whatever the corpus."""
     rows = described.where("seg is not null").select("seg", "counts").withColumn("part", F.pmod(F.xxhash64("counts"), F.lit(32)))
     once = rows.groupBy("seg", "part").applyInArrow(_add, "seg int, counts binary")
     got = {r["seg"]: r["counts"] for r in once.groupBy("seg").applyInArrow(_add, "seg int, counts binary").collect()}

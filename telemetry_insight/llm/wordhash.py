@@ -126,7 +126,7 @@ def windows(words: np.ndarray, ends: np.ndarray, width: int) -> tuple[np.ndarray
     return mix((sums[index + width] - sums[index]) * down[index]), index, ptr
 
 
-def slices(batch: pa.RecordBatch, column: str = "text", size: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+def slices(batch: pa.RecordBatch, column: str = "text", size: int = 2 << 20) -> Iterator[pa.RecordBatch]:
     """A batch in slices of about `size` bytes of a text column, one row at least: the 8-byte arrays over its words stay small."""
     texts = batch.column(column)
     offsets = np.frombuffer(texts.buffers()[1], np.int64 if pa.types.is_large_string(texts.type) else np.int32)[texts.offset : texts.offset + len(texts) + 1] if len(texts) else np.zeros(1, np.int64)
