@@ -15,10 +15,13 @@ from .registry import query
 
 L = f"WITH {LABELLED_SQL}"
 E = f"WITH {C.EVENTS_SQL}"
-N = F.count(F.lit(1))
 SEV = "('Aggressive', 'Very Aggressive')"
 
 
+def _n():
+    return F.count(F.lit(1))
+
+
 def _severe(w):
     return w.where(F.col("label").isin(*A.SEVERE))
 
@@ -41,7 +44,7 @@ def scan_json_packets(spark, d):
 @query("scan_csv_export", f"{L} SELECT label, count(*) AS windows FROM lw GROUP BY 1")
 def scan_csv_export(spark, d):
     path = f"{shared_dir(spark)}/csv-{uuid.uuid4().hex}"
-    labelled_windows(spark, d).groupBy("label").agg(N.alias("windows")).coalesce(1).write.csv(path, header=True)
+    labelled_windows(spark, d).groupBy("label").agg(_n().alias("windows")).coalesce(1).write.csv(path, header=True)
     return spark.read.schema("label string, windows long").csv(path, header=True)
 
 
@@ -53,7 +56,7 @@ def sql_view_query(spark, d):
 @query("scan_variant_props", f"{E} SELECT k % 10 AS digit, count(*) AS events FROM ev GROUP BY 1")
 def scan_variant_props(spark, d):
     v = C.table(spark, d, "events").select(F.variant_get(F.parse_json("props"), "$.k", "long").alias("k"))
-    return v.groupBy((F.col("k") % 10).alias("digit")).agg(N.alias("events"))
+    return v.groupBy((F.col("k") % 10).alias("digit")).agg(_n().alias("events"))
 
 
 @query("replay_stream", "SELECT count(*) AS events FROM events")
@@ -67,7 +70,7 @@ def replay_stream(spark, d):
 def sink_partitioned(spark, d):
     path = f"{shared_dir(spark)}/part-{uuid.uuid4().hex}"
     C.events(spark, d).withColumns({"event_date": F.col("ts").cast("date"), "bucket": F.pmod("vehicle_id", F.lit(4))}).repartition("event_date", "bucket").write.partitionBy("event_date", "bucket").parquet(path)
-    return spark.read.parquet(path).groupBy("event_date").agg(N.alias("events"))
+    return spark.read.parquet(path).groupBy("event_date").agg(_n().alias("events"))
 
 
 @query("project_axes", f"WITH {C.NATIVE_SQL} SELECT event_id, round(x, 4) AS x, y, z FROM na")
@@ -82,7 +85,7 @@ def filter_time_range(spark, d):
 
 @query("filter_fix", "SELECT event_type, count(*) AS events FROM events WHERE event_type <> 'error' GROUP BY 1")
 def filter_fix(spark, d):
-    return C.table(spark, d, "events").where("event_type <> 'error'").groupBy("event_type").agg(N.alias("events"))
+    return C.table(spark, d, "events").where("event_type <> 'error'").groupBy("event_type").agg(_n().alias("events"))
 
 
 @query("filter_label_in", f"{L} SELECT event_id, label FROM lw WHERE label IN {SEV}")
@@ -92,7 +95,7 @@ def filter_label_in(spark, d):
 
 @query("filter_json_key", f"{E} SELECT count(*) AS events FROM ev WHERE k > 90")
 def filter_json_key(spark, d):
-    return C.events(spark, d).where("k > 90").agg(N.alias("events"))
+    return C.events(spark, d).where("k > 90").agg(_n().alias("events"))
 
 
 @query("filter_null_axis", f"{E} SELECT count(*) AS rows, count(*) FILTER (k % 10 = 0) AS null_rows, count(*) FILTER (k % 10 = 1) AS nan_rows, count(*) FILTER (k % 10 > 1) AS kept FROM ev")
@@ -100,32 +103,32 @@ def filter_null_axis(spark, d):
     """Axes made null or NaN by k: what the cleaning would drop, counted."""
     x = F.when(F.col("k") % 10 == 0, None).when(F.col("k") % 10 == 1, float("nan")).otherwise(F.col("value"))
     r = C.events(spark, d).select(x.alias("x"))
-    return r.agg(N.alias("rows"), F.count_if(F.col("x").isNull()).alias("null_rows"), F.count_if(F.col("x").isNotNull() & F.isnan("x")).alias("nan_rows"), F.count_if(F.col("x").isNotNull() & ~F.isnan("x")).alias("kept"))
+    return r.agg(_n().alias("rows"), F.count_if(F.col("x").isNull()).alias("null_rows"), F.count_if(F.col("x").isNotNull() & F.isnan("x")).alias("nan_rows"), F.count_if(F.col("x").isNotNull() & ~F.isnan("x")).alias("kept"))
 
 
 @query("join_summary_landmark", f"{L} SELECT n_name AS nation, count(*) AS windows FROM lw JOIN nation ON landmark_id = n_nationkey GROUP BY 1")
 def join_summary_landmark(spark, d):
     n = C.table(spark, d, "nation").select(F.col("n_nationkey").alias("landmark_id"), F.col("n_name").alias("nation"))
-    return labelled_windows(spark, d).join(F.broadcast(n), "landmark_id").groupBy("nation").agg(N.alias("windows"))
+    return labelled_windows(spark, d).join(F.broadcast(n), "landmark_id").groupBy("nation").agg(_n().alias("windows"))
 
 
 @query("join_samples_fixes", f"WITH {C.FIX_SQL} SELECT na.vehicle_id AS vehicle_id, count(*) AS samples FROM ev na JOIN fx ON na.event_id = fx.event_id AND fx.quality = 1 GROUP BY 1")
 def join_samples_fixes(spark, d):
     f = C.fixes(spark, d).where("quality = 1").select("event_id").hint("merge")
-    return C.native(spark, d).join(f, "event_id").groupBy("vehicle_id").agg(N.alias("samples"))
+    return C.native(spark, d).join(f, "event_id").groupBy("vehicle_id").agg(_n().alias("samples"))
 
 
 @query("join_shuffle_hash", "SELECT o_orderpriority AS priority, count(*) AS lines, round(sum(l_quantity), 2) AS quantity FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1")
 def join_shuffle_hash(spark, d):
     o = C.table(spark, d, "orders").select(F.col("o_orderkey").alias("l_orderkey"), F.col("o_orderpriority").alias("priority")).hint("shuffle_hash")
-    return C.table(spark, d, "lineitem").select("l_orderkey", "l_quantity").join(o, "l_orderkey").groupBy("priority").agg(N.alias("lines"), F.round(F.sum("l_quantity"), 2).alias("quantity"))
+    return C.table(spark, d, "lineitem").select("l_orderkey", "l_quantity").join(o, "l_orderkey").groupBy("priority").agg(_n().alias("lines"), F.round(F.sum("l_quantity"), 2).alias("quantity"))
 
 
 @query("join_three_way", "SELECT r_name AS region, count(*) AS lines FROM lineitem JOIN supplier ON l_suppkey = s_suppkey JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY 1")
 def join_three_way(spark, d):
     t = lambda n: C.table(spark, d, n)
     j = t("lineitem").select("l_suppkey").join(t("supplier"), F.col("l_suppkey") == F.col("s_suppkey")).join(F.broadcast(t("nation")), F.col("s_nationkey") == F.col("n_nationkey")).join(F.broadcast(t("region")), F.col("n_regionkey") == F.col("r_regionkey"))
-    return j.groupBy(F.col("r_name").alias("region")).agg(N.alias("lines"))
+    return j.groupBy(F.col("r_name").alias("region")).agg(_n().alias("lines"))
 
 
 @query("vehicles_with_severe", f"{L} SELECT DISTINCT vehicle_id FROM lw WHERE label = 'Very Aggressive'")
@@ -143,28 +146,28 @@ def vehicles_never_severe(spark, d):
 @query("drift_outer", f"{L}, a AS (SELECT label, count(*) AS n FROM lw WHERE event_date < DATE '2024-01-02' GROUP BY 1), b AS (SELECT label, count(*) AS m FROM lw WHERE event_date >= DATE '2024-01-29' GROUP BY 1) SELECT coalesce(a.label, b.label) AS label, coalesce(n, 0) AS before, coalesce(m, 0) AS after FROM a FULL JOIN b ON a.label = b.label")
 def drift_outer(spark, d):
     w = labelled_windows(spark, d)
-    a = w.where("event_date < date'2024-01-02'").groupBy("label").agg(N.alias("before"))
-    b = w.where("event_date >= date'2024-01-29'").groupBy("label").agg(N.alias("after"))
+    a = w.where("event_date < date'2024-01-02'").groupBy("label").agg(_n().alias("before"))
+    b = w.where("event_date >= date'2024-01-29'").groupBy("label").agg(_n().alias("after"))
     return a.join(b, "label", "full").na.fill(0)
 
 
 @query("left_join_labels", "SELECT source, count(*) AS documents, count(l.doc_id) AS labelled FROM documents d LEFT JOIN labels l ON d.doc_id = l.doc_id GROUP BY 1")
 def left_join_labels(spark, d):
     lab = C.table(spark, d, "labels").select("doc_id", F.lit(1).alias("one"))
-    return C.table(spark, d, "documents").select("doc_id", "source").join(lab, "doc_id", "left").groupBy("source").agg(N.alias("documents"), F.count("one").alias("labelled"))
+    return C.table(spark, d, "documents").select("doc_id", "source").join(lab, "doc_id", "left").groupBy("source").agg(_n().alias("documents"), F.count("one").alias("labelled"))
 
 
 @query("join_band_hours", f"{L}, bd AS (SELECT * FROM (VALUES ('night', 0, 5), ('morning', 6, 11), ('afternoon', 12, 16), ('evening', 17, 22)) t(band, lo, hi)) SELECT band, count(*) AS windows FROM lw JOIN bd ON hour BETWEEN lo AND hi GROUP BY 1")
 def join_band_hours(spark, d):
     """A theta join against four rows."""
     b = spark.createDataFrame([("night", 0, 5), ("morning", 6, 11), ("afternoon", 12, 16), ("evening", 17, 22)], "band string, lo int, hi int")
-    return labelled_windows(spark, d).join(F.broadcast(b), F.col("hour").between(F.col("lo"), F.col("hi"))).groupBy("band").agg(N.alias("windows"))
+    return labelled_windows(spark, d).join(F.broadcast(b), F.col("hour").between(F.col("lo"), F.col("hi"))).groupBy("band").agg(_n().alias("windows"))
 
 
 @query("join_radius", f"WITH {C.FIX_SQL} SELECT count(*) AS pairs FROM fx a JOIN fx b ON a.event_id < 200 AND a.event_id <> b.event_id AND abs(a.lat - b.lat) < 0.001 AND {C.haversine_sql('a', 'b')} <= 100")
 def join_radius(spark, d):
     f = C.fixes(spark, d)
-    return geo.radius_join(f.where("event_id < 200"), f, 100.0).agg(N.alias("pairs"))
+    return geo.radius_join(f.where("event_id < 200"), f, 100.0).agg(_n().alias("pairs"))
 
 
 @query("join_interval", f"{L} SELECT s.event_id AS severe_id, count(*) AS nearby FROM lw s JOIN lw o ON s.vehicle_id = o.vehicle_id AND s.label = 'Very Aggressive' AND o.event_id <> s.event_id AND abs(o.win_start - s.win_start) <= 43200 GROUP BY 1")
@@ -173,7 +176,7 @@ def join_interval(spark, d):
     w = labelled_windows(spark, d).select("vehicle_id", "event_id", "win_start", "label")
     s = w.where("label = 'Very Aggressive'").select("vehicle_id", F.col("event_id").alias("severe_id"), F.col("win_start").alias("at")).withColumn("b", F.explode(F.array(*[F.floor(F.col("at") / 43200) + i for i in (-1, 0, 1)])))
     o = w.withColumn("b", F.floor(F.col("win_start") / 43200))
-    return s.join(o, ["vehicle_id", "b"]).where((F.col("event_id") != F.col("severe_id")) & (F.abs(F.col("win_start") - F.col("at")) <= 43200)).groupBy("severe_id").agg(N.alias("nearby"))
+    return s.join(o, ["vehicle_id", "b"]).where((F.col("event_id") != F.col("severe_id")) & (F.abs(F.col("win_start") - F.col("at")) <= 43200)).groupBy("severe_id").agg(_n().alias("nearby"))
 
 
 @query("cross_small", f"{L}, g AS (SELECT n_name AS place, label FROM nation, (SELECT unnest(['Calm', 'Moderate', 'Slightly Unstable', 'Aggressive', 'Very Aggressive']) AS label)) SELECT g.place AS place, g.label AS label, count(lw.event_id) AS windows FROM g LEFT JOIN lw ON g.place = lw.place AND g.label = lw.label GROUP BY 1, 2")
@@ -182,13 +185,13 @@ def cross_small(spark, d):
     from ..functions.profiles import DRIVING
 
     grid = C.landmarks(spark, d).select(F.col("name").alias("place"), F.explode(F.array(*map(F.lit, DRIVING))).alias("label"))
-    n = labelled_windows(spark, d).groupBy("place", "label").agg(N.alias("windows"))
+    n = labelled_windows(spark, d).groupBy("place", "label").agg(_n().alias("windows"))
     return grid.join(n, ["place", "label"], "left").na.fill(0, ["windows"])
 
 
 @query("agg_partial_final", "SELECT user_id AS vehicle_id, count(*) AS n, round(avg(value), 6) AS mean, min(value) AS least, max(value) AS most, round(stddev_samp(value), 6) AS spread FROM events GROUP BY 1")
 def agg_partial_final(spark, d):
-    return C.events(spark, d).groupBy("vehicle_id").agg(N.alias("n"), F.round(F.avg("value"), 6).alias("mean"), F.min("value").alias("least"), F.max("value").alias("most"), F.round(F.stddev("value"), 6).alias("spread"))
+    return C.events(spark, d).groupBy("vehicle_id").agg(_n().alias("n"), F.round(F.avg("value"), 6).alias("mean"), F.min("value").alias("least"), F.max("value").alias("most"), F.round(F.stddev("value"), 6).alias("spread"))
 
 
 @query("agg_sorted_strings", f"{L} SELECT vehicle_id, string_agg(DISTINCT label, ',' ORDER BY label) AS labels FROM lw GROUP BY 1")
@@ -210,22 +213,22 @@ def approx_vehicles(spark, d):
 
 @query("agg_conditional", f"{L} SELECT route, count(*) AS windows, round(avg(CASE WHEN label IN {SEV} THEN 1e0 ELSE 0e0 END), 6) AS severe_share FROM lw GROUP BY 1")
 def agg_conditional(spark, d):
-    return labelled_windows(spark, d).groupBy("route").agg(N.alias("windows"), F.round(F.avg(F.col("label").isin(*A.SEVERE).cast("double")), 6).alias("severe_share"))
+    return labelled_windows(spark, d).groupBy("route").agg(_n().alias("windows"), F.round(F.avg(F.col("label").isin(*A.SEVERE).cast("double")), 6).alias("severe_share"))
 
 
 @query("agg_grouping_sets", f"{L} SELECT label, zone, count(*) AS windows FROM lw GROUP BY GROUPING SETS ((label), (zone), (label, zone))")
 def agg_grouping_sets(spark, d):
-    return labelled_windows(spark, d).groupingSets([["label"], ["zone"], ["label", "zone"]], "label", "zone").agg(N.alias("windows"))
+    return labelled_windows(spark, d).groupingSets([["label"], ["zone"], ["label", "zone"]], "label", "zone").agg(_n().alias("windows"))
 
 
 @query("agg_rollup_zone_landmark", f"{L} SELECT zone, place, count(*) AS windows FROM lw GROUP BY ROLLUP (zone, place)")
 def agg_rollup_zone_landmark(spark, d):
-    return labelled_windows(spark, d).rollup("zone", "place").agg(N.alias("windows"))
+    return labelled_windows(spark, d).rollup("zone", "place").agg(_n().alias("windows"))
 
 
 @query("agg_cube_label_band", f"{L} SELECT label, route, count(*) AS windows FROM lw GROUP BY CUBE (label, route)")
 def agg_cube_label_band(spark, d):
-    return labelled_windows(spark, d).cube("label", "route").agg(N.alias("windows"))
+    return labelled_windows(spark, d).cube("label", "route").agg(_n().alias("windows"))
 
 
 @query("agg_pivot_band", f"{L} SELECT route, count(*) FILTER (hour BETWEEN 6 AND 11) AS morning, count(*) FILTER (hour BETWEEN 17 AND 22) AS evening FROM lw GROUP BY 1")
@@ -235,7 +238,7 @@ def agg_pivot_band(spark, d):
 
 @query("agg_histogram", f"{L} SELECT CAST(floor(log10(instability) * 2) AS BIGINT) AS bin, count(*) AS windows FROM lw WHERE instability > 0 GROUP BY 1")
 def agg_histogram(spark, d):
-    return labelled_windows(spark, d).where("instability > 0").groupBy(F.floor(F.log10("instability") * 2).alias("bin")).agg(N.alias("windows"))
+    return labelled_windows(spark, d).where("instability > 0").groupBy(F.floor(F.log10("instability") * 2).alias("bin")).agg(_n().alias("windows"))
 
 
 @query("agg_median_mode", "SELECT user_id AS vehicle_id, round(median(value), 6) AS median FROM events GROUP BY 1")
@@ -245,7 +248,7 @@ def agg_median_mode(spark, d):
 
 @query("agg_having", f"{L} SELECT place, count(*) AS severe FROM lw WHERE label IN {SEV} GROUP BY 1 HAVING count(*) >= 3")
 def agg_having(spark, d):
-    return _severe(labelled_windows(spark, d)).groupBy("place").agg(N.alias("severe")).where("severe >= 3")
+    return _severe(labelled_windows(spark, d)).groupBy("place").agg(_n().alias("severe")).where("severe >= 3")
 
 
 @query("agg_corr_cov", f"{L} SELECT round(corr(instability, extreme), 6) AS correlation, round(covar_pop(instability, extreme), 6) AS covariance FROM lw")
@@ -253,13 +256,12 @@ def agg_corr_cov(spark, d):
     return labelled_windows(spark, d).agg(F.round(F.corr("instability", "extreme"), 6).alias("correlation"), F.round(F.covar_pop("instability", "extreme"), 6).alias("covariance"))
 
 
-_W = Window.partitionBy("landmark_id").orderBy(F.desc("k"), "event_id")
 
 
 @query("rank_events_in_landmark", f"{L} SELECT event_id, row_number() OVER (PARTITION BY landmark_id ORDER BY k DESC, event_id) AS place_row, rank() OVER (PARTITION BY landmark_id ORDER BY k DESC) AS place_rank, dense_rank() OVER (PARTITION BY landmark_id ORDER BY k DESC) AS place_dense FROM lw")
 def rank_events_in_landmark(spark, d):
     by = Window.partitionBy("landmark_id").orderBy(F.desc("k"))
-    return labelled_windows(spark, d).select("event_id", F.row_number().over(_W).cast("long").alias("place_row"), F.rank().over(by).cast("long").alias("place_rank"), F.dense_rank().over(by).cast("long").alias("place_dense"))
+    return labelled_windows(spark, d).select("event_id", F.row_number().over(Window.partitionBy("landmark_id").orderBy(F.desc("k"), "event_id")).cast("long").alias("place_row"), F.rank().over(by).cast("long").alias("place_rank"), F.dense_rank().over(by).cast("long").alias("place_dense"))
 
 
 @query("ntile_instability", f"{L} SELECT event_id, ntile(5) OVER w AS quintile, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd FROM lw WINDOW w AS (PARTITION BY route ORDER BY k, event_id)")
@@ -269,17 +271,20 @@ def ntile_instability(spark, d):
 
 
 _V = "PARTITION BY vehicle_id ORDER BY win_start, event_id"
-_VW = Window.partitionBy("vehicle_id").orderBy("win_start", "event_id")
+
+
+def _vw():
+    return Window.partitionBy("vehicle_id").orderBy("win_start", "event_id")
 
 
 @query("lag_gap", f"{L} SELECT event_id, win_start - lag(win_start) OVER ({_V}) AS since, lead(win_start) OVER ({_V}) - win_start AS until FROM lw")
 def lag_gap(spark, d):
-    return labelled_windows(spark, d).select("event_id", (F.col("win_start") - F.lag("win_start").over(_VW)).alias("since"), (F.lead("win_start").over(_VW) - F.col("win_start")).alias("until"))
+    return labelled_windows(spark, d).select("event_id", (F.col("win_start") - F.lag("win_start").over(_vw())).alias("since"), (F.lead("win_start").over(_vw()) - F.col("win_start")).alias("until"))
 
 
 @query("rolling_rows", f"{L} SELECT event_id, round(avg(extreme) OVER ({_V} ROWS BETWEEN 4 PRECEDING AND CURRENT ROW), 6) AS mean5 FROM lw")
 def rolling_rows(spark, d):
-    return labelled_windows(spark, d).select("event_id", F.round(F.avg("extreme").over(_VW.rowsBetween(-4, 0)), 6).alias("mean5"))
+    return labelled_windows(spark, d).select("event_id", F.round(F.avg("extreme").over(_vw().rowsBetween(-4, 0)), 6).alias("mean5"))
 
 
 @query("rolling_time", f"{L} SELECT event_id, count(*) OVER (PARTITION BY vehicle_id ORDER BY win_start RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW) AS day_windows FROM lw")
@@ -302,12 +307,12 @@ def first_last_fix(spark, d):
 
 @query("topk_hotspots", f"{L} SELECT place, count(*) AS windows FROM lw WHERE label IN {SEV} GROUP BY 1 ORDER BY windows DESC, place LIMIT 10")
 def topk_hotspots(spark, d):
-    return _severe(labelled_windows(spark, d)).groupBy("place").agg(N.alias("windows")).orderBy(F.desc("windows"), "place").limit(10)
+    return _severe(labelled_windows(spark, d)).groupBy("place").agg(_n().alias("windows")).orderBy(F.desc("windows"), "place").limit(10)
 
 
 @query("topk_per_zone", f"{L}, c AS (SELECT zone, place, count(*) AS windows FROM lw GROUP BY 1, 2) SELECT zone, place, windows FROM (SELECT *, row_number() OVER (PARTITION BY zone ORDER BY windows DESC, place) AS n FROM c) WHERE n <= 2")
 def topk_per_zone(spark, d):
-    c = labelled_windows(spark, d).groupBy("zone", "place").agg(N.alias("windows"))
+    c = labelled_windows(spark, d).groupBy("zone", "place").agg(_n().alias("windows"))
     return c.withColumn("n", F.row_number().over(Window.partitionBy("zone").orderBy(F.desc("windows"), "place"))).where("n <= 2").drop("n")
 
 
@@ -324,7 +329,7 @@ def limit_offset(spark, d):
 @query("union_sources", f"WITH {C.NATIVE_SQL},{C.LINEITEM_SQL} SELECT 'native' AS source, count(*) AS rows, count(event_id) AS with_event FROM na UNION ALL SELECT 'lineitem', count(*), 0 FROM li")
 def union_sources(spark, d):
     u = C.native(spark, d).withColumn("source", F.lit("native")).unionByName(C.lineitem_samples(spark, d).withColumn("source", F.lit("lineitem")), allowMissingColumns=True)
-    return u.groupBy("source").agg(N.alias("rows"), F.count("event_id").alias("with_event"))
+    return u.groupBy("source").agg(_n().alias("rows"), F.count("event_id").alias("with_event"))
 
 
 _HOT = "SELECT place FROM lw WHERE label IN ('Aggressive', 'Very Aggressive') AND event_date {}"
@@ -375,7 +380,7 @@ def sample_rows(spark, d):
 
 @query("label_quality_mix", "SELECT lang, quality, toxic, count(*) AS documents FROM documents JOIN labels USING (doc_id) GROUP BY 1, 2, 3")
 def label_quality_mix(spark, d):
-    return C.table(spark, d, "documents").select("doc_id", "lang").join(C.table(spark, d, "labels"), "doc_id").groupBy("lang", "quality", "toxic").agg(N.alias("documents"))
+    return C.table(spark, d, "documents").select("doc_id", "lang").join(C.table(spark, d, "labels"), "doc_id").groupBy("lang", "quality", "toxic").agg(_n().alias("documents"))
 
 
 @query("document_numbers", "SELECT doc_id, CAST(len(regexp_extract_all(text, '[0-9]+([.][0-9]+)?')) AS INTEGER) AS numbers FROM documents WHERE text IS NOT NULL")
@@ -397,7 +402,7 @@ def benchmark_passages(spark, d):
     items = C.table(spark, d, "benchmark").select("item_id", F.col("text").alias("item"))
     one = items.agg(F.collect_list(F.struct("item_id", "item")).alias("items"))
     docs = C.table(spark, d, "documents").select("text").crossJoin(F.broadcast(one))
-    return docs.select(F.explode(F.filter("items", lambda x: F.contains(F.col("text"), x["item"]))["item_id"]).alias("item_id")).groupBy("item_id").agg(N.alias("documents"))
+    return docs.select(F.explode(F.filter("items", lambda x: F.contains(F.col("text"), x["item"]))["item_id"]).alias("item_id")).groupBy("item_id").agg(_n().alias("documents"))
 
 
 @query("order_gaps", "SELECT o_custkey AS customer, o_orderkey AS o_key, datediff('day', CAST(o_orderdate AS DATE), CAST(lead(o_orderdate) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS DATE)) AS gap_days FROM orders")
@@ -410,6 +415,6 @@ def order_gaps(spark, d):
 def describe_quality(spark, d):
     """Rows that each stage hands on."""
     w = labelled_windows(spark, d)
-    s = w.agg(N.alias("windows"), F.count_if(F.col("quality") == 1).alias("good fixes"), F.count_if(F.col("label").isin(*A.SEVERE)).alias("severe"))
-    e = C.events(spark, d).agg(N.alias("events"))
+    s = w.agg(_n().alias("windows"), F.count_if(F.col("quality") == 1).alias("good fixes"), F.count_if(F.col("label").isin(*A.SEVERE)).alias("severe"))
+    e = C.events(spark, d).agg(_n().alias("events"))
     return e.crossJoin(F.broadcast(s)).unpivot([], ["events", "windows", "good fixes", "severe"], "stage", "rows")
