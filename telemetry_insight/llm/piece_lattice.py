@@ -312,17 +312,23 @@ def encode(docs: DataFrame, pieces: Pieces) -> DataFrame:
     return packs.groupBy("block").cogroup(back.groupBy("block")).applyInArrow(_encode_block(pieces), "doc_id long, text string, ids array<int>")
 
 
-def decode_ids(ids: list[int], pieces: Pieces) -> str:
-    data = b"".join(map(pieces.raw.__getitem__, ids)).decode("utf-8", "replace")
-    return data[1:] if pieces.prefix and data.startswith(" ") else data
-
-
 def decode(encoded: DataFrame, pieces: Pieces) -> DataFrame:
     """encoded with decoded: the text of ids."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table = pa.array(pieces.raw, pa.large_binary())
         for batch in batches:
-            texts = [None if x is None else decode_ids(x, pieces) for x in (y.as_py() for y in batch.column("ids"))]
+            lists = batch.column("ids")
+            # Every id's bytes, one after another: a row's text is one slice of them.
+            spelled = table.take(lists.flatten())
+            ends = np.frombuffer(spelled.buffers()[1], np.int64) if len(spelled) else np.zeros(1, np.int64)
+            data = memoryview(spelled.buffers()[2]) if len(spelled) and spelled.buffers()[2] is not None else memoryview(b"")
+            sizes = lists.value_lengths().fill_null(0).to_numpy(zero_copy_only=False)
+            at = ends[np.concatenate(([0], np.cumsum(sizes))).astype(np.int64)]
+            texts = []
+            for i, known in enumerate(lists.is_valid().to_pylist()):
+                text = str(data[at[i] : at[i + 1]], "utf-8", "replace") if known else None
+                texts.append(text[1:] if text and pieces.prefix and text[0] == " " else text)
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(texts, pa.string())], names=[*batch.schema.names, "decoded"])
 
     from pyspark.sql import types as T
