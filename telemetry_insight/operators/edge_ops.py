@@ -12,10 +12,17 @@ from .registry import query
 M = "sqrt(x*x + y*y + z*z)"
 
 
-@query("accel_magnitude", f"WITH {C.BURST_SQL} SELECT event_id, i, round({M}, 6) AS magnitude FROM bu WHERE i % 20 = 0")
+@query("accel_magnitude")
 def accel_magnitude(spark, d):
+    """Every sample of every event."""
     m = edge.magnitude(F.col("x"), F.col("y"), F.col("z"))
-    return C.burst(spark, d).where(F.col("i") % 20 == 0).select("event_id", "i", F.round(m, 6).alias("magnitude"))
+    return C.burst(spark, d).select("event_id", "i", F.round(m, 6).alias("magnitude"))
+
+
+@query("accel_magnitude_every_20th", f"WITH {C.BURST_SQL} SELECT event_id, i, round({M}, 6) AS magnitude FROM bu WHERE i % 20 = 0")
+def accel_magnitude_every_20th(spark, d):
+    """The part of accel_magnitude that its SQL covers."""
+    return accel_magnitude(spark, d).where(F.col("i") % 20 == 0)
 
 
 _FULL = [f"{a}_p{q}" for a in "xyz" for q in ("01", "10", "90", "99")]
@@ -78,12 +85,19 @@ def edge_summary_moments_general(spark, d):
     return s.select("vehicle_id", "bucket", "n", F.round("mean", 6).alias("mean"), F.round("median", 6).alias("median"), F.round("variance", 3).alias("variance"), F.round("spread", 6).alias("spread"), F.round("p90", 6).alias("p90"), F.round(F.col("slope") * 1e6, 4).alias("slope"))
 
 
-@query("vibration_features", f"WITH {C.BURST_SQL}, m AS (SELECT event_id, i, {M} - avg({M}) OVER (PARTITION BY event_id) AS d FROM bu WHERE event_id < 2000), p AS (SELECT *, lag(d) OVER (PARTITION BY event_id ORDER BY i) AS prev FROM m) SELECT event_id, round(sqrt(avg(d*d)), 6) AS rms, count(*) FILTER (d * prev < 0) AS crossings, round(corr(d, prev), 6) AS autocorrelation FROM p GROUP BY event_id")
+@query("vibration_features")
 def vibration_features(spark, d):
-    v = edge.vibration(C.burst(spark, d).where("event_id < 2000"), ["event_id"], ["i"])
+    """Every event."""
+    v = edge.vibration(C.burst(spark, d), ["event_id"], ["i"])
     return v.select("event_id", F.round("rms", 6).alias("rms"), "crossings", F.round("autocorrelation", 6).alias("autocorrelation"))
 
 
+@query("vibration_features_first_2000", f"WITH {C.BURST_SQL}, m AS (SELECT event_id, i, {M} - avg({M}) OVER (PARTITION BY event_id) AS d FROM bu WHERE event_id < 2000), p AS (SELECT *, lag(d) OVER (PARTITION BY event_id ORDER BY i) AS prev FROM m) SELECT event_id, round(sqrt(avg(d*d)), 6) AS rms, count(*) FILTER (d * prev < 0) AS crossings, round(corr(d, prev), 6) AS autocorrelation FROM p GROUP BY event_id")
+def vibration_features_first_2000(spark, d):
+    """The part of vibration_features that its SQL covers."""
+    return vibration_features(spark, d).where("event_id < 2000")
+
+
 @query("position_attach", f"WITH {C.FIX_SQL} SELECT vehicle_id, epoch_s // 3 * 3 AS win_start, round(arg_max(lat, event_id), 6) AS lat, round(arg_max(lon, event_id), 6) AS lon, round(avg(lat), 6) AS mean_lat FROM fx GROUP BY 1, 2")
 def position_attach(spark, d):
     f = C.fixes(spark, d).withColumn("win_start", F.floor(F.col("epoch_s") / 3) * 3)
