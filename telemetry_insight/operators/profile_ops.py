@@ -257,16 +257,59 @@ def silhouette_mllib(spark, d):
 _PAIRWISE = f"{L}, s AS (SELECT event_id, rank, instability, extreme FROM lw ORDER BY (event_id * 7919) % 10007, event_id LIMIT 400), t AS (SELECT x.event_id, x.rank, y.rank AS o, avg(sqrt(pow(x.instability - y.instability, 2) + pow(x.extreme - y.extreme, 2))) AS far FROM s x JOIN s y ON x.event_id <> y.event_id GROUP BY 1, 2, 3), ab AS (SELECT event_id, min(far) FILTER (o = rank) AS a, min(far) FILTER (o <> rank) AS b FROM t GROUP BY 1) SELECT round(avg(CASE WHEN a IS NULL THEN 0 ELSE (b - a) / greatest(a, b) END), 6) AS silhouette, count(*) AS points FROM ab"
 
 
-@query("silhouette_exact", _PAIRWISE)
-def silhouette_exact(spark, d):
-    """Euclidean silhouette over all pairs of a sample of at most 400 windows, the sampled operator's parameter."""
-    s = labelled_windows(spark, d).orderBy(F.pmod(F.col("event_id") * 7919, F.lit(10007)), "event_id").limit(400).select("event_id", "rank", "instability", "extreme")
-    s = stored(s, "sample")
-    o = s.toDF("o_id", "o_rank", "o_i", "o_e")
-    far = F.sqrt(F.pow(F.col("instability") - F.col("o_i"), 2) + F.pow(F.col("extreme") - F.col("o_e"), 2))
-    t = s.join(F.broadcast(o), F.col("event_id") != F.col("o_id")).groupBy("event_id", "rank", "o_rank").agg(F.avg(far).alias("far"))
+#: Rows of a block of the all-pairs silhouette: two blocks and their distances fit a task.
+_BLOCK = 2048
+
+
+def _block_distances(batches):
+    """Summed distances of each row of two blocks to the rows of each rank in the other; within one block once."""
+    import numpy as np
+    import pyarrow as pa
+
+    def part(block):
+        return [np.array([r[c] for r in block]) for c in ("event_id", "rank", "instability", "extreme")]
+
+    def sums(ids, ranks, far, other):
+        for o in np.unique(other):
+            total = far[:, other == o].sum(axis=1)
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(ranks, pa.int32()), pa.array(np.full(len(ids), o), pa.int32()), pa.array(total, pa.float64())], names=["event_id", "rank", "o_rank", "far"])
+
+    for batch in batches:
+        for k in range(batch.num_rows):
+            row = {c: batch.column(c)[k].as_py() for c in ("x", "y", "x_rows", "y_rows")}
+            (xi, xr, xa, xb), (yi, yr, ya, yb) = part(row["x_rows"]), part(row["y_rows"])
+            far = np.sqrt((xa[:, None] - ya) ** 2 + (xb[:, None] - yb) ** 2)
+            yield from sums(xi, xr, far, yr)
+            if row["x"] != row["y"]:
+                yield from sums(yi, yr, far.T, xr)
+
+
+def pairwise_silhouette(w):
+    """silhouette and points: Euclidean, over all pairs of the rows of w (event_id, rank, features), block by block."""
+    s = stored(w.select("event_id", F.col("rank").cast("int").alias("rank"), "instability", "extreme"), "points")
+    blocks = max(1, -(-s.count() // _BLOCK))
+    packed = stored(s.groupBy(F.pmod(F.xxhash64("event_id"), F.lit(blocks)).alias("block")).agg(F.collect_list(F.struct("event_id", "rank", "instability", "extreme")).alias("rows")), "blocks")
+    x, y = packed.toDF("x", "x_rows"), packed.toDF("y", "y_rows")
+    pairs = x.select("x", F.explode(F.sequence(F.col("x"), F.lit(blocks - 1).cast("long"))).alias("y")).join(x, "x").join(y, "y").select("x", "y", "x_rows", "y_rows")
+    pairs = pairs.repartition(min(blocks * (blocks + 1) // 2, 16 * blocks), "x", "y")
+    total = pairs.mapInArrow(_block_distances, "event_id long, rank int, o_rank int, far double").groupBy("event_id", "rank", "o_rank").agg(F.sum("far").alias("far"))
+    n = s.groupBy(F.col("rank").alias("o_rank")).agg(F.count(F.lit(1)).alias("n"))  # one row a rank
+    others = F.col("n") - F.when(F.col("o_rank") == F.col("rank"), 1).otherwise(0)
+    t = total.join(F.broadcast(n), "o_rank").withColumn("far", F.when(others > 0, F.try_divide("far", others)))
     ab = t.groupBy("event_id").agg(F.min(F.when(F.col("o_rank") == F.col("rank"), F.col("far"))).alias("a"), F.min(F.when(F.col("o_rank") != F.col("rank"), F.col("far"))).alias("b"))
-    return ab.agg(F.round(F.avg(F.when(F.col("a").isNull(), 0.0).otherwise((F.col("b") - F.col("a")) / F.greatest("a", "b"))), 6).alias("silhouette"), F.count(F.lit(1)).alias("points"))
+    return ab.agg(F.round(F.avg(F.when(F.col("a").isNull(), 0.0).otherwise(F.try_divide(F.col("b") - F.col("a"), F.greatest("a", "b")))), 6).alias("silhouette"), F.count(F.lit(1)).alias("points"))
+
+
+@query("silhouette_exact")
+def silhouette_exact(spark, d):
+    """Euclidean silhouette over all pairs of all windows."""
+    return pairwise_silhouette(labelled_windows(spark, d))
+
+
+@query("silhouette_exact_400", _PAIRWISE)
+def silhouette_exact_400(spark, d):
+    """The same method over the 400 windows that its SQL covers."""
+    return pairwise_silhouette(labelled_windows(spark, d).orderBy(F.pmod(F.col("event_id") * 7919, F.lit(10007)), "event_id").limit(400))
 
 
 @query("embedding_kmeans")
@@ -295,32 +338,100 @@ def rule_thresholds(spark, d):
 _EPS, _MIN = 0.05, 8
 
 
-@query("density_core_points", f"{L}, s AS (SELECT event_id, instability AS a, extreme AS b FROM lw WHERE event_id % 10 = 0) SELECT x.event_id, count(*) AS neighbours, count(*) >= {_MIN} AS core FROM s x JOIN s y ON pow(x.a - y.a, 2) + pow(x.b - y.b, 2) <= {_EPS * _EPS}e0 GROUP BY 1")
+@query("density_core_points")
 def density_core_points(spark, d):
-    """Neighbours within eps (itself included) over eps cells: an equi-join, not all pairs."""
+    """Neighbours within eps (itself included) of every window, and whether they make it a core point."""
+    return _cores(labelled_windows(spark, d))
+
+
+@query("density_core_points_every_10th", f"{L}, s AS (SELECT event_id, instability AS a, extreme AS b FROM lw WHERE event_id % 10 = 0) SELECT x.event_id, count(*) AS neighbours, count(*) >= {_MIN} AS core FROM s x JOIN s y ON pow(x.a - y.a, 2) + pow(x.b - y.b, 2) <= {_EPS * _EPS}e0 GROUP BY 1")
+def density_core_points_every_10th(spark, d):
+    """The same method over the windows that its SQL covers."""
     return _cores(labelled_windows(spark, d).where("event_id % 10 = 0"))
 
 
-def _neighbours(w):
-    s = w.select("event_id", F.col("instability").alias("a"), F.col("extreme").alias("b"))
-    left = s.withColumns({"ca": F.floor(F.col("a") / _EPS), "cb": F.floor(F.col("b") / _EPS)})
-    right = s.toDF("o", "oa", "ob").withColumn("ca", F.explode(F.array(*[F.floor(F.col("oa") / _EPS) + i for i in (-1, 0, 1)]))).withColumn("cb", F.explode(F.array(*[F.floor(F.col("ob") / _EPS) + i for i in (-1, 0, 1)])))
-    return left.join(right, ["ca", "cb"]).where(F.pow(F.col("a") - F.col("oa"), 2) + F.pow(F.col("b") - F.col("ob"), 2) <= _EPS * _EPS).select("event_id", "o")
+#: Cells are a little wider than eps, so that rounding never puts a neighbour two cells away.
+_SIDE = _EPS * 1.001
+
+
+def _points(w, parts, side=_SIDE):
+    """event_id, a, b, and a box (fa, fb), of which parts x parts make a cell."""
+    return w.select("event_id", F.col("instability").alias("a"), F.col("extreme").alias("b")).withColumns({"fa": F.floor(F.col("a") * parts / side), "fb": F.floor(F.col("b") * parts / side)})
+
+
+def _boxes(p):
+    """fa, fb, the number of points and the bounds that they take up."""
+    return p.groupBy("fa", "fb").agg(F.count(F.lit(1)).alias("n"), F.min("a").alias("a0"), F.max("a").alias("a1"), F.min("b").alias("b0"), F.max("b").alias("b1"))
+
+
+def _far(a0, a1, b0, b1, most):
+    """Largest or smallest squared distance between bounds (a0, a1, b0, b1) and the other box's (oa0, oa1, ob0, ob1)."""
+    out = None
+    for lo, hi, lo2, hi2 in ((a0, a1, "oa0", "oa1"), (b0, b1, "ob0", "ob1")):
+        gap = F.greatest(F.col(hi) - F.col(lo2), F.col(hi2) - F.col(lo)) if most else F.greatest(F.lit(0.0), F.col(lo2) - F.col(hi), F.col(lo) - F.col(hi2))
+        out = gap * gap if out is None else out + gap * gap
+    return out
+
+
+def _box_pairs(boxes, parts, ring=1):
+    """Pairs of boxes in cells at most ring apart that may hold neighbours, and whether all their points are."""
+    cells = lambda by: {f"c{x}": F.floor(F.col(f"{by}{x}") / parts) for x in "ab"}
+    o = boxes.toDF("ofa", "ofb", "on", "oa0", "oa1", "ob0", "ob1").withColumns(cells("of"))
+    o = o.withColumn("ca", F.explode(F.array(*[F.col("ca") + i for i in range(-ring, ring + 1)]))).withColumn("cb", F.explode(F.array(*[F.col("cb") + i for i in range(-ring, ring + 1)])))
+    near = boxes.withColumns(cells("f")).join(o, ["ca", "cb"]).where(_far("a0", "a1", "b0", "b1", False) <= _EPS * _EPS)
+    return near.withColumn("full", _far("a0", "a1", "b0", "b1", True) <= _EPS * _EPS)
 
 
 def _cores(w):
-    n = _neighbours(w).groupBy("event_id").agg(F.count(F.lit(1)).alias("neighbours"))
+    """event_id, neighbours, core. Boxes wholly within eps add their counts; points meet only those of boxes that eps cuts.
+
+    The boxes get smaller with the fullest cell, so that a point meets about the 2/3 power of its neighbours.
+    """
+    fullest = _points(w, 1).groupBy("fa", "fb").count().agg(F.max("count").alias("n")).first()["n"] or 1
+    parts = max(1, round(fullest ** (1 / 3) / 2))
+    p = stored(_points(w, parts), "points")
+    pairs = stored(_box_pairs(_boxes(p), parts), "pairs")
+    whole = p.join(pairs.where("full").groupBy("fa", "fb").agg(F.sum("on").alias("k")), ["fa", "fb"]).select("event_id", "k")
+    cut = p.join(pairs.where("NOT full").select("fa", "fb", "ofa", "ofb", "on", "oa0", "oa1", "ob0", "ob1"), ["fa", "fb"])
+    cut = cut.where(_far("a", "a", "b", "b", False) <= _EPS * _EPS).withColumn("full", _far("a", "a", "b", "b", True) <= _EPS * _EPS)
+    in_box = cut.where("full").groupBy("event_id").agg(F.sum("on").alias("k"))
+    o = p.toDF("o", "oa", "ob", "ofa", "ofb")
+    one = cut.where("NOT full").select("event_id", "a", "b", "ofa", "ofb").join(o, ["ofa", "ofb"]).where(_near()).groupBy("event_id").agg(F.count(F.lit(1)).alias("k"))
+    n = whole.unionByName(in_box).unionByName(one).groupBy("event_id").agg(F.sum("k").alias("neighbours"))
     return n.withColumn("core", F.col("neighbours") >= _MIN)
 
 
+def _near():
+    da, db = F.col("a") - F.col("oa"), F.col("b") - F.col("ob")
+    return da * da + db * db <= _EPS * _EPS
+
+
 @query("density_grid")
 def density_grid(spark, d):
-    """Density clusters: core points within eps share a cluster, found by passing on the least id until nothing changes."""
-    w = labelled_windows(spark, d).where("event_id % 10 = 0")
-    near = stored(_neighbours(w), "near")
-    cores = near.groupBy("event_id").count().where(F.col("count") >= _MIN).select("event_id")
-    edges = stored(near.join(cores, "event_id", "left_semi").join(cores.withColumnRenamed("event_id", "o"), "o", "left_semi"), "edges")
-    label = cores.withColumn("cluster", F.col("event_id"))
+    """Density clusters of all windows: core points within eps share a cluster."""
+    return _density_clusters(labelled_windows(spark, d))
+
+
+#: Boxes to a side of a clustering cell; the cell's diagonal is under eps.
+_PARTS = 8
+
+
+def _density_clusters(w):
+    """cluster (its least core id) and points. All core points of a cell share a cluster, so the least id is passed on
+    between cells until nothing changes; two cells touch if a pair of boxes does, else if a pair of their points does."""
+    cores = _points(w.join(_cores(w).where("core").select("event_id"), "event_id", "left_semi"), _PARTS, _EPS / 1.5)
+    p = stored(cores.withColumns({f"c{x}": F.floor(F.col(f"f{x}") / _PARTS) for x in "ab"}), "cores")
+    cells = stored(p.groupBy("ca", "cb").agg(F.min("event_id").alias("event_id"), F.count(F.lit(1)).alias("points")), "cells")
+    ids = lambda o: [F.floor(F.col(f"{o}f{x}") / _PARTS).alias(f"{o}c{x}") for x in "ab"]
+    between = ["ca", "cb", "oca", "ocb"]
+    pairs = stored(_box_pairs(_boxes(p), _PARTS, 2).select("fa", "fb", "ofa", "ofb", "full", *ids(""), *ids("o")).where("ca <> oca OR cb <> ocb"), "pairs")
+    sure = pairs.where("full").select(*between).distinct()
+    open_ = pairs.join(sure, between, "left_anti").select("fa", "fb", "ofa", "ofb", *between)
+    o = p.select(F.col("a").alias("oa"), F.col("b").alias("ob"), F.col("fa").alias("ofa"), F.col("fb").alias("ofb"))
+    met = open_.join(p.select("a", "b", "fa", "fb"), ["fa", "fb"]).join(o, ["ofa", "ofb"]).where(_near()).select(*between).distinct()
+    ends = sure.unionByName(met).join(cells.select("ca", "cb", "event_id"), ["ca", "cb"]).join(cells.select(F.col("ca").alias("oca"), F.col("cb").alias("ocb"), F.col("event_id").alias("o")), ["oca", "ocb"]).select("event_id", "o")
+    edges = stored(ends.unionByName(cells.select("event_id", F.col("event_id").alias("o"))), "edges")
+    label = cells.select("event_id", F.col("event_id").alias("cluster"))
     mark = None
     while True:
         passed = edges.join(label.withColumnRenamed("event_id", "o"), "o").groupBy("event_id").agg(F.min("cluster").alias("cluster"))
@@ -328,7 +439,7 @@ def density_grid(spark, d):
         label = stored(hop, "label")
         now = label.agg(F.sum("cluster").alias("s")).first()["s"]
         if now == mark:
-            return label.groupBy("cluster").agg(F.count(F.lit(1)).alias("points"))
+            return label.join(cells.select("event_id", "points"), "event_id").groupBy("cluster").agg(F.sum("points").alias("points"))
         mark = now
 
 

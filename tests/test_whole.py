@@ -1,9 +1,11 @@
 """Queries that must cover all of their input, against brute force."""
 
 import math
-from collections import defaultdict
+import random
+from collections import Counter, defaultdict
 
-from telemetry_insight.operators import registry
+from telemetry_insight.operators import profile_ops, registry
+from telemetry_insight.plans.store import labelled_windows
 from telemetry_insight.sources import carriers as C
 
 
@@ -41,3 +43,53 @@ def test_every_event_has_vibration_features(spark, tmp_path):
         ma, mb = sum(a) / len(a), sum(b) / len(b)
         corr = sum((x - ma) * (y - mb) for x, y in zip(a, b)) / math.sqrt(sum((x - ma) ** 2 for x in a) * sum((y - mb) ** 2 for y in b))
         assert abs(r["autocorrelation"] - corr) < 1e-5
+
+
+def windows(spark, d):
+    return {r["event_id"]: (r["instability"], r["extreme"], r["rank"]) for r in labelled_windows(spark, d).select("event_id", "instability", "extreme", "rank").collect()}
+
+
+def near_pairs(w, eps):
+    return {e: [o for o, (c, d, _) in w.items() if (a - c) * (a - c) + (b - d) * (b - d) <= eps * eps] for e, (a, b, _) in w.items()}
+
+
+def test_density_covers_all_windows(spark, data):
+    w = windows(spark, data)
+    near = near_pairs(w, profile_ops._EPS)
+    got = {r["event_id"]: (r["neighbours"], r["core"]) for r in run(spark, data, "density_core_points")}
+    assert got == {e: (len(o), len(o) >= profile_ops._MIN) for e, o in near.items()}
+    clusters, left = {}, {e for e, o in near.items() if len(o) >= profile_ops._MIN}
+    while left:
+        first = min(left)
+        todo, n = [first], 0
+        left.discard(first)
+        while todo:
+            n += 1
+            new = [o for o in near[todo.pop()] if o in left]
+            left.difference_update(new)
+            todo += new
+        clusters[first] = n
+    assert {r["cluster"]: r["points"] for r in run(spark, data, "density_grid")} == clusters
+
+
+def test_density_of_full_cells(spark):
+    r = random.Random(3)
+    w = {e: (r.choice([0.0, 0.07, 0.4]) + r.random() * 0.06, 10 + r.random() * 0.06, 0) for e in range(1500)}
+    df = spark.createDataFrame([(e, *x) for e, x in w.items()], "event_id long, instability double, extreme double, rank int")
+    assert {r["event_id"]: r["neighbours"] for r in profile_ops._cores(df).collect()} == {e: len(o) for e, o in near_pairs(w, profile_ops._EPS).items()}
+    assert [(x["cluster"], x["points"]) for x in profile_ops._density_clusters(df).orderBy("cluster").collect()] == [(min(e for e in w if (w[e][0] > 0.3) == far), sum((w[e][0] > 0.3) == far for e in w)) for far in sorted((False, True), key=lambda far: min(e for e in w if (w[e][0] > 0.3) == far))]
+
+
+def test_exact_silhouette_of_all_windows(spark, data, monkeypatch):
+    monkeypatch.setattr(profile_ops, "_BLOCK", 300)
+    w = windows(spark, data)
+    size, total = Counter(r for *_, r in w.values()), 0.0
+    for a, b, rank in w.values():
+        far = defaultdict(float)
+        for c, d, o in w.values():
+            far[o] += math.hypot(a - c, b - d)
+        if size[rank] > 1:
+            own, other = far[rank] / (size[rank] - 1), min(far[o] / size[o] for o in size if o != rank)
+            total += (other - own) / max(own, other)
+    (got,) = run(spark, data, "silhouette_exact")
+    assert got["points"] == len(w) and abs(got["silhouette"] - total / len(w)) < 2e-6
