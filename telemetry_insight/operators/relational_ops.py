@@ -11,6 +11,7 @@ from ..functions import analytics as A
 from ..functions import geo
 from ..plans.store import LABELLED_SQL, labelled_windows, shared_dir
 from ..sources import carriers as C
+from .baseline_ops import running_total
 from .registry import query
 
 L = f"WITH {LABELLED_SQL}"
@@ -164,8 +165,16 @@ def join_band_hours(spark, d):
     return labelled_windows(spark, d).join(F.broadcast(b), F.col("hour").between(F.col("lo"), F.col("hi"))).groupBy("band").agg(_n().alias("windows"))
 
 
-@query("join_radius", f"WITH {C.FIX_SQL} SELECT count(*) AS pairs FROM fx a JOIN fx b ON a.event_id < 200 AND a.event_id <> b.event_id AND abs(a.lat - b.lat) < 0.001 AND {C.haversine_sql('a', 'b')} <= 100")
+@query("join_radius")
 def join_radius(spark, d):
+    """All fixes with all fixes."""
+    f = C.fixes(spark, d)
+    return geo.radius_join(f, f, 100.0).agg(_n().alias("pairs"))
+
+
+@query("join_radius_first_200", f"WITH {C.FIX_SQL} SELECT count(*) AS pairs FROM fx a JOIN fx b ON a.event_id < 200 AND a.event_id <> b.event_id AND abs(a.lat - b.lat) < 0.001 AND {C.haversine_sql('a', 'b')} <= 100")
+def join_radius_first_200(spark, d):
+    """The same join for the fixes that its SQL covers."""
     f = C.fixes(spark, d)
     return geo.radius_join(f.where("event_id < 200"), f, 100.0).agg(_n().alias("pairs"))
 
@@ -316,9 +325,19 @@ def topk_per_zone(spark, d):
     return c.withColumn("n", F.row_number().over(Window.partitionBy("zone").orderBy(F.desc("windows"), "place"))).where("n <= 2").drop("n")
 
 
-@query("sort_multi_null", f"{E} SELECT event_id FROM ev ORDER BY CASE WHEN k % 2 = 0 THEN k END ASC NULLS LAST, event_id DESC LIMIT 50")
+@query("sort_multi_null")
 def sort_multi_null(spark, d):
-    return C.events(spark, d).orderBy(F.when(F.col("k") % 2 == 0, F.col("k")).asc_nulls_last(), F.desc("event_id")).limit(50).select("event_id")
+    """event_id, position: the whole ordering, odd k as nulls last; range partitions and their sizes as offsets."""
+    key = F.when(F.col("k") % 2 == 0, F.col("k"))
+    one = C.events(spark, d).select("event_id", key.alias("key"), F.lit(1).alias("one"))
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    return running_total(one, "one", [F.col("key").asc_nulls_last(), F.desc("event_id")], parts).select("event_id", F.col("cum").alias("position"))
+
+
+@query("sort_multi_null_first_50", f"{E} SELECT event_id FROM ev ORDER BY CASE WHEN k % 2 = 0 THEN k END ASC NULLS LAST, event_id DESC LIMIT 50")
+def sort_multi_null_first_50(spark, d):
+    """The part of sort_multi_null that its SQL covers."""
+    return sort_multi_null(spark, d).where("position <= 50").orderBy("position").select("event_id")
 
 
 @query("limit_offset", "SELECT event_id FROM events ORDER BY value DESC, event_id LIMIT 20 OFFSET 40")

@@ -1,5 +1,6 @@
 """Queries that must cover all of their input, against brute force."""
 
+import itertools
 import math
 import random
 from collections import Counter, defaultdict
@@ -93,3 +94,16 @@ def test_exact_silhouette_of_all_windows(spark, data, monkeypatch):
             total += (other - own) / max(own, other)
     (got,) = run(spark, data, "silhouette_exact")
     assert got["points"] == len(w) and abs(got["silhouette"] - total / len(w)) < 2e-6
+
+
+def test_radius_join_of_all_fixes(spark, data):
+    f = [(math.radians(r["lat"]), math.radians(r["lon"])) for r in C.fixes(spark, data).collect()]
+    near = lambda a, b: 2 * 6371000 * math.asin(math.sqrt(math.sin((a[0] - b[0]) / 2) ** 2 + math.cos(a[0]) * math.cos(b[0]) * math.sin((a[1] - b[1]) / 2) ** 2)) <= 100
+    pairs = sum(near(a, b) for a, b in itertools.combinations(f, 2))
+    assert [r["pairs"] for r in run(spark, data, "join_radius")] == [2 * pairs]
+
+
+def test_sort_returns_the_null_keys_too(spark, data):
+    rows = sorted(C.events(spark, data).collect(), key=lambda r: (r["k"] % 2, r["k"] if r["k"] % 2 == 0 else 0, -r["event_id"]))
+    assert any(r["k"] % 2 for r in rows)
+    assert sorted((r["position"], r["event_id"]) for r in run(spark, data, "sort_multi_null")) == [(n, r["event_id"]) for n, r in enumerate(rows, 1)]
