@@ -67,7 +67,7 @@ def _frame(spark, answers: list[Q.Answer]) -> DataFrame:
 @query("ask")
 def ask_query(spark, d):
     cache = Q.Cache()
-    return _frame(spark, [ask(spark, d, t, cache=cache) for _, t, e in Q.QUESTIONS if e in ("hotspots", "count")])
+    return _frame(spark, [ask(spark, d, t, cache=cache) for _, t, _ in Q.QUESTIONS])
 
 
 _FACT = f"""{L}, h AS (SELECT place, landmark_id, count(*) AS n FROM lw WHERE quality = 1 AND label IN ('Aggressive', 'Very Aggressive') GROUP BY 1, 2),

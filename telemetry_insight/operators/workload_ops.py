@@ -44,9 +44,10 @@ def workload_macro_questions(spark, d):
 
 @query("workload_compare_modes")
 def workload_compare_modes(spark, d):
-    """W2-W4: two questions in both modes: calls, tokens, cost, simulated latency, and the reductions."""
-    t = runs(spark, d, MACRO[2:3], repeats=1)
-    per = t.groupBy("question").pivot("mode", ["grounded", "raw"]).agg(F.sum("calls").alias("calls"), F.sum(F.col("tokens_in") + F.col("tokens_out")).alias("tokens"), F.sum(F.col("tokens_in") * 5e-8 + F.col("tokens_out") * 8e-8).alias("usd"), F.sum("simulated_seconds").alias("simulated_s"))
+    """W2-W4: the five macro questions, three runs each in both modes: runs, means of calls, tokens, cost and simulated latency, the spread of each over the runs, and the reductions."""
+    t = runs(spark, d, MACRO, repeats=3).withColumns({"tokens": F.col("tokens_in") + F.col("tokens_out"), "usd": F.col("tokens_in") * 5e-8 + F.col("tokens_out") * 8e-8}).withColumnRenamed("simulated_seconds", "simulated_s").withColumnRenamed("spark_seconds", "spark_s")
+    measures = ["calls", "tokens", "usd", "simulated_s", "spark_s"]
+    per = t.groupBy("question").pivot("mode", ["grounded", "raw"]).agg(F.count(F.lit(1)).alias("runs"), *[F.avg(c).alias(c) for c in measures], *[(F.max(c) - F.min(c)).alias(f"{c}_spread") for c in measures])
     less = lambda c: F.round(1 - F.col(f"grounded_{c}") / F.col(f"raw_{c}"), 4).alias(f"{c}_reduction")
     return per.select("*", less("tokens"), less("usd"), less("simulated_s"))
 

@@ -5,7 +5,8 @@ import math
 import random
 from collections import Counter, defaultdict
 
-from telemetry_insight.operators import profile_ops, registry
+from telemetry_insight.functions import questions as Q
+from telemetry_insight.operators import profile_ops, registry, workload_ops
 from telemetry_insight.plans.store import labelled_windows
 from telemetry_insight.sources import carriers as C
 
@@ -107,3 +108,14 @@ def test_sort_returns_the_null_keys_too(spark, data):
     rows = sorted(C.events(spark, data).collect(), key=lambda r: (r["k"] % 2, r["k"] if r["k"] % 2 == 0 else 0, -r["event_id"]))
     assert any(r["k"] % 2 for r in rows)
     assert sorted((r["position"], r["event_id"]) for r in run(spark, data, "sort_multi_null")) == [(n, r["event_id"]) for n, r in enumerate(rows, 1)]
+
+
+def test_modes_are_compared_on_all_questions_and_runs(spark, data):
+    got = run(spark, data, "workload_compare_modes")
+    assert sorted(r["question"] for r in got) == sorted(workload_ops.MACRO)
+    assert all(r["grounded_runs"] == r["raw_runs"] == 3 for r in got)
+    assert all(r["grounded_tokens_spread"] == r["raw_tokens_spread"] == 0 and r["tokens_reduction"] == round(1 - r["grounded_tokens"] / r["raw_tokens"], 4) for r in got)
+
+
+def test_ask_asks_every_question(spark, data):
+    assert [(r["question"], r["intent"]) for r in run(spark, data, "ask")] == [(t, e) for _, t, e in Q.QUESTIONS]
