@@ -451,12 +451,34 @@ def one_class_flag(spark, d):
 
 @query("minority_synthesis")
 def minority_synthesis(spark, d):
-    """Rare rows doubled by points between each and its nearest other rare row of the cell grid around it."""
-    rare = labelled_windows(spark, d).where("label = 'Very Aggressive'").select("event_id", "instability", "extreme")
-    cells = [F.floor(F.col("instability")).alias("ca"), F.floor(F.col("extreme")).alias("cb")]
-    o = rare.toDF("o", "oi", "oe")
-    o = o.withColumn("ca", F.explode(F.array(*[F.floor("oi") + i for i in (-1, 0, 1)]))).withColumn("cb", F.explode(F.array(*[F.floor("oe") + i for i in (-1, 0, 1)])))
-    far = F.pow(F.col("instability") - F.col("oi"), 2) + F.pow(F.col("extreme") - F.col("oe"), 2)
-    near = rare.select("*", *cells).join(o, ["ca", "cb"]).where("event_id <> o").groupBy("event_id", "instability", "extreme").agg(F.min_by(F.struct("oi", "oe"), far).alias("n"))
-    w = F.pmod(F.col("event_id") * 7919, F.lit(1000)) / 1000.0
-    return near.select("event_id", (F.col("instability") + w * (F.col("n.oi") - F.col("instability"))).alias("instability"), (F.col("extreme") + w * (F.col("n.oe") - F.col("extreme"))).alias("extreme"))
+    """Rare rows doubled by points between each and its nearest other rare row."""
+    return oversample(labelled_windows(spark, d), "Very Aggressive")
+
+
+def oversample(w, label, factor=2):
+    """event_id, instability, extreme: factor - 1 points for each row of label, on the way to its nearest other one (ties: least event_id). A row alone under its label has none.
+
+    Rows look in the cells around their own; those whose nearest row there is farther than a cell is wide look again
+    in cells of twice the width, until the cells around hold everything.
+    """
+    rare = stored(w.where(F.col("label") == label).select("event_id", "instability", "extreme"), "rare")
+    facts = rare.agg(F.count(F.lit(1)).alias("n"), F.greatest(F.max("instability") - F.min("instability"), F.max("extreme") - F.min("extreme")).alias("span")).first()
+    width = (facts["span"] or 0.0) / max(1.0, facts["n"] ** 0.5) or 1.0
+    other = rare.toDF("o", "oi", "oe")
+    di, de = F.col("instability") - F.col("oi"), F.col("extreme") - F.col("oe")
+    todo, found = rare, None
+    while True:
+        cell = lambda c: F.floor(F.col(c) / width)
+        around = other.withColumn("ca", F.explode(F.array(*[cell("oi") + i for i in (-1, 0, 1)]))).withColumn("cb", F.explode(F.array(*[cell("oe") + i for i in (-1, 0, 1)])))
+        best = todo.withColumns({"ca": cell("instability"), "cb": cell("extreme")}).join(around, ["ca", "cb"]).where("event_id <> o").groupBy("event_id", "instability", "extreme").agg(F.min(F.struct((di * di + de * de).alias("far"), "o", "oi", "oe")).alias("n"))
+        last = width > (facts["span"] or 0.0)
+        # A little less than the width, as rounding may move a row over the edge of its cell.
+        near = stored(best if last else best.where(F.col("n.far") <= (width * 0.999) ** 2), "near")
+        found = near if found is None else found.unionByName(near)
+        todo = stored(todo.join(near.select("event_id"), "event_id", "left_anti"), "todo")
+        if last or todo.isEmpty():
+            break
+        width *= 2
+    each = found.withColumn("copy", F.explode(F.sequence(F.lit(1), F.lit(factor - 1)))) if factor > 1 else found.limit(0).withColumn("copy", F.lit(1))
+    w = F.pmod(F.col("event_id") * 7919 + (F.col("copy") - 1) * 389, F.lit(1000)) / 1000.0
+    return each.select("event_id", (F.col("instability") + w * (F.col("n.oi") - F.col("instability"))).alias("instability"), (F.col("extreme") + w * (F.col("n.oe") - F.col("extreme"))).alias("extreme"))

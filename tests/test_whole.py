@@ -119,3 +119,24 @@ def test_modes_are_compared_on_all_questions_and_runs(spark, data):
 
 def test_ask_asks_every_question(spark, data):
     assert [(r["question"], r["intent"]) for r in run(spark, data, "ask")] == [(t, e) for _, t, e in Q.QUESTIONS]
+
+
+def test_every_rare_row_gets_its_nearest(spark):
+    r = random.Random(4)
+    at = {e: (3 + r.random(), 14 + r.random()) for e in range(30)} | {100: (60.0, 14.0), 101: (3.9, 90.0), 102: (5.4, 15.4), 103: (61.7, 14.0)}
+    rows = [(e, *x, "rare") for e, x in at.items()] + [(e, 1.0, 10.0 + e / 1000, "often") for e in range(200, 260)] + [(300, 7.0, 7.0, "alone")]
+    df = spark.createDataFrame(rows, "event_id long, instability double, extreme double, label string")
+    got = defaultdict(list)
+    for x in profile_ops.oversample(df, "rare", 3).collect():
+        got[x["event_id"]].append((x["instability"], x["extreme"]))
+    assert sorted(got) == sorted(at)
+    for e, (a, b) in at.items():
+        c, d = min((x for o, x in at.items() if o != e), key=lambda x: (x[0] - a) ** 2 + (x[1] - b) ** 2)
+        want = sorted((a + k * (c - a), b + k * (d - b)) for k in ((e * 7919 + j * 389) % 1000 / 1000 for j in range(2)))
+        assert all(abs(x - y) < 1e-9 for p, q in zip(sorted(got[e]), want, strict=True) for x, y in zip(p, q))
+    assert profile_ops.oversample(df, "alone").count() == profile_ops.oversample(df, "none").count() == 0
+
+
+def test_rare_windows_are_doubled(spark, data):
+    rare = sum(r["label"] == "Very Aggressive" for r in labelled_windows(spark, data).select("label").collect())
+    assert len(run(spark, data, "minority_synthesis")) == rare
