@@ -3,7 +3,7 @@
 Items are indexed as BM25 impacts, divided by the item's score against itself,
 so a passage that holds the whole item scores 1. Postings lie in blocks with
 their largest impacts. Every document is cut into overlapping passages, longer
-than twice the longest item of the block, so that each item lies whole in some passage. A
+than twice the longest item of the benchmark, so that each item lies whole in some passage. A
 passage is searched by block-max WAND for all items at or above `threshold`; it
 enters the search only if its essential terms, without which no item can reach
 the threshold, leave it a chance (the pivot condition, tested over arrays).
@@ -12,7 +12,8 @@ has too, for the question and for the answer (the last sentence, or the last
 fifth of the words), must both reach `overlap`.
 
 The index is sent to every task only as blocks of at most `INDEX_ITEMS` items;
-a larger benchmark is searched block after block.
+a larger benchmark is searched block after block. Its number of items, document
+frequencies and lengths are counted over all of it, so blocks change no score.
 
 Defined cases: words are runs of letters and digits with A-Z lower-cased, bytes
 beyond ASCII counting as letters; null or empty texts hold nothing; items
@@ -58,22 +59,27 @@ def grams(words: list) -> set:
 
 
 class Index:
-    """Block-max BM25 index of some items. Impacts are shares of an item's own score."""
+    """Block-max BM25 index of some items. Impacts are shares of an item's own score.
 
-    def __init__(self, items: list[tuple[int, str]], threshold: float):
+    whole: of a benchmark that these are only a block of, the number of items, its words, the longest item's words, and the items of each term of the block.
+    """
+
+    def __init__(self, items: list[tuple[int, str]], threshold: float, whole: tuple[int, int, int, dict[int, int]] | None = None):
         self.ids, self.texts, self.threshold = [i for i, _ in items], [t or "" for _, t in items], threshold
         array = pa.array(self.texts, pa.string())
         hashes, ends = wordhash.word_hashes(array, lower=True, punctuation=True)
         self.longest = int(np.diff(ends).max(initial=1))
         held = [Counter(hashes[ends[i] : ends[i + 1]].tolist()) for i in range(len(items))]
-        df = Counter(t for h in held for t in h)
-        mean = max(1.0, sum(np.diff(ends)) / max(1, len(items)))
+        count, total, df = len(items), sum(np.diff(ends)), Counter(t for h in held for t in h)
+        if whole:
+            count, total, self.longest, df = whole
+        mean = max(1.0, total / max(1, count))
         posts: dict[int, list[tuple[int, float]]] = {}
         self.rest = np.zeros(len(items))  # what an item's non-essential terms are worth together
         essential: dict[int, list[tuple[int, float]]] = {}
         for i, h in enumerate(held):
             size = sum(h.values())
-            raw = {t: np.log1p((len(items) - df[t] + 0.5) / (df[t] + 0.5)) * n * (K1 + 1) / (n + K1 * (1 - B + B * size / mean)) for t, n in h.items()}
+            raw = {t: np.log1p((count - df[t] + 0.5) / (df[t] + 0.5)) * n * (K1 + 1) / (n + K1 * (1 - B + B * size / mean)) for t, n in h.items()}
             own = sum(raw.values())
             for t, x in raw.items():
                 posts.setdefault(t, []).append((i, x / own))
@@ -196,6 +202,14 @@ class Index:
 _LEAK = "doc_id long, item_id long, score double, question_overlap double, answer_overlap double"
 
 
+def _item_terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The block, the number of words and the distinct terms of each item."""
+    for batch in batches:
+        hashes, ends = wordhash.word_hashes(batch.column("text"), lower=True, punctuation=True)
+        terms = [np.unique(hashes[a:b]).astype(np.uint64).view(np.int64) for a, b in zip(ends[:-1], ends[1:])]
+        yield pa.RecordBatch.from_arrays([batch.column("block"), pa.array(np.diff(ends).astype(np.int64)), pa.array(terms, pa.list_(pa.int64()))], names=["block", "words", "terms"])
+
+
 def leaks(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.5, overlap: float = 0.5) -> DataFrame:
     """doc_id, item_id, score, question_overlap, answer_overlap of every document and test item it gives away."""
     spark = docs.sparkSession
@@ -204,9 +218,19 @@ def leaks(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.5, overlap
     blocks = max(1, -(-size["n"] // INDEX_ITEMS), -(-size["bytes"] // INDEX_BYTES))
     own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where(F.length("text") > 0)
     found = spark.createDataFrame([], _LEAK)
+    if blocks > 1:
+        items = items.withColumn("block", F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)))
+        terms = common.stored(spark, items.select("block", "text").mapInArrow(_item_terms, "block long, words long, terms array<long>"), "items")
+        length = terms.agg(F.sum("words").alias("total"), F.max("words").alias("longest")).first()
+        held = terms.select("block", F.explode("terms").alias("term"))
+        df = common.stored(spark, held.groupBy("term").agg(F.count(F.lit(1)).alias("n")), "terms")
     for b in range(blocks):
-        part = items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == b) if blocks > 1 else items
-        index = Index(sorted((r["item_id"], r["text"]) for r in part.collect()), threshold)
+        part, whole = items, None
+        if blocks > 1:
+            part = items.where(F.col("block") == b)
+            own_df = held.where(F.col("block") == b).select("term").distinct().join(df, "term").collect()
+            whole = size["n"], length["total"], max(1, length["longest"]), {r["term"] % (1 << 64): r["n"] for r in own_df}
+        index = Index(sorted((r["item_id"], r["text"]) for r in part.select("item_id", "text").collect()), threshold, whole)
 
         def run(batches: Iterator[pa.RecordBatch], index: Index = index) -> Iterator[pa.RecordBatch]:
             for batch in (x for whole in batches for x in wordhash.slices(whole)):
