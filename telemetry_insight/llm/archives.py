@@ -16,7 +16,10 @@ that Spark reads will do; files stay near `FILE_BYTES`.
 
 Defined cases: null html is an empty payload; a null url becomes urn:empty;
 white space in urls is percent-encoded; equal pages of one page_id are all
-responses, as the smallest id has no smaller one to refer to.
+responses, as the smallest id has no smaller one to refer to; pages with a null
+page_id have an identifier of their content that reads back as null, and count as
+after all others: a revisit of the smallest id with an equal payload, if there is
+one, else a response, and nothing refers to them.
 """
 
 from __future__ import annotations
@@ -45,15 +48,20 @@ ARC_FIELDS = {
 REVISIT_PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 _SPACE = uuid.UUID("6ba7b811-9dad-11d1-80b4-00c04fd430c8").int >> 64 << 64
 _SIGN = 1 << 63
+#: Where the identifiers of pages without an id lie.
+_NO_ID = uuid.UUID("6ba7b812-9dad-11d1-80b4-00c04fd430c8").int >> 64 << 64
 
 
-def record_id(page_id: int) -> str:
-    """A record identifier that page_id can be read back from."""
+def record_id(page_id: int | None, content: bytes = b"") -> str:
+    """A record identifier that page_id can be read back from; that of a null page_id is made of the content."""
+    if page_id is None:
+        return f"<urn:uuid:{uuid.UUID(int=_NO_ID | int.from_bytes(hashlib.sha1(content).digest()[:8], 'big'))}>"
     return f"<urn:uuid:{uuid.UUID(int=_SPACE | (page_id + _SIGN))}>"
 
 
-def page_of(identifier: str) -> int:
-    return (uuid.UUID(identifier.strip("<>")).int & ((1 << 64) - 1)) - _SIGN
+def page_of(identifier: str) -> int | None:
+    number = uuid.UUID(identifier.strip("<>")).int
+    return None if number >> 64 << 64 == _NO_ID else (number & ((1 << 64) - 1)) - _SIGN
 
 
 def sha1_base32(data: bytes) -> str:
@@ -64,11 +72,12 @@ def _clean_url(url: str | None) -> str:
     return "".join(c if " " < c < "\x7f" else "".join(f"%{b:02X}" for b in c.encode()) for c in url or "") or "urn:empty"
 
 
-def http_response(payload: bytes, page_id: int) -> bytes:
-    return b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nX-Page-Id: %d\r\nContent-Length: %d\r\n\r\n" % (page_id, len(payload)) + payload
+def http_response(payload: bytes, page_id: int | None) -> bytes:
+    shown = b"" if page_id is None else b"%d" % page_id
+    return b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nX-Page-Id: %b\r\nContent-Length: %d\r\n\r\n" % (shown, len(payload)) + payload
 
 
-def arc_archive(pages: list[tuple[int, str | None, bytes]], version: int = 1, date: str = "20240101000000") -> bytes:
+def arc_archive(pages: list[tuple[int | None, str | None, bytes]], version: int = 1, date: str = "20240101000000") -> bytes:
     """A legacy archive of these pages (page_id, url, payload)."""
     block = f"{version} 0 archive\n{ARC_FIELDS[version]}\n\n".encode()
     out = [arc_line("filedesc://legacy.arc", "0.0.0.0", date, "text/plain", len(block), version), block, b"\n"]
@@ -120,9 +129,10 @@ def warc_time(date14: str) -> str:
 def convert_record(record: dict, refers_to: int | None = None) -> bytes:
     """The WARC record for an ARC record; a revisit of the record of page refers_to, if given."""
     head, _, payload = record["body"].partition(b"\r\n\r\n")
-    page_id = int(next(x.split(b":", 1)[1] for x in head.split(b"\r\n") if x.lower().startswith(b"x-page-id:")))
+    shown = next(x.split(b":", 1)[1] for x in head.split(b"\r\n") if x.lower().startswith(b"x-page-id:")).strip()
+    page_id = int(shown) if shown else None
     headers = [
-        ("WARC-Type", "response" if refers_to is None else "revisit"), ("WARC-Record-ID", record_id(page_id)),
+        ("WARC-Type", "response" if refers_to is None else "revisit"), ("WARC-Record-ID", record_id(page_id, record["URL"].encode() + b"\n" + payload)),
         ("WARC-Date", warc_time(record["Archive-date"])), ("WARC-Target-URI", record["URL"]), ("WARC-IP-Address", record["IP-address"]),
         ("Content-Type", "application/http; msgtype=response"), ("WARC-Payload-Digest", "sha1:" + sha1_base32(payload)),
     ]
@@ -162,19 +172,20 @@ def members(data: bytes) -> Iterator[bytes]:
 
 
 def with_revisits(pages: DataFrame, at_least: int = 0) -> DataFrame:
-    """pages with refers_to: the smallest page_id with an equal payload, where that is smaller and the payload has at_least bytes.
+    """pages with refers_to: the smallest page_id with an equal payload, where that is smaller and the payload has at_least bytes. A null page_id is larger than all others.
 
     Only ids and digests move for the decision; a digest that a third of all pages share is counted in partial aggregates.
     """
     payload = F.coalesce("html", F.lit("")).cast("binary")
+    named = {"_id": F.coalesce("page_id", F.lit(0)), "_none": F.col("page_id").isNull()}
     keys = pages.select("page_id", F.sha1(payload).alias("digest")).where(F.octet_length(payload) >= at_least)
-    first = keys.groupBy("digest").agg(F.min("page_id").alias("first"), F.max("page_id").alias("last")).where(F.col("first") < F.col("last"))
-    later = keys.join(first, "digest").where(F.col("page_id") > F.col("first"))
-    refs = later.select("page_id", "digest", F.col("first").alias("refers_to")).distinct()
-    return pages.withColumn("digest", F.sha1(payload)).hint("shuffle_hash").join(refs.hint("shuffle_hash"), ["page_id", "digest"], "left").drop("digest")
+    first = keys.groupBy("digest").agg(F.min("page_id").alias("first"), F.max("page_id").alias("last"), F.count_if(F.col("page_id").isNull()).alias("none")).where((F.col("first") < F.col("last")) | (F.col("first").isNotNull() & (F.col("none") > 0))).drop("last", "none")
+    later = keys.join(first, "digest").where(F.col("page_id").isNull() | (F.col("page_id") > F.col("first")))
+    refs = later.select(*[c.alias(n) for n, c in named.items()], "digest", F.col("first").alias("refers_to")).distinct()
+    return pages.withColumns(named | {"digest": F.sha1(payload)}).hint("shuffle_hash").join(refs.hint("shuffle_hash"), ["_id", "_none", "digest"], "left").drop("digest", *named)
 
 
-def write_warc(pages: DataFrame, path: str, version_of=lambda page_id: 1 + page_id % 2) -> None:
+def write_warc(pages: DataFrame, path: str, version_of=lambda page_id: 1 + (page_id or 0) % 2) -> None:
     """Convert each page's legacy record and write WARC files under path, a URI that every executor reaches."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -258,7 +269,7 @@ def _batch(rows: list[tuple]) -> pa.RecordBatch:
 
 
 def op6_warc(spark, sf_dir: str) -> DataFrame:
-    pages = common.table(spark, sf_dir, "pages").select("page_id", "url", "html").where(F.col("page_id").isNotNull())
+    pages = common.table(spark, sf_dir, "pages").select("page_id", "url", "html")
     path = f"{common.shared_dir(spark)}/warc-{uuid.uuid4().hex}"
     write_warc(with_revisits(pages), path)
     if pages.isEmpty():
