@@ -15,8 +15,11 @@ are grouped and folded with Spark's aggregate():
 Units the fold's map can't hold (over FOLD_CHARS characters, or long runs of
 spaces, whose pieces all have one score) are merged from a heap in Python.
 
-Text is not shuffled: each task packs its documents into a compressed block and
-lists the block's distinct units; encodings come back per block. Decoding maps
+Text is not shuffled row by row: each task packs its documents into compressed blocks and
+lists a block's distinct units; encodings come back per block, which is named by
+its content. A repeated task that meets its rows in another order makes blocks of other
+names; their units have no listing then, and are encoded where the block is.
+Work on words is done on whole Arrow buffers. Decoding maps
 ids to pieces, byte pieces to UTF-8 and space marks to spaces.
 
 Defined cases: a null text gives null ids, an empty one none; characters outside
@@ -28,7 +31,6 @@ from __future__ import annotations
 
 import heapq
 import io
-import re
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass, field
@@ -36,6 +38,7 @@ from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -45,7 +48,6 @@ MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 MARK = "▁"
 FOLD_CHARS, FOLD_RUN = 60, 14
 UNKNOWN_PENALTY = 10.0
-_UNIT = re.compile(f"\n|{MARK}*[^{MARK}\n]+|{MARK}+")
 
 
 @dataclass(frozen=True)
@@ -89,30 +91,24 @@ class Pieces:
     def spelled(self, char: str) -> list[int]:
         return [self.byte_ids[b] for b in char.encode()] if self.byte_ids else [self.unknown]
 
-    def units(self, text: str) -> list[str]:
-        if not text:
-            return []
-        return _UNIT.findall((MARK if self.prefix else "") + text.replace(" ", MARK))
-
-    def words(self, text: str) -> tuple[bool, list[str]]:
-        """The units of a text; if the first value is true, without the space mark that each begins with (single spaces only)."""
-        if self.prefix and text and "  " not in text and text[0] != " " and text[-1] != " " and MARK not in text:
-            return True, text.split(" ")
-        return False, self.units(text)
-
     @cached_property
-    def joined(self) -> set[str]:
-        """Neighbouring characters inside pieces; no piece crosses a place between any other two."""
-        return {t[i : i + 2] for t in self.ids for i in range(len(t) - 1)}
-
-    def split(self, unit: str) -> list[str]:
-        """A unit cut at every place that no piece crosses."""
-        cuts = [i for i in range(1, len(unit)) if unit[i - 1 : i + 1] not in self.joined]
-        return [unit[a:b] for a, b in zip([0, *cuts], [*cuts, len(unit)], strict=True)]
+    def neighbours(self) -> tuple[np.ndarray, np.ndarray]:
+        """A number for each character that stands beside another in some piece (0: none), and which numbers do; no piece crosses a place between two others."""
+        pairs = {(a, b) for t in self.ids for a, b in zip(t.replace(MARK, " "), t.replace(MARK, " ")[1:])}
+        chars = sorted({c for p in pairs for c in p})
+        code = {c: i + 1 for i, c in enumerate(chars)}
+        alphabet = np.zeros(max(map(ord, chars), default=0) + 2, np.int32)
+        alphabet[[ord(c) for c in chars]] = np.arange(1, len(chars) + 1)
+        joins = np.zeros((len(chars) + 1, len(chars) + 1), bool)
+        for a, b in pairs:
+            joins[code[a], code[b]] = True
+        return alphabet, joins
 
     def table(self, spark: SparkSession) -> DataFrame:
-        rows = [(t, i, float(self.scores[i])) for t, i in self.ids.items()]
-        return spark.createDataFrame(rows, "piece string, id int, score double")
+        """Pieces in both spellings, with the space mark and with a space. code: the rank of the score, the best first, above length and id."""
+        ranks = {s: r for r, s in enumerate(sorted({self.scores[i] for i in self.ids.values()}, reverse=True))}
+        rows = [(x, i, float(self.scores[i]), ranks[self.scores[i]] << RANK | min(len(t), 63) << LEN | i) for t, i in self.ids.items() for x in {t, t.replace(MARK, " ")}]
+        return spark.createDataFrame(rows, "piece string, id int, score double, code long")
 
     def merged(self, unit: str) -> list[int]:
         """BPE by a heap of neighbours, best score and leftmost first."""
@@ -144,8 +140,41 @@ class Pieces:
             i = right[i]
         return out
 
-    def folds(self, unit: str) -> bool:
-        return len(unit) <= FOLD_CHARS and MARK * (FOLD_RUN + 1) not in unit
+    def best(self, unit: str) -> list[int]:
+        """Unigram: the path of the largest summed score."""
+        low = min(s for s, ok in zip(self.scores, self.usable, strict=True) if ok) - UNKNOWN_PENALTY
+        score, came = [0.0] + [-np.inf] * len(unit), [(0, -1)] * (len(unit) + 1)
+        for end in range(1, len(unit) + 1):
+            for start in range(max(0, end - self.longest), end):
+                k = self.ids.get(unit[start:end], -1)
+                if k < 0 and end - start > 1:
+                    continue
+                here = score[start] + (self.scores[k] if k >= 0 else low)
+                if here > score[end]:
+                    score[end], came[end] = here, (start, k)
+        out, at = [], len(unit)
+        while at:
+            start, k = came[at]
+            out.append([k] if k >= 0 else self.spelled(unit[start:at]))
+            at = start
+        return [i for part in reversed(out) for i in part]
+
+    def path(self, unit: str) -> list[int]:
+        """A unit's ids, in Python."""
+        return self.merged(unit) if self.kind == "bpe" else self.best(unit)
+
+
+#: Bits of an edge in a long: the rank of its score, its start, its length, its id plus 1.
+RANK, START, LEN = 33, 27, 21
+_AT, _LONG, _ID = f"cast(shiftright(e, {START}) & 63 as int)", f"cast(shiftright(e, {LEN}) & 63 as int)", f"cast(e & {(1 << LEN) - 1} as int) - 1"
+
+
+def _found(units: DataFrame, pieces: Pieces, least: int) -> DataFrame:
+    """unit, n, start, len and the piece, if it is one, of every substring of at least so many characters."""
+    table = pieces.table(units.sparkSession)  # as many rows as the model has pieces, at most twice
+    spots = units.where(F.length("unit") >= least).select("unit", F.length("unit").alias("n"), F.explode(F.sequence(F.lit(0), F.length("unit") - least)).alias("start"))
+    subs = spots.select("unit", "n", "start", F.explode(F.sequence(F.lit(least), F.greatest(F.lit(least), F.least(F.lit(pieces.longest), F.col("n") - F.col("start"))))).alias("len"))
+    return subs.withColumn("piece", F.expr("substring(unit, start + 1, len)")).join(F.broadcast(table), "piece", "inner" if least > 1 else "left")
 
 
 def lattice(units: DataFrame, pieces: Pieces) -> DataFrame:
@@ -153,66 +182,63 @@ def lattice(units: DataFrame, pieces: Pieces) -> DataFrame:
 
     units must hold each unit once. They are dealt out by unit, and the grouping needs no other exchange.
     """
-    table = pieces.table(units.sparkSession)  # as many rows as the model has pieces
-    spots = units.select("unit", F.length("unit").alias("n"), F.explode(F.sequence(F.lit(0), F.length("unit") - 1)).alias("start"))
-    subs = spots.select("unit", "n", "start", F.explode(F.sequence(F.lit(1), F.least(F.lit(pieces.longest), F.col("n") - F.col("start")))).alias("len"))
-    named = subs.withColumn("piece", F.expr("substring(unit, start + 1, len)"))
-    found = named.join(F.broadcast(table), "piece", "left").where(F.col("id").isNotNull() | (F.col("len") == 1))
     low = min(s for s, ok in zip(pieces.scores, pieces.usable, strict=True) if ok) - UNKNOWN_PENALTY
     edge = F.struct(F.coalesce("score", F.lit(low)).alias("score"), F.col("start"), F.col("len"), F.coalesce("id", F.lit(-1)).alias("id"))
-    return found.groupBy("unit", "n").agg(F.collect_list(edge).alias("edges"))
+    return _found(units, pieces, 1).where(F.col("id").isNotNull() | (F.col("len") == 1)).groupBy("unit", "n").agg(F.collect_list(edge).alias("edges"))
 
 
-def _spell(pieces: Pieces) -> Column:
-    """ids of the chosen tokens, array of struct<start, id>; characters without a piece as their bytes."""
-    if not pieces.byte_ids:
-        return F.expr(f"transform(tokens, t -> if(t.id >= 0, t.id, {pieces.unknown}))")
-    if pieces.byte_ids != list(range(pieces.byte_ids[0], pieces.byte_ids[0] + 256)):
-        raise ValueError("byte pieces are expected in a row")
-    spelled = f"transform(sequence(1, octet_length(substring(unit, t.start + 1, 1))), k -> cast(conv(substring(hex(encode(substring(unit, t.start + 1, 1), 'UTF-8')), 2 * k - 1, 2), 16, 10) as int) + {pieces.byte_ids[0]})"
-    return F.expr(f"flatten(transform(tokens, t -> if(t.id >= 0, array(t.id), {spelled})))")
+def ranked_lattice(units: DataFrame, pieces: Pieces, least: int = 2) -> DataFrame:
+    """unit, n, edges as lattice(), each edge a long that sorts by score and start. With least 2, units without an edge that joins characters are left out."""
+    edge = F.coalesce("code", F.shiftleft(F.lit(1).cast("long"), LEN)).bitwiseOR(F.shiftleft(F.col("start").cast("long"), START)) + F.when(F.col("id").isNotNull(), 1).otherwise(0)
+    return _found(units, pieces, least).where(F.col("id").isNotNull() | (F.col("len") == 1)).groupBy("unit", "n").agg(F.sort_array(F.collect_list(edge)).alias("edges"))
 
 
-def fold_merges(edges: DataFrame, pieces: Pieces) -> DataFrame:
-    """unit, ids by BPE: bit i of the state is set while a boundary stands before character i."""
-    ready = edges.select(
-        "unit", "n",
-        F.expr("""transform(array_sort(transform(edges, e -> struct(-e.score as cost, e.start as start, e.len as len, e.id as id))),
-                            e -> struct(e.start as start, e.len as len, e.id as id, shiftleft(shiftleft(1L, e.len + 1) - 1, e.start) as span, shiftleft(shiftleft(1L, e.len) + 1, e.start) as tips))""").alias("edges"),
-    )
-    state = ready.withColumn("state", F.expr("aggregate(filter(edges, e -> e.len > 1), shiftleft(1L, n + 1) - 1, (s, e) -> if((s & e.tips) = e.tips and bit_count(s & e.span) = 3, (s & ~e.span) | e.tips, s))"))
-    tokens = state.select("unit", F.expr("array_sort(transform(filter(edges, e -> (state & e.tips) = e.tips and bit_count(state & e.span) = 2), e -> struct(e.start as start, e.id as id)))").alias("tokens"))
-    return tokens.select("unit", _spell(pieces).alias("ids"))
+def fold_merges(ranked: DataFrame) -> DataFrame:
+    """unit, edges, bounds by BPE: bit i of bounds is set if a token starts at character i, or the unit ends there."""
+    ready = ranked.withColumn("spans", F.expr(f"transform(edges, e -> struct(shiftleft(shiftleft(1L, {_LONG} + 1) - 1, {_AT}) as span, shiftleft(shiftleft(1L, {_LONG}) + 1, {_AT}) as tips))"))
+    # An edge of one character has no boundary inside.
+    return ready.select("unit", "edges", F.expr("aggregate(spans, shiftleft(1L, n + 1) - 1, (s, e) -> if(bit_count(s & e.span) = 3 and (s & e.tips) = e.tips, (s & ~e.span) | e.tips, s))").alias("bounds"))
 
 
-def fold_viterbi(edges: DataFrame, pieces: Pieces) -> DataFrame:
-    """unit, ids by the best summed score: edges by end; the state holds, for each place, the best score and the edge it came by."""
-    ready = edges.select("unit", "n", F.expr("array_sort(transform(edges, e -> struct(e.start + e.len as end, e.start as start, e.score as score, e.id as id)))").alias("edges"))
+def fold_viterbi(edges: DataFrame) -> DataFrame:
+    """unit, bounds by the best summed score: edges by end; the state holds, for each place, the best score and the start of the edge it came by."""
+    ready = edges.select("unit", "n", F.expr("array_sort(transform(edges, e -> struct(e.start + e.len as end, e.start as start, e.score as score)))").alias("edges"))
     best = ready.withColumn("best", F.expr("""
-        aggregate(edges, transform(sequence(0, n), i -> struct(if(i = 0, 0D, -1e300D) as score, -1 as start, -1 as id)),
+        aggregate(edges, transform(sequence(0, n), i -> struct(if(i = 0, 0D, -1e300D) as score, -1 as start)),
             (s, e) -> if(s[e.start].score + e.score > s[e.end].score,
-                         transform(s, (x, i) -> if(i = e.end, struct(s[e.start].score + e.score as score, e.start as start, e.id as id), x)), s))"""))
-    path = best.withColumn("path", F.expr("""
-        aggregate(sequence(1, n), struct(n as at, cast(array() as array<struct<start:int,id:int>>) as tokens),
-            (s, i) -> if(s.at <= 0, s, struct(best[s.at].start as at, concat(array(struct(best[s.at].start as start, best[s.at].id as id)), s.tokens) as tokens)))"""))
-    return path.select("unit", F.col("path.tokens").alias("tokens")).select("unit", _spell(pieces).alias("ids"))
+                         transform(s, (x, i) -> if(i = e.end, struct(s[e.start].score + e.score as score, e.start as start), x)), s))"""))
+    return best.select("unit", F.expr("""
+        aggregate(sequence(1, n), struct(n as at, shiftleft(1L, n) as bounds),
+            (s, i) -> if(s.at <= 0, s, struct(best[s.at].start as at, s.bounds | shiftleft(1L, best[s.at].start) as bounds))).bounds""").alias("bounds"))
 
 
-def encode_units(units: DataFrame, pieces: Pieces) -> DataFrame:
-    fold = fold_merges if pieces.kind == "bpe" else fold_viterbi
-    return fold(lattice(units, pieces), pieces)
+def unit_bounds(units: DataFrame, pieces: Pieces) -> DataFrame:
+    """unit, bounds: where a unit's tokens start. BPE units in which nothing joins are left out."""
+    return fold_merges(ranked_lattice(units, pieces)).select("unit", "bounds") if pieces.kind == "bpe" else fold_viterbi(lattice(units, pieces))
 
 
-def _block_id(table: pa.Table) -> int:
-    """From the ids and texts of a block, so that both passes name a block alike; blocks of one name hold the same texts."""
-    x = table["doc_id"].cast(pa.int64()).fill_null(-(1 << 63)).to_numpy().astype(np.int64).view(np.uint64)
-    raw, offsets = wordhash.buffers(table["text"])
-    up, _ = wordhash.powers(wordhash.WORD_BASE, len(x))
-    mark = wordhash.mix(x + wordhash.mix(offsets[1:].astype(np.uint64))) * up[: len(x)]
-    return int(wordhash.mix(mark.sum(dtype=np.uint64, keepdims=True) ^ np.uint64(zlib.crc32(raw)))[0].view(np.int64))
+def encode_units(units: DataFrame, pieces: Pieces) -> DataFrame:
+    """unit, ids: the tokens between the bounds, looked up in the piece table; characters without a piece as their bytes."""
+    once = units.select("unit", F.length("unit").alias("n"))
+    full = once.join(unit_bounds(units, pieces), "unit", "left").withColumn("bounds", F.coalesce("bounds", F.expr("shiftleft(1L, n + 1) - 1")))
+    starts = full.select("unit", F.posexplode(F.expr("filter(sequence(0, n), i -> (shiftright(bounds, i) & 1) = 1)")).alias("k", "at"), F.expr("filter(sequence(0, n), i -> (shiftright(bounds, i) & 1) = 1)").alias("every"))
+    tokens = starts.where(F.col("k") < F.size("every") - 1).select("unit", "k", F.expr("substring(unit, at + 1, every[k + 1] - at)").alias("piece"))
+    named = tokens.join(F.broadcast(pieces.table(units.sparkSession).select("piece", "id")), "piece", "left")
+    own = F.when(F.col("id").isNotNull(), F.array("id")).otherwise(_bytes(F.col("piece"), pieces))
+    return named.groupBy("unit").agg(F.flatten(F.transform(F.array_sort(F.collect_list(F.struct("k", own.alias("ids")))), lambda x: x["ids"])).alias("ids"))
+
+
+def _bytes(char: Column, pieces: Pieces) -> Column:
+    """ids of a character without a piece."""
+    if not pieces.byte_ids:
+        return F.array(F.lit(pieces.unknown))
+    if pieces.byte_ids != list(range(pieces.byte_ids[0], pieces.byte_ids[0] + 256)):
+        raise ValueError("byte pieces are expected in a row")
+    code = F.hex(F.encode(char, "UTF-8"))
+    return F.transform(F.sequence(F.lit(1), F.octet_length(char)), lambda k: F.conv(F.substring(code, 2 * k - 1, F.lit(2)), 16, 10).cast("int") + pieces.byte_ids[0])
 
 
-BLOCK_BYTES = 16 << 20
+BLOCK_BYTES = 8 << 20
 
 
 def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
@@ -221,32 +247,94 @@ def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
         held.append(batch)
         size += batch.nbytes
         if size >= BLOCK_BYTES:
-            yield pa.Table.from_batches(held)
+            yield pa.Table.from_batches(held).combine_chunks()
             held, size = [], 0
     if held:
-        yield pa.Table.from_batches(held)
+        yield pa.Table.from_batches(held).combine_chunks()
+
+
+def _block_id(table: pa.Table) -> int:
+    """From the ids and texts of a block: blocks of one name hold the same rows, whichever task cut them."""
+    x = table["doc_id"].cast(pa.int64()).fill_null(-(1 << 63)).to_numpy().astype(np.int64).view(np.uint64)
+    raw, offsets = wordhash.buffers(table["text"])
+    up, _ = wordhash.powers(wordhash.WORD_BASE, len(x))
+    mark = wordhash.mix(x + wordhash.mix(offsets[1:].astype(np.uint64))) * up[: len(x)]
+    return int(wordhash.mix(mark.sum(dtype=np.uint64, keepdims=True) ^ np.uint64(zlib.crc32(raw)))[0].view(np.int64))
+
 
+def _strings(raw: np.ndarray, starts: np.ndarray) -> pa.Array:
+    """Neighbouring pieces of a buffer as strings; starts has the end as its last entry. Nothing is copied."""
+    return pa.Array.from_buffers(pa.large_string(), len(starts) - 1, [None, pa.py_buffer(np.ascontiguousarray(starts, np.int64)), pa.py_buffer(raw)])
 
-def _distinct(table: pa.Table, pieces: Pieces) -> set[str]:
-    """The distinct units of a block's texts."""
-    bare: set[str] = set()
-    marked: set[str] = set()
-    for text in table["text"]:
-        short, own = pieces.words(text.as_py() or "")
-        (bare if short else marked).update(own)
-    marked.update(MARK + x for x in bare)
-    return marked
+
+@dataclass
+class Units:
+    """A block's texts as numbers: rows of units, units of parts that no piece crosses. Space marks are spaces here."""
+
+    rows: np.ndarray  # row pointer into words
+    words: pa.Array  # the unit of each word
+    cuts: np.ndarray  # unit pointer into links
+    links: pa.Array  # the part of each of a unit's places
+    parts: pa.Array  # distinct parts
+
+    @classmethod
+    def of(cls, texts: pa.Array, pieces: Pieces) -> Units:
+        texts = texts.combine_chunks() if isinstance(texts, pa.ChunkedArray) else texts
+        texts = texts.cast(pa.large_string()).fill_null("")
+        if pc.any(pc.match_substring(texts, MARK)).as_py():
+            texts = pc.replace_substring(texts, MARK, " ")
+        if pieces.prefix:
+            texts = pc.if_else(pc.equal(pc.binary_length(texts), 0), texts, pc.binary_join_element_wise(pa.scalar(" ", pa.large_string()), texts, pa.scalar("", pa.large_string())))
+        raw, offsets = wordhash.buffers(texts)
+        line, space = raw == 10, raw == 32
+        first = np.zeros(len(raw) + 1, bool)
+        first[:-1] = line
+        first[1:] |= line
+        first[1:-1] |= space[1:] & ~space[:-1]
+        first[offsets] = True  # rows, and the end
+        starts = np.flatnonzero(first)
+        del line, space, first
+        rows = np.searchsorted(starts, offsets)
+        coded = _strings(raw, starts).dictionary_encode()
+        cuts, links, parts = cls._parts(coded.dictionary, pieces)
+        return cls(rows, coded.indices, cuts, links, parts)
+
+    @staticmethod
+    def _parts(units: pa.Array, pieces: Pieces) -> tuple[np.ndarray, pa.Array, pa.Array]:
+        raw, _ = wordhash.buffers(units)
+        chars = np.frombuffer(raw.tobytes().decode().encode("utf-32-le"), np.uint32)
+        begins = np.concatenate(([0], np.cumsum(pc.utf8_length(units).to_numpy()))).astype(np.int64)
+        alphabet, joins = pieces.neighbours
+        code = alphabet[np.minimum(chars, len(alphabet) - 1)]
+        cut = np.ones(len(chars) + 1, bool)
+        cut[1:-1] = ~joins[code[:-1], code[1:]]
+        cut[begins] = True
+        at = np.flatnonzero(cut)
+        place = np.zeros(len(chars) + 1, np.int64)
+        np.cumsum(1 + (chars >= 0x80) + (chars >= 0x800) + (chars >= 0x10000), out=place[1:])
+        coded = _strings(raw, place[at]).dictionary_encode()
+        return np.searchsorted(at, begins), coded.indices, coded.dictionary
+
+    def listed(self) -> np.ndarray:
+        """Places of the parts that the fold can hold; the others are few."""
+        return np.flatnonzero(pc.and_(pc.less_equal(pc.utf8_length(self.parts), FOLD_CHARS), pc.invert(pc.match_substring(self.parts, " " * (FOLD_RUN + 1)))).to_numpy(zero_copy_only=False))
+
+
+def _release() -> None:
+    """A worker waits for its next task with as little memory as it can."""
+    pa.default_memory_pool().release_unused()
 
 
 def _list_units(pieces: Pieces):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for table in _blocks(batches):
-            block, seen = _block_id(table), _distinct(table, pieces)
-            # The place in sorted order stands for the unit on the way back.
-            names = sorted(filter(pieces.folds, {x for u in seen for x in pieces.split(u)}))
-            for at in range(0, len(names), 50_000):
-                part = names[at : at + 50_000]
-                yield pa.RecordBatch.from_arrays([pa.array([block] * len(part), pa.int64()), pa.array(range(at, at + len(part)), pa.int32()), pa.array(part, pa.string())], names=["block", "place", "unit"])
+            block, units = _block_id(table), Units.of(table["text"], pieces)
+            place = units.listed()
+            for at in range(0, len(place), 50_000):
+                part = place[at : at + 50_000]
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), block, np.int64)), pa.array(part.astype(np.int32)), units.parts.take(pa.array(part)).cast(pa.string())], names=["block", "place", "unit"])
+            del units, table
+            _release()
 
     return run
 
@@ -255,40 +343,79 @@ def _pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for table in _blocks(batches):
         out = io.BytesIO()
         with pa.ipc.new_stream(out, table.schema, options=pa.ipc.IpcWriteOptions(compression=pa.Codec("zstd", 6))) as f:
-            f.write_table(table.combine_chunks())
+            f.write_table(table)
         yield pa.RecordBatch.from_arrays([pa.array([_block_id(table)], pa.int64()), pa.array([out.getvalue()], pa.binary())], names=["block", "docs"])
+        del table, out
+        _release()
 
 
 def _encode_block(pieces: Pieces):
+    kind = np.dtype(np.uint16 if len(pieces.texts) < 1 << 16 else np.int32)
+    names = pa.array([t.replace(MARK, " ") for t in pieces.ids], pa.large_string())
+    numbers = np.array(list(pieces.ids.values()), kind)
+
+    def spelled(parts: pa.Array, places: np.ndarray, bounds: np.ndarray) -> pa.Array:
+        """The ids of each part, packed in bytes, from where its tokens start.
+
+        Parts that were not listed, or whose listing was cut otherwise by a repeated task, are encoded here.
+        """
+        chars = pc.utf8_length(parts).to_numpy().astype(np.int64)
+        first = np.concatenate(([0], np.cumsum(chars)))
+        known = np.zeros(len(parts), bool)
+        known[places] = True
+        starts = np.ones(int(first[-1]), bool)
+        owner = np.repeat(np.arange(len(parts)), chars)
+        of = np.zeros(len(parts), np.int64)
+        of[places] = bounds
+        listed = np.flatnonzero(known[owner])
+        starts[listed] = (of[owner[listed]] >> (listed - first[owner[listed]])) & 1
+        raw, _ = wordhash.buffers(parts)
+        lead = np.flatnonzero((raw & 0xC0) != 0x80)  # the byte that each character begins with
+        at = np.flatnonzero(starts)
+        tokens = _strings(raw, np.append(lead[at], len(raw)))
+        found = pc.index_in(tokens, names).fill_null(-1).to_numpy()
+        size = np.where(found >= 0, 1, 0)
+        ids = numbers[np.maximum(found, 0)]
+        odd = {}  # characters without a piece, and units beyond the fold
+        for i in np.flatnonzero(found < 0).tolist():
+            odd[i] = pieces.spelled(tokens[i].as_py())
+            size[i] = len(odd[i])
+        ends = np.concatenate(([0], np.cumsum(size)))
+        flat = np.repeat(ids, size)
+        for i, x in odd.items():
+            flat[ends[i] : ends[i + 1]] = x
+        cuts = ends[np.searchsorted(at, first)] * kind.itemsize
+        out = pa.Array.from_buffers(pa.large_binary(), len(parts), [None, pa.py_buffer(cuts.astype(np.int64)), pa.py_buffer(flat)])
+        missing = np.flatnonzero(~known)
+        if not len(missing):
+            return out
+        row = np.arange(len(parts))
+        row[missing] = len(parts) + np.arange(len(missing))
+        own = [np.array(pieces.path(u.replace(" ", MARK)), kind).tobytes() for u in parts.take(pa.array(missing)).to_pylist()]
+        return pa.concat_arrays([out, pa.array(own, pa.large_binary())]).take(pa.array(row))
+
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        if not left.num_rows:
-            if right.num_rows:
-                raise ValueError("units of a block without documents: the two passes cut the input differently")
-            return pa.table({"doc_id": pa.array([], pa.int64()), "text": pa.array([], pa.string()), "ids": pa.array([], pa.list_(pa.int32()))})
-        kind = np.uint16 if len(pieces.texts) < 1 << 16 else np.int32
-        places, codes = right["place"].to_numpy(), right["ids"].combine_chunks()
-        by_place = codes.take(pa.array(np.argsort(places, kind="stable"))) if len(places) == len(set(places.tolist())) else codes.take(pa.array(np.unique(places, return_index=True)[1]))
         found: list[pa.Table] = []
+        places, bounds = right["place"].to_numpy(), right["bounds"].fill_null(-1).to_numpy()
         for docs in left["docs"]:
             table = pa.ipc.open_stream(docs.as_py()).read_all()
-            seen = _distinct(table, pieces)
-            # A unit's ids stay packed in bytes: the dictionary is a few times the block's words.
-            every = {x for u in seen for x in pieces.split(u)}
-            code = dict(zip(sorted(filter(pieces.folds, every)), map(pa.BinaryScalar.as_py, by_place), strict=True))
-            code |= {u: np.array(pieces.merged(u), kind).tobytes() for u in every if u not in code}
-            known = {u: b"".join(map(code.__getitem__, pieces.split(u))) for u in seen}
-            bare = {u[1:]: x for u, x in known.items() if u.startswith(MARK)}
-            del seen, every, code
-            ids = []
-            for text in table["text"]:
-                text = text.as_py()
-                if text is None:
-                    ids.append(None)
-                    continue
-                short, own = pieces.words(text)
-                ids.append(np.frombuffer(b"".join(map((bare if short else known).__getitem__, own)), kind).astype(np.int32))
-            found.append(pa.table({"doc_id": table["doc_id"].cast(pa.int64()), "text": table["text"].cast(pa.string()), "ids": pa.array(ids, pa.list_(pa.int32()))}))
-            del known, bare, ids
+            units = Units.of(table["text"], pieces)
+            # Parts to units to words: each step gathers bytes, and a row's ids are one slice of the last.
+            linked = spelled(units.parts, places, bounds).take(units.links)
+            ends = np.frombuffer(linked.buffers()[1], np.int64, len(linked) + 1, 8 * linked.offset)
+            whole = pa.Array.from_buffers(pa.large_binary(), len(units.cuts) - 1, [None, pa.py_buffer(ends[units.cuts]), linked.buffers()[2]])
+            every = whole.take(units.words)
+            del linked, whole
+            ends = np.frombuffer(every.buffers()[1], np.int64, len(every) + 1, 8 * every.offset)[units.rows] // kind.itemsize
+            flat = np.frombuffer(every.buffers()[2], kind, int(ends[-1])) if len(ends) and ends[-1] else np.zeros(0, kind)
+            known = table["text"].combine_chunks().is_null()
+            known = known if isinstance(known, pa.Array) else pa.concat_arrays(known.chunks)
+            ids = pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(flat.astype(np.int32)), mask=known)
+            found.append(pa.table({"doc_id": table["doc_id"].cast(pa.int64()), "text": table["text"].cast(pa.string()), "ids": ids}))
+            del units, every, flat
+        _release()
+        if not found:  # units that a repeated task cut otherwise: no documents have this name
+            return pa.table({"doc_id": pa.array([], pa.int64()), "text": pa.array([], pa.string()), "ids": pa.array([], pa.list_(pa.int32()))})
         return pa.concat_tables(found)
 
     return run
@@ -301,23 +428,21 @@ def encode(docs: DataFrame, pieces: Pieces) -> DataFrame:
     listed = own.mapInArrow(_list_units(pieces), "block long, place int, unit string").repartition(parts, "unit")
     # All three columns are asked for, so that the join below reads this same exchange.
     once = listed.groupBy("unit").agg(F.max("place").alias("p"), F.max("block").alias("b")).where("p >= 0 and b is not null")
-    coded = encode_units(once.select("unit"), pieces)
-    small = "short" if len(pieces.texts) < 1 << 16 else "int"
-    # Two bytes an id on the way back, lowest first.
-    width = 4 if small == "short" else 8
-    swap = "concat(substring(h, 3, 2), substring(h, 1, 2))" if width == 4 else "concat(substring(h, 7, 2), substring(h, 5, 2), substring(h, 3, 2), substring(h, 1, 2))"
-    packed = coded.select("unit", F.expr(f"unhex(array_join(transform(ids, i -> transform(array(lpad(hex(i), {width}, '0')), h -> {swap})[0]), ''))").alias("ids"))
-    back = listed.join(packed, "unit").select("block", "place", "ids")
+    # A unit in which nothing joins has no bounds: all its characters are tokens.
+    back = listed.join(unit_bounds(once.select("unit"), pieces), "unit", "left").select("block", "place", "bounds")
     packs = own.mapInArrow(_pack, "block long, docs binary")
     return packs.groupBy("block").cogroup(back.groupBy("block")).applyInArrow(_encode_block(pieces), "doc_id long, text string, ids array<int>")
 
 
+DECODE_ROWS = 1000
+
+
 def decode(encoded: DataFrame, pieces: Pieces) -> DataFrame:
     """encoded with decoded: the text of ids."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = pa.array(pieces.raw, pa.large_binary())
-        for batch in batches:
+        for batch in (whole.slice(at, DECODE_ROWS) for whole in batches for at in range(0, max(1, whole.num_rows), DECODE_ROWS)):
             lists = batch.column("ids")
             # Every id's bytes, one after another: a row's text is one slice of them.
             spelled = table.take(lists.flatten())
