@@ -172,7 +172,8 @@ _AT, _LONG, _ID = f"cast(shiftright(e, {START}) & 63 as int)", f"cast(shiftright
 def _found(units: DataFrame, pieces: Pieces, least: int) -> DataFrame:
     """unit, n, start, len and the piece, if it is one, of every substring of at least so many characters."""
     table = pieces.table(units.sparkSession)  # as many rows as the model has pieces, at most twice
-    spots = units.where(F.length("unit") >= least).select("unit", F.length("unit").alias("n"), F.explode(F.sequence(F.lit(0), F.length("unit") - least)).alias("start"))
+    sized = units if "n" in units.columns else units.withColumn("n", F.length("unit"))
+    spots = sized.where(F.col("n") >= least).select("unit", "n", F.explode(F.sequence(F.lit(0), F.col("n") - least)).alias("start"))
     subs = spots.select("unit", "n", "start", F.explode(F.sequence(F.lit(least), F.greatest(F.lit(least), F.least(F.lit(pieces.longest), F.col("n") - F.col("start"))))).alias("len"))
     return subs.withColumn("piece", F.expr("substring(unit, start + 1, len)")).join(F.broadcast(table), "piece", "inner" if least > 1 else "left")
 
@@ -349,7 +350,7 @@ def _pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         _release()
 
 
-def _encode_block(pieces: Pieces):
+def _encode_block(pieces: Pieces, back: bool):
     kind = np.dtype(np.uint16 if len(pieces.texts) < 1 << 16 else np.int32)
     names = pa.array([t.replace(MARK, " ") for t in pieces.ids], pa.large_string())
     numbers = np.array(list(pieces.ids.values()), kind)
@@ -394,8 +395,11 @@ def _encode_block(pieces: Pieces):
         own = [np.array(pieces.path(u.replace(" ", MARK)), kind).tobytes() for u in parts.take(pa.array(missing)).to_pylist()]
         return pa.concat_arrays([out, pa.array(own, pa.large_binary())]).take(pa.array(row))
 
+    spelling = pa.array(pieces.raw, pa.large_binary()) if back else None
+    schema = pa.schema([("doc_id", pa.int64()), ("text", pa.string()), ("ids", pa.list_(pa.int32())), *([("decoded", pa.string())] if back else [])])
+
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        found: list[pa.Table] = []
+        found: list[pa.RecordBatch] = []
         places, bounds = right["place"].to_numpy(), right["bounds"].fill_null(-1).to_numpy()
         for docs in left["docs"]:
             table = pa.ipc.open_stream(docs.as_py()).read_all()
@@ -411,50 +415,55 @@ def _encode_block(pieces: Pieces):
             known = table["text"].combine_chunks().is_null()
             known = known if isinstance(known, pa.Array) else pa.concat_arrays(known.chunks)
             ids = pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(flat.astype(np.int32)), mask=known)
-            found.append(pa.table({"doc_id": table["doc_id"].cast(pa.int64()), "text": table["text"].cast(pa.string()), "ids": ids}))
+            coded = pa.table({"doc_id": table["doc_id"].cast(pa.int64()), "text": table["text"].cast(pa.string()), "ids": ids}).combine_chunks()
             del units, every, flat
+            # In small batches, so that neither side holds a block in several forms.
+            found += [_with_texts(b, spelling, pieces.prefix) if back else b for b in coded.to_batches(max_chunksize=ROWS)]
         _release()
-        if not found:  # units that a repeated task cut otherwise: no documents have this name
-            return pa.table({"doc_id": pa.array([], pa.int64()), "text": pa.array([], pa.string()), "ids": pa.array([], pa.list_(pa.int32()))})
-        return pa.concat_tables(found)
+        return pa.Table.from_batches(found, schema)  # none where a repeated task cut the units otherwise: no documents have this name
 
     return run
 
 
-def encode(docs: DataFrame, pieces: Pieces) -> DataFrame:
-    """doc_id, text, ids."""
+def encode(docs: DataFrame, pieces: Pieces, back: bool = False) -> DataFrame:
+    """doc_id, text, ids; with back also decoded, the text of ids."""
     parts = 8 * common.partitions(docs.sparkSession)  # a unit's edges are some hundred times the unit
     own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    listed = own.mapInArrow(_list_units(pieces), "block long, place int, unit string").repartition(parts, "unit")
-    # All three columns are asked for, so that the join below reads this same exchange.
-    once = listed.groupBy("unit").agg(F.max("place").alias("p"), F.max("block").alias("b")).where("p >= 0 and b is not null")
+    listed = own.mapInArrow(_list_units(pieces), "block long not null, place int not null, unit string not null").repartition(parts, "unit")
+    # All three columns are asked for and nothing is filtered before the grouping, so that the join below reads this same exchange.
+    once = listed.groupBy("unit").agg(F.max("place").alias("p"), F.max("block").alias("b"), F.max(F.length("unit")).alias("n")).where("p >= 0 and b is not null")
     # A unit in which nothing joins has no bounds: all its characters are tokens.
-    back = listed.join(unit_bounds(once.select("unit"), pieces), "unit", "left").select("block", "place", "bounds")
+    bounds = listed.join(unit_bounds(once.select("unit", "n"), pieces), "unit", "left").select("block", "place", "bounds")
     packs = own.mapInArrow(_pack, "block long, docs binary")
-    return packs.groupBy("block").cogroup(back.groupBy("block")).applyInArrow(_encode_block(pieces), "doc_id long, text string, ids array<int>")
+    out = "doc_id long, text string, ids array<int>" + ", decoded string" * back
+    return packs.groupBy("block").cogroup(bounds.groupBy("block")).applyInArrow(_encode_block(pieces, back), out)
+
+
+ROWS = 1000
 
 
-DECODE_ROWS = 1000
+def _with_texts(batch: pa.RecordBatch, spelling: pa.Array, prefix: bool) -> pa.RecordBatch:
+    """batch with decoded: every id's bytes, one after another; a row's text is one slice of them."""
+    lists = batch.column("ids")
+    spelled = spelling.take(lists.flatten())
+    ends = np.frombuffer(spelled.buffers()[1], np.int64) if len(spelled) else np.zeros(1, np.int64)
+    data = memoryview(spelled.buffers()[2]) if len(spelled) and spelled.buffers()[2] is not None else memoryview(b"")
+    sizes = lists.value_lengths().fill_null(0).to_numpy(zero_copy_only=False)
+    at = ends[np.concatenate(([0], np.cumsum(sizes))).astype(np.int64)]
+    texts = []
+    for i, known in enumerate(lists.is_valid().to_pylist()):
+        text = str(data[at[i] : at[i + 1]], "utf-8", "replace") if known else None
+        texts.append(text[1:] if text and prefix and text[0] == " " else text)
+    return pa.RecordBatch.from_arrays([*batch.columns, pa.array(texts, pa.string())], names=[*batch.schema.names, "decoded"])
 
 
 def decode(encoded: DataFrame, pieces: Pieces) -> DataFrame:
     """encoded with decoded: the text of ids."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = pa.array(pieces.raw, pa.large_binary())
-        for batch in (whole.slice(at, DECODE_ROWS) for whole in batches for at in range(0, max(1, whole.num_rows), DECODE_ROWS)):
-            lists = batch.column("ids")
-            # Every id's bytes, one after another: a row's text is one slice of them.
-            spelled = table.take(lists.flatten())
-            ends = np.frombuffer(spelled.buffers()[1], np.int64) if len(spelled) else np.zeros(1, np.int64)
-            data = memoryview(spelled.buffers()[2]) if len(spelled) and spelled.buffers()[2] is not None else memoryview(b"")
-            sizes = lists.value_lengths().fill_null(0).to_numpy(zero_copy_only=False)
-            at = ends[np.concatenate(([0], np.cumsum(sizes))).astype(np.int64)]
-            texts = []
-            for i, known in enumerate(lists.is_valid().to_pylist()):
-                text = str(data[at[i] : at[i + 1]], "utf-8", "replace") if known else None
-                texts.append(text[1:] if text and pieces.prefix and text[0] == " " else text)
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(texts, pa.string())], names=[*batch.schema.names, "decoded"])
+        spelling = pa.array(pieces.raw, pa.large_binary())
+        for batch in (whole.slice(at, ROWS) for whole in batches for at in range(0, max(1, whole.num_rows), ROWS)):
+            yield _with_texts(batch, spelling, pieces.prefix)
 
     from pyspark.sql import types as T
 
@@ -465,7 +474,7 @@ def decode(encoded: DataFrame, pieces: Pieces) -> DataFrame:
 def op4_sentencepiece(spark, sf_dir: str, model: str = MODEL) -> DataFrame:
     """doc_id, n_pieces, ids_sha256 (ids joined by spaces), same_text: decoding gives the text back, space marks read as spaces."""
     pieces = Pieces.load(model)
-    coded = decode(encode(common.table(spark, sf_dir, "documents"), pieces), pieces)
+    coded = encode(common.table(spark, sf_dir, "documents"), pieces, back=True)
     return coded.select(
         "doc_id",
         F.when(F.col("ids").isNull(), 0).otherwise(F.size("ids")).cast("long").alias("n_pieces"),
