@@ -12,14 +12,18 @@ ones. Elements go by how common they are in a fixed-size count sketch, then by
 hash, so common passages come last; any order gives the same result.
 
 Groups of copies never become all pairs. Equal sets are one class from the
-start. Each class is compared with the nearest leader of its lists, and the links found
-so are joined into components; only classes of a common list that are still in
-different components are compared one by one, after a bound on their difference from their parity maps.
-Every linked pair is therefore compared or already connected, and components are exact.
+start, and lists of the same classes are one list. Then rounds go over the lists
+that hold several components: each class is paired with its nearest few
+of other components there, by parity maps that bound the difference of two sets;
+the pairs are verified and join components. The first round looks at a
+few heads of each list only, later ones at every class, and their few
+grow until no class has more candidates than that. Every pair that may link is then verified
+or connected, and components are exact. Long lists are cut into blocks, and blocks
+meet pairwise, each in a task of bounded size.
 
 Defined cases: words are runs without ASCII white space, A-Z lower-cased; a
 text with fewer words than n is one element; null or empty texts have empty sets, which
-link with nothing; rows that repeat a doc_id are one node; a null doc_id is left
+link with nothing; rows that repeat a doc_id are one node with the links of all its texts; a null doc_id is left
 without links. Elements and classes are 64-bit hashes.
 """
 
@@ -38,6 +42,11 @@ from . import common, wordhash
 from .components import components
 
 SKETCH_BITS, SEGMENTS = 21, 128
+#: Places of a parity map; lists carry maps of the least size, in WORDS numbers.
+LEAST_PLACES, MOST_PLACES = 256, 1 << 16
+WORDS = [f"p{i}" for i in range(LEAST_PLACES // 64)]
+#: Rows of a list that one task compares with one another, and heads of a list in the first round.
+LIST_BLOCK, HEADS = 4096, 16
 _EMPTY = 0
 
 
@@ -74,9 +83,9 @@ def class_id(s: np.ndarray) -> int:
 def parity_map(s: np.ndarray) -> bytes:
     """Which places an odd number of elements fall on: two maps differ in no more places than the sets do in elements.
 
-    The places grow with the set up to 4096, a power of two of them; halves of a map, one upon the other, are the map of half the places.
+    The places grow with the set, a power of two of them; halves of a map, one upon the other, are the map of half the places.
     """
-    places = min(4096, max(256, 1 << int(max(1, len(s)) - 1).bit_length()))
+    places = min(MOST_PLACES, max(LEAST_PLACES, 1 << int(max(1, len(s)) - 1).bit_length()))
     odd = np.bincount(((s >> np.uint64(20)) & np.uint64(places - 1)).astype(np.int64), minlength=places) & 1
     return np.packbits(odd.astype(np.uint8), bitorder="little").tobytes()
 
@@ -175,48 +184,29 @@ def _postings(width: int, percent: int, boundary: int, level: np.ndarray):
     return run
 
 
-def _shared(percent: int):
-    """From postings sorted by key, n, class: those whose key others have too, each with a leader of its list within reach by size."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held = None  # the last posting, not sent yet: key, n, class, leader, its n, known to be shared
-        for batch in batches:
-            key, n, own = (batch.column(i).to_numpy() for i in range(3))
-            if held is not None:
-                key, n, own = (np.concatenate(([h], x)) for h, x in zip(held[:3], (key, n, own), strict=True))
-            new = np.ones(len(key), bool)
-            new[1:] = (key[1:] != key[:-1]) | (own[1:] != own[:-1])
-            key, n, own = key[new], n[new], own[new]
-            if not len(key):
-                continue
-            same = key[1:] == key[:-1]
-            shared = np.zeros(len(key), bool)
-            shared[1:] |= same
-            shared[:-1] |= same
-            lead, lead_n = own.copy(), n.copy()
-            first = held is not None
-            if first:
-                lead[0], lead_n[0], shared[0] = held[3], held[4], shared[0] | held[5]
-            begins = np.flatnonzero(np.concatenate(([True], ~same)))
-            ends = np.append(begins[1:], len(key))
-            for a, b in zip(begins[ends - begins > 1].tolist(), ends[ends - begins > 1].tolist(), strict=True):
-                at, who, size = a, lead[a], lead_n[a]
-                while at < b:
-                    to = a + int(np.searchsorted(n[a:b], size * 100 // percent, "right"))
-                    if to <= at:
-                        who, size = own[at], n[at]
-                        continue
-                    lead[at:to], lead_n[at:to] = who, size
-                    at = to
-            last = len(key) - 1
-            held = (key[last], n[last], own[last], lead[last], lead_n[last], bool(shared[last]))
-            out = np.flatnonzero(shared[:last])
-            if len(out):
-                yield pa.RecordBatch.from_arrays([pa.array(key[out]), pa.array(n[out].astype(np.int32)), pa.array(own[out]), pa.array(lead[out])], names=["key", "n", "class", "leader"])
-        if held is not None and held[5]:
-            yield pa.RecordBatch.from_arrays([pa.array([held[0]], pa.int64()), pa.array([held[1]], pa.int32()), pa.array([held[2]], pa.int64()), pa.array([held[3]], pa.int64())], names=["key", "n", "class", "leader"])
-
-    return run
+def _shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """From postings sorted by key, n, class: those whose key other classes have too, once each."""
+    held = None  # the last posting, not sent yet: key, n, class, known to be shared
+    for batch in batches:
+        key, n, own = (batch.column(i).to_numpy() for i in range(3))
+        if held is not None:
+            key, n, own = (np.concatenate(([h], x)) for h, x in zip(held[:3], (key, n, own), strict=True))
+        new = np.ones(len(key), bool)
+        new[1:] = (key[1:] != key[:-1]) | (own[1:] != own[:-1])
+        key, n, own = key[new], n[new], own[new]
+        if not len(key):
+            continue
+        same = key[1:] == key[:-1]
+        shared = np.zeros(len(key), bool)
+        shared[1:] |= same
+        shared[:-1] |= same
+        shared[0] |= held is not None and held[3]
+        held = key[-1], n[-1], own[-1], bool(shared[-1])
+        out = np.flatnonzero(shared[:-1])
+        if len(out):
+            yield pa.RecordBatch.from_arrays([pa.array(key[out]), pa.array(n[out].astype(np.int32)), pa.array(own[out])], names=["key", "n", "class"])
+    if held is not None and held[3]:
+        yield pa.RecordBatch.from_arrays([pa.array([held[0]], pa.int64()), pa.array([held[1]], pa.int32()), pa.array([held[2]], pa.int64())], names=["key", "n", "class"])
 
 
 def _classes(width: int):
@@ -230,19 +220,19 @@ def _classes(width: int):
     return run
 
 
-def _nearest_leader(percent: int):
-    """Pairs of class and leader with sizes and parity maps: those that may link, with the places they differ in."""
+def _bounded(percent: int):
+    """Pairs of classes with sizes and parity maps: those that may link, with the places they differ in."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             apart = []
-            for x, y in zip(batch.column("parity").to_pylist(), batch.column("leader_parity").to_pylist(), strict=True):
+            for x, y in zip(batch.column("a_parity").to_pylist(), batch.column("b_parity").to_pylist(), strict=True):
                 u, v = _map_bits([x, y], min(len(x), len(y)))
                 apart.append(int(np.bitwise_count(u ^ v).sum()))
             far = np.array(apart, np.int64)
-            keep = np.flatnonzero(_may_link(far, batch.column("n").to_numpy() + batch.column("leader_n").to_numpy(), percent))
+            keep = np.flatnonzero(_may_link(far, batch.column("a_n").to_numpy() + batch.column("b_n").to_numpy(), percent))
             if len(keep):
-                yield pa.RecordBatch.from_arrays([batch.column("class").take(pa.array(keep)), batch.column("leader").take(pa.array(keep)), pa.array(far[keep])], names=["class", "leader", "apart"])
+                yield pa.RecordBatch.from_arrays([batch.column("a").take(pa.array(keep)), batch.column("b").take(pa.array(keep)), pa.array(far[keep])], names=["a", "b", "apart"])
 
     return run
 
@@ -279,103 +269,77 @@ def _links(pairs: DataFrame, texts: DataFrame, width: int, percent: int) -> Data
     return held.sortWithinPartitions("a").select("a", "b", "a_text", "b_text").mapInArrow(_verified(width, percent), "a long, b long")
 
 
-def _whole_lists(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, list[bytes]]]:
-    """From postings sorted by key and n: sizes, classes, components and parity maps of one list after another."""
+def _whole_cells(batches: Iterator[pa.RecordBatch]) -> Iterator[dict[str, np.ndarray]]:
+    """Columns of rows sorted by cell, in portions that end where a cell ends."""
     rest: pa.Table | None = None
     for batch in chain(batches, [None]):
         if batch is not None:
             here = pa.Table.from_batches([batch])
             rest = here if rest is None else pa.concat_tables([rest, here])
-            keys = rest["key"].to_numpy()
-            cut = int(np.flatnonzero(keys == keys[-1])[0])
+            cells = rest["cell"].to_numpy()
+            cut = int(np.flatnonzero(cells == cells[-1])[0]) if len(cells) else 0
             now, rest = rest.slice(0, cut), rest.slice(cut)
         elif rest is not None:
             now, rest = rest, None
         else:
             return
-        if not now.num_rows:
-            continue
-        key, n, own, comp = (now[c].to_numpy() for c in ("key", "n", "class", "component"))
-        parity = now["parity"].to_pylist()
-        begins = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1])))
-        for a, b in zip(begins.tolist(), np.append(begins[1:], len(key)).tolist(), strict=True):
-            yield n[a:b].astype(np.int64), own[a:b], comp[a:b], parity[a:b]
+        if now.num_rows:
+            yield {c: now[c].to_numpy() for c in now.column_names}
 
 
-LEADERS = 16
+def _near_pairs(percent: int, few: int, heads: int):
+    """From the classes of cells: each with its nearest `few` of other components that it may link with; more: some class has others beyond them.
 
+    A cell holds a block of a list (side 0), or two blocks of one that meet (sides 0 and 1). With heads, long cells are compared with so many of their rows only.
+    """
 
-def _scattered(percent: int):
-    """Each class with the nearest of LEADERS members of its list, of another component, that it may link with: at most one pair a posting."""
+    def nearest(n: np.ndarray, comp: np.ndarray, side: np.ndarray, bits: np.ndarray, to: slice | np.ndarray, of: np.ndarray) -> tuple[np.ndarray, ...]:
+        """For m cells of equal size (m x size arrays), the rows `of` against the rows `to`: indices of cell, row and other, and whether some row has more."""
+        apart = np.zeros((len(n), len(of), n[:, to].shape[1]), np.int32)
+        for w in range(bits.shape[2]):
+            word = bits[:, :, w]
+            apart += np.bitwise_count(word[:, of][:, :, None] ^ word[:, to][:, None, :])
+        x, y = n[:, of, None], n[:, None, to]
+        ok = (comp[:, of, None] != comp[:, None, to]) & (100 * np.minimum(x, y) >= percent * np.maximum(x, y)) & _may_link(apart, x + y, percent)
+        two = (side.max(1) != side.min(1))[:, None, None]
+        ok &= ~two | (side[:, of, None] != side[:, None, to])
+        if few >= apart.shape[2]:
+            cell, row, other = np.nonzero(ok)
+            return cell, of[row], other, False
+        apart[~ok] = np.iinfo(np.int32).max
+        best = np.argpartition(apart, few - 1, axis=2)[:, :, :few]
+        cell, row, k = np.nonzero(np.take_along_axis(ok, best, 2))
+        return cell, of[row], best[cell, row, k], bool((ok.sum(2) > few).any())
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        out: list[np.ndarray] = []
-        for n, own, comp, parity in _whole_lists(batches):
-            if (comp == comp[0]).all():
-                continue
-            heads = np.sort(np.argsort(wordhash.mix(own.view(np.uint64)), kind="stable")[:LEADERS])
-            best, who = np.full(len(n), np.iinfo(np.int64).max), np.full(len(n), -1, np.int64)
-            bits = _map_bits(parity, len(parity[0]))
-            for h in heads.tolist():
-                apart = np.bitwise_count(bits ^ bits[h]).sum(1, dtype=np.int64)
-                ok = (comp != comp[h]) & (100 * np.minimum(n, n[h]) >= percent * np.maximum(n, n[h])) & _may_link(apart, n + n[h], percent) & (apart < best)
-                best[ok], who[ok] = apart[ok], own[h]
-            hit = np.flatnonzero(best < np.iinfo(np.int64).max)
-            if len(hit):
-                out.append(np.column_stack([own[hit], who[hit], best[hit]]))
-            if sum(map(len, out)) > 100_000:
-                yield _best_rows(out)
-                out = []
-        if out:
-            yield _best_rows(out)
-
-    return run
-
-
-def _best_rows(found: list[np.ndarray]) -> pa.RecordBatch:
-    """One row a class: its nearest leader here."""
-    every = np.concatenate(found)
-    every = every[np.lexsort((every[:, 1], every[:, 2], every[:, 0]))]
-    first = np.concatenate(([True], every[1:, 0] != every[:-1, 0]))
-    return pa.RecordBatch.from_arrays([pa.array(every[first, i]) for i in range(3)], names=["class", "leader", "apart"])
-
-
-def _crossing(percent: int):
-    """Pairs of different components of a list that sizes and parity maps allow: all of them."""
-
-    def pairs(n: np.ndarray, own: np.ndarray, comp: np.ndarray, parity: list[bytes]) -> list[np.ndarray]:
-        out, at = [], 0
-        while at < len(n):  # rows in blocks against the later ones within reach by size
-            to = min(len(n), at + 256)
-            reach = int(np.searchsorted(n, n[to - 1] * 100 // percent, "right"))
-            i, j = np.triu_indices(to - at, 1, reach - at)
-            i, j = i + at, j + at
-            ok = (comp[i] != comp[j]) & (100 * n[i] >= percent * n[j])
-            i, j = i[ok], j[ok]
-            if len(i):
-                # Sizes go up, and so do map sizes: the first row's is the smallest here.
-                bits = _map_bits(parity[at:reach], len(parity[at]))
-                step = max(1, (1 << 20) // bits.shape[1])
-                for k in range(0, len(i), step):
-                    x, y = i[k : k + step], j[k : k + step]
-                    apart = np.bitwise_count(bits[x - at] ^ bits[y - at]).sum(1, dtype=np.int64)
-                    ok = _may_link(apart, n[x] + n[y], percent)
-                    out.append(np.column_stack([own[x[ok]], own[y[ok]]]))
-            at = to
-        return out
+        found, more = [], False
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        found: list[np.ndarray] = []
-        for n, own, comp, parity in _whole_lists(batches):
-            found += [x for x in pairs(n, own, comp, parity) if len(x)]
-            if sum(map(len, found)) > 500_000:
-                found = [np.unique(np.concatenate(found), axis=0)]
-                if len(found[0]) > 250_000:
-                    yield pa.RecordBatch.from_arrays([pa.array(found[0][:, 0]), pa.array(found[0][:, 1])], names=["a", "b"])
-                    found = []
-        if found:
+        def sent() -> pa.RecordBatch:
             every = np.unique(np.concatenate(found), axis=0)
-            yield pa.RecordBatch.from_arrays([pa.array(every[:, 0]), pa.array(every[:, 1])], names=["a", "b"])
+            found.clear()
+            return pa.RecordBatch.from_arrays([pa.array(every[:, 0]), pa.array(every[:, 1]), pa.array(np.full(len(every), more))], names=["a", "b", "more"])
+
+        for col in _whole_cells(batches):
+            begins = np.flatnonzero(np.concatenate(([True], col["cell"][1:] != col["cell"][:-1])))
+            sizes = np.diff(np.append(begins, len(col["cell"])))
+            bits = np.column_stack([col[w].view(np.uint64) for w in WORDS])
+            for size in np.unique(sizes[sizes > 1]).tolist():
+                starts = begins[sizes == size]
+                wide = heads if heads and size > 4 * heads else size
+                rows, step = max(1, min(size, (1 << 20) // wide)), max(1, (1 << 20) // (size * wide)) if wide == size else 1
+                for at in range(0, len(starts), step):
+                    index = starts[at : at + step, None] + np.arange(size)
+                    n, comp, side, own = (col[c][index] for c in ("n", "component", "side", "class"))
+                    to = np.sort(np.argsort(wordhash.mix(own[0].view(np.uint64)), kind="stable")[:wide])  # the same heads in lists of nearly the same classes
+                    for lo in range(0, size, rows):
+                        cell, row, other, rest = nearest(n.astype(np.int64), comp, side, bits[index], to, np.arange(lo, min(size, lo + rows)))
+                        more |= rest
+                        if len(cell):
+                            found.append(np.column_stack([own[cell, row], own[cell, to[other]]]))
+                    if sum(map(len, found)) > 200_000:
+                        yield sent()
+        if found:
+            yield sent()
 
     return run
 
@@ -394,53 +358,88 @@ def near_components(docs: DataFrame, width: int = 5, percent: int = 80) -> DataF
     sizes = {r["n"]: r["c"] for r in sets.where("n between 2 and 200").groupBy("n").agg(F.count(F.lit(1)).alias("c")).collect()}
     boundary = choose_boundary(sizes, min(excess, 64.0), percent)
     # Candidate lists.
-    postings = texts.select("text").where(F.length("text") > 0).mapInArrow(_postings(width, percent, boundary, level), "key long, n int, class long")
+    named = texts.where(F.col("doc_id").isNotNull() & (F.length("text") > 0))
+    postings = named.select("text").mapInArrow(_postings(width, percent, boundary, level), "key long, n int, class long")
     parts = common.partitions(spark)
-    lists = common.stored(spark, postings.repartition(parts, "key").sortWithinPartitions("key", "n", "class").mapInArrow(_shared(percent), "key long, n int, class long, leader long"), "lists")
-    classes = described.where("n > 0").groupBy("class").agg(F.min("doc_id").alias("doc_id"), F.first("n").alias("n"), F.first("parity").alias("parity"))
-    classes = common.stored(spark, classes.join(lists.select("class").distinct(), "class", "left_semi"), "classes")
+    every = common.stored(spark, postings.repartition(parts, "key").sortWithinPartitions("key", "n", "class").mapInArrow(_shared, "key long, n int, class long"), "lists")
+    # Lists of the same classes say the same: one of them stays.
+    marks = every.groupBy("key").agg(F.sum(F.xxhash64("class").cast("decimal(38,0)")).alias("h"), F.count(F.lit(1)).alias("c"))
+    alone = common.stored(spark, marks.groupBy("h", "c").agg(F.min("key").alias("key")).select("key"), "lists")
+    own = every.join(alone, "key", "left_semi")
+    classes = described.where("n > 0 and doc_id is not null").groupBy("class").agg(F.min("doc_id").alias("doc_id"), F.first("n").alias("n"), F.first("parity").alias("parity"))
+    classes = common.stored(spark, classes.join(own.select("class").distinct(), "class", "left_semi"), "classes")
+    maps = classes.select("class", "parity").mapInArrow(_folded, "class long, " + ", ".join(f"{w} long" for w in WORDS))
+    lists = common.stored(spark, own.join(maps, "class").select("key", "n", "class", *WORDS), "lists")
 
     def links(pairs: DataFrame) -> DataFrame:
         """The pairs (a, b) that link, from the texts of their classes."""
         asked = pairs.select(F.col("a").alias("class")).union(pairs.select(F.col("b").alias("class"))).distinct()
         holders = common.stored(spark, classes.join(asked, "class", "left_semi").select("doc_id").distinct(), "holders")
-        found = texts.join(holders, "doc_id", "left_semi").select("text").mapInArrow(_classes(width), "class long, text string").dropDuplicates(["class"])
+        found = named.join(holders, "doc_id", "left_semi").select("text").mapInArrow(_classes(width), "class long, text string").dropDuplicates(["class"])
         with common.arrow_rows(spark, 64):  # rows of two whole texts
             return common.stored(spark, _links(pairs, common.stored(spark, found, "candidates"), width, percent), "links")
 
-    # Each class against the leader of its lists that it differs from least.
-    lead = classes.select(F.col("class").alias("leader"), F.col("n").alias("leader_n"), F.col("parity").alias("leader_parity"))
-    led = lists.where("class <> leader").select("class", "leader").distinct().join(classes.select("class", "n", "parity"), "class").join(lead, "leader")
-    near = led.select("class", "leader", "n", "leader_n", "parity", "leader_parity").mapInArrow(_nearest_leader(percent), "class long, leader long, apart long")
-    best = near.groupBy("class").agg(F.min(F.struct("apart", "leader")).alias("best")).select(F.col("best.leader").alias("a"), F.col("class").alias("b"))
-    first = links(common.stored(spark, best, "led"))
-    # Lists of the same classes say the same: one of them stays.
-    marks = lists.groupBy("key").agg(F.sum(F.xxhash64("class").cast("decimal(38,0)")).alias("h"), F.count(F.lit(1)).alias("c"))
-    alone = common.stored(spark, marks.groupBy("h", "c").agg(F.min("key").alias("key")).select("key"), "lists")
-    lists = common.stored(spark, lists.select("key", "n", "class").join(alone, "key", "left_semi"), "lists")
-
-    def still_apart(links: DataFrame) -> DataFrame:
-        """Postings with component and parity map of the lists that hold several components, sorted by key."""
-        placed = lists.join(components(links).withColumnRenamed("node", "class"), "class", "left").select("key", "n", "class", F.coalesce("component", "class").alias("component"))
+    def cells(labels: DataFrame, cut: bool) -> DataFrame:
+        """The lists that hold several components, by cell: blocks of a list, and if cut also every two blocks of it."""
+        placed = lists.join(labels, "class", "left").withColumn("component", F.coalesce("component", "class"))
         placed = common.stored(spark, placed, "placed")
-        mixed = common.stored(spark, placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi").select("key"), "mixed")
-        apart = placed.join(mixed, "key", "left_semi").join(classes.select("class", "parity"), "class")
-        return apart.select("key", "n", "class", "component", "parity").repartition(parts, "key").sortWithinPartitions("key", "n", "class")
+        mixed = placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count(F.lit(1)).alias("c")).where("lo < hi")
+        mixed = common.stored(spark, mixed.select("key", F.ceil(F.col("c") / LIST_BLOCK).cast("int").alias("blocks")), "mixed")
+        apart = placed.join(mixed, "key").withColumn("block", F.pmod(F.xxhash64("class", F.lit(5)), F.col("blocks")).cast("int"))
+        apart = apart.withColumn("with", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)) if cut else F.col("block"))
+        cell = F.xxhash64("key", F.least("block", "with"), F.greatest("block", "with"))
+        dealt = apart.select(cell.alias("cell"), (F.col("block") > F.col("with")).cast("int").alias("side"), "n", "class", "component", *WORDS)
+        return dealt.repartition(parts, "cell").sortWithinPartitions("cell", "n", "class")
+
+    # Texts of one doc_id are one node.
+    ids = sets.where("n > 0 and doc_id is not null")
+    several = ids.groupBy("doc_id").agg(F.min("class").alias("a"), F.max("class").alias("b")).where("a < b").select("doc_id", "a")
+    joined = common.stored(spark, ids.join(several, "doc_id").select("a", F.col("class").alias("b")), "links")
+    labels = components(joined).withColumnRenamed("node", "class")
+    tested, few, heads = [], 1, HEADS
+    while True:
+        near = common.stored(spark, cells(labels, not heads).mapInArrow(_near_pairs(percent, few, heads), "a long, b long, more boolean"), "near")
+        pairs = near.select("a", "b").distinct() if heads else near.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+        for known in tested:
+            pairs = pairs.join(known, ["a", "b"], "left_anti")
+        side = lambda c: classes.select(F.col("class").alias(c), F.col("n").alias(f"{c}_n"), F.col("parity").alias(f"{c}_parity"))
+        bounded = pairs.join(side("a"), "a").join(side("b"), "b").mapInArrow(_bounded(percent), "a long, b long, apart long")
+        if heads:
+            bounded = bounded.groupBy("a").agg(F.min(F.struct("apart", "b")).alias("best")).select("a", F.col("best.b").alias("b"))
+        asked = common.stored(spark, bounded.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "pairs")
+        if not asked.isEmpty():
+            tested.append(asked)
+            labels = _merged(labels, links(asked))
+        if not heads and not near.where("more").isEmpty():
+            few *= 16
+        elif not heads:
+            return _labelled(sets, labels)
+        else:
+            few, heads = 4, 0
+
+
+def _folded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Classes with their parity maps of the least size."""
+    for batch in batches:
+        bits = _map_bits(batch.column("parity").to_pylist(), LEAST_PLACES // 8)
+        yield pa.RecordBatch.from_arrays([batch.column("class"), *[pa.array(bits[:, i].view(np.int64)) for i in range(bits.shape[1])]], names=["class", *WORDS])
+
 
-    # A round with other leaders, which leaves next to nothing apart in groups of near copies.
-    near = still_apart(first).mapInArrow(_scattered(percent), "class long, leader long, apart long")
-    best = near.groupBy("class").agg(F.min(F.struct("apart", "leader")).alias("best")).select(F.col("best.leader").alias("a"), F.col("class").alias("b"))
-    linked = first.union(links(common.stored(spark, best, "led")))
-    # What is still apart in a list, pair by pair.
-    pairs = common.stored(spark, still_apart(linked).mapInArrow(_crossing(percent), "a long, b long").distinct(), "pairs")
-    every = components(linked.union(links(pairs)))
-    return _labelled(sets, every)
+def _merged(labels: DataFrame, links: DataFrame) -> DataFrame:
+    """class, component after more links (a, b): only the components that they join are worked on."""
+    spark = links.sparkSession
+    of = lambda c: labels.select(F.col("class").alias(c), F.col("component").alias(f"{c}_component"))
+    ends = links.join(of("a"), "a", "left").join(of("b"), "b", "left").select(F.coalesce("a_component", "a").alias("a"), F.coalesce("b_component", "b").alias("b"))
+    joined = components(ends).select(F.col("node").alias("component"), F.col("component").alias("now"))
+    old = labels.join(joined, "component", "left").select("class", F.coalesce("now", "component").alias("component"))
+    new = joined.select(F.col("component").alias("class"), F.col("now").alias("component")).join(labels, "class", "left_anti")
+    return common.stored(spark, old.union(new), "labels")
 
 
-def _labelled(sets: DataFrame, links: DataFrame) -> DataFrame:
+def _labelled(sets: DataFrame, labels: DataFrame) -> DataFrame:
     """Documents with the smallest doc_id of their component; empty sets stand alone."""
     spark = sets.sparkSession
-    group = sets.join(links.withColumnRenamed("node", "class"), "class", "left").select("doc_id", "n", F.when(F.col("n") > 0, F.coalesce("component", "class")).alias("grp"))
+    group = sets.join(labels, "class", "left").select("doc_id", "n", F.when(F.col("n") > 0, F.coalesce("component", "class")).alias("grp"))
     group = common.stored(spark, group, "groups")
     least = common.stored(spark, group.where("grp is not null and doc_id is not null").groupBy("grp").agg(F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("c")).where("c > 1"), "least")
     return group.join(least, "grp", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.coalesce("least", "doc_id")).alias("component_id"))

@@ -86,25 +86,57 @@ def test_substring_dedup(spark, corpus):
     assert substring_dedup.remove_repeated_windows(docs(spark, [])).count() == 0
 
 
-def test_jaccard_join(spark, corpus):
-    sets = {}
-    for i, t in corpus:
+def linked(rows):
+    """doc_id -> smallest doc_id reachable; rows: (doc_id, text)."""
+    sets = []
+    for i, t in rows:
         w = words((t or "").translate({i: i + 32 for i in range(65, 91)}))
-        sets[i] = {tuple(w[a : a + 5]) for a in range(len(w) - 4)} if len(w) >= 5 else {tuple(w)} if w else set()
-    root = {i: i for i in sets}
+        sets.append((i, {tuple(w[a : a + 5]) for a in range(len(w) - 4)} if len(w) >= 5 else {tuple(w)} if w else set()))
+    root = {i: i for i, _ in sets}
 
     def find(i):
         while root[i] != i:
             i = root[i]
         return i
 
-    for a in sets:
-        for b in sets:
-            if a < b and sets[a] and 100 * len(sets[a] & sets[b]) >= 80 * len(sets[a] | sets[b]):
-                x, y = sorted((find(a), find(b)))
-                root[y] = x
+    for k, (a, x) in enumerate(sets):
+        for b, y in sets[k + 1 :]:
+            if x and y and 100 * len(x & y) >= 80 * len(x | y):
+                lo, hi = sorted((find(a), find(b)))
+                root[hi] = lo
+    return sets, {i: find(i) for i, _ in sets}
+
+
+def test_jaccard_join(spark, corpus):
+    sets, root = linked(corpus)
     got = jaccard_join.near_components(docs(spark, corpus)).collect()
-    assert {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in got} == {i: (len(s), find(i)) for i, s in sets.items()}
+    assert {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in got} == {i: (len(s), root[i]) for i, s in sets}
+    assert jaccard_join.near_components(docs(spark, [])).count() == 0
+
+
+def test_jaccard_join_of_repeated_ids_and_null_ids(spark, corpus):
+    a, b = corpus[0][1] or "", " ".join(f"q{i}" for i in range(30))
+    a = a if len(a) > 60 else " ".join(f"p{i}" for i in range(30))
+    rows = [(1, a), (5, a), (5, b), (9, b), (7, "other words than those"), (None, a)]
+    got = jaccard_join.near_components(docs(spark, rows)).collect()
+    assert sorted((r["doc_id"], r["component_id"]) for r in got if r["doc_id"] is not None) == [(1, 1), (5, 1), (5, 1), (7, 7), (9, 1)]
+    assert [(r["n_shingles"] > 0, r["component_id"]) for r in got if r["doc_id"] is None] == [(True, None)]
+
+
+def test_jaccard_join_of_a_large_group_over_small_blocks(spark, monkeypatch):
+    r = random.Random(11)
+    base = [f"w{i}" for i in range(120)]
+    rows = []
+    for i in range(160):  # half near copies, half texts that share much and link with few
+        w = list(base)
+        for _ in range(r.choice([1, 1, 2, 9])):
+            w[r.randrange(len(w))] = f"x{r.randrange(1000)}"
+        rows.append((i, " ".join(w)))
+    rows += [(500 + i, " ".join(f"l{k}" for k in range(3000)) + f" end{i}") for i in range(3)]
+    for name, value in (("LIST_BLOCK", 40), ("HEADS", 2)):
+        monkeypatch.setattr(jaccard_join, name, value)
+    got = jaccard_join.near_components(docs(spark, rows)).collect()
+    assert {x["doc_id"]: x["component_id"] for x in got} == linked(rows)[1]
 
 
 def test_jaccard_boundary_follows_costs():
