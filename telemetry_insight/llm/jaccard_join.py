@@ -35,6 +35,7 @@ from itertools import chain
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -42,11 +43,10 @@ from . import common, wordhash
 from .components import components
 
 SKETCH_BITS, SEGMENTS = 21, 128
-#: Places of a parity map; lists carry maps of the least size, in WORDS numbers.
-LEAST_PLACES, MOST_PLACES = 256, 1 << 16
-WORDS = [f"p{i}" for i in range(LEAST_PLACES // 64)]
+#: Places of a parity map, and of the map that each entry of a list carries.
+LEAST_PLACES, LIST_PLACES, MOST_PLACES = 256, 1 << 14, 1 << 16
 #: Rows of a list that one task compares with one another, and heads of a list in the first round.
-LIST_BLOCK, HEADS = 4096, 16
+LIST_BLOCK, HEADS = 1024, 16
 _EMPTY = 0
 
 
@@ -284,18 +284,19 @@ def _whole_cells(batches: Iterator[pa.RecordBatch]) -> Iterator[dict[str, np.nda
         else:
             return
         if now.num_rows:
-            yield {c: now[c].to_numpy() for c in now.column_names}
+            yield {c: now[c].to_numpy() for c in now.column_names} | {"places": 8 * pc.binary_length(now["parity"]).to_numpy().astype(np.int64)}
 
 
 def _near_pairs(percent: int, few: int, heads: int):
     """From the classes of cells: each with its nearest `few` of other components that it may link with; more: some class has others beyond them.
 
     A cell holds a block of a list (side 0), or two blocks of one that meet (sides 0 and 1). With heads, long cells are compared with so many of their rows only.
+    Sets that may link have maps of one size or of one and its double: each size is compared at its own level, with the doubles folded.
     """
 
-    def nearest(n: np.ndarray, comp: np.ndarray, side: np.ndarray, bits: np.ndarray, to: slice | np.ndarray, of: np.ndarray) -> tuple[np.ndarray, ...]:
+    def nearest(n: np.ndarray, comp: np.ndarray, side: np.ndarray, double: np.ndarray, bits: np.ndarray, to: np.ndarray, of: np.ndarray) -> tuple[np.ndarray, ...]:
         """For m cells of equal size (m x size arrays), the rows `of` against the rows `to`: indices of cell, row and other, and whether some row has more."""
-        apart = np.zeros((len(n), len(of), n[:, to].shape[1]), np.int32)
+        apart = np.zeros((len(n), len(of), len(to)), np.int32)
         for w in range(bits.shape[2]):
             word = bits[:, :, w]
             apart += np.bitwise_count(word[:, of][:, :, None] ^ word[:, to][:, None, :])
@@ -303,6 +304,7 @@ def _near_pairs(percent: int, few: int, heads: int):
         ok = (comp[:, of, None] != comp[:, None, to]) & (100 * np.minimum(x, y) >= percent * np.maximum(x, y)) & _may_link(apart, x + y, percent)
         two = (side.max(1) != side.min(1))[:, None, None]
         ok &= ~two | (side[:, of, None] != side[:, None, to])
+        ok &= ~(double[:, of, None] & double[:, None, to])
         if few >= apart.shape[2]:
             cell, row, other = np.nonzero(ok)
             return cell, of[row], other, False
@@ -319,25 +321,38 @@ def _near_pairs(percent: int, few: int, heads: int):
             found.clear()
             return pa.RecordBatch.from_arrays([pa.array(every[:, 0]), pa.array(every[:, 1]), pa.array(np.full(len(every), more))], names=["a", "b", "more"])
 
-        for col in _whole_cells(batches):
-            begins = np.flatnonzero(np.concatenate(([True], col["cell"][1:] != col["cell"][:-1])))
-            sizes = np.diff(np.append(begins, len(col["cell"])))
-            bits = np.column_stack([col[w].view(np.uint64) for w in WORDS])
+        def level(col: dict[str, np.ndarray], places: int) -> Iterator[None]:
+            """Compare the rows whose maps have so many places, or twice as many."""
+            nonlocal more
+            here = np.flatnonzero((col["places"] == places) | (col["places"] == 2 * places))
+            cells, sizes_of = col["cell"][here], col["places"][here]
+            begins = np.flatnonzero(np.concatenate(([True], cells[1:] != cells[:-1])))
+            sizes = np.diff(np.append(begins, len(here)))
+            bits = _map_bits(col["parity"][here].tolist(), places // 8)
+            words = bits.shape[1]
             for size in np.unique(sizes[sizes > 1]).tolist():
                 starts = begins[sizes == size]
                 wide = heads if heads and size > 4 * heads else size
-                rows, step = max(1, min(size, (1 << 20) // wide)), max(1, (1 << 20) // (size * wide)) if wide == size else 1
+                most = max(1 << 14, (1 << 21) // words)
+                rows, step = max(1, min(size, most // wide)), max(1, most // (size * max(wide, words))) if wide == size else 1
                 for at in range(0, len(starts), step):
                     index = starts[at : at + step, None] + np.arange(size)
-                    n, comp, side, own = (col[c][index] for c in ("n", "component", "side", "class"))
+                    n, comp, side, own = (col[c][here[index]] for c in ("n", "component", "side", "class"))
+                    if (comp == comp[:, :1]).all():
+                        continue
                     to = np.sort(np.argsort(wordhash.mix(own[0].view(np.uint64)), kind="stable")[:wide])  # the same heads in lists of nearly the same classes
                     for lo in range(0, size, rows):
-                        cell, row, other, rest = nearest(n.astype(np.int64), comp, side, bits[index], to, np.arange(lo, min(size, lo + rows)))
+                        cell, row, other, rest = nearest(n.astype(np.int64), comp, side, sizes_of[index] > places, bits[index], to, np.arange(lo, min(size, lo + rows)))
                         more |= rest
                         if len(cell):
                             found.append(np.column_stack([own[cell, row], own[cell, to[other]]]))
                     if sum(map(len, found)) > 200_000:
-                        yield sent()
+                        yield
+
+        for col in _whole_cells(batches):
+            for places in np.unique(col["places"]).tolist():
+                for _ in level(col, places):
+                    yield sent()
         if found:
             yield sent()
 
@@ -368,8 +383,8 @@ def near_components(docs: DataFrame, width: int = 5, percent: int = 80) -> DataF
     own = every.join(alone, "key", "left_semi")
     classes = described.where("n > 0 and doc_id is not null").groupBy("class").agg(F.min("doc_id").alias("doc_id"), F.first("n").alias("n"), F.first("parity").alias("parity"))
     classes = common.stored(spark, classes.join(own.select("class").distinct(), "class", "left_semi"), "classes")
-    maps = classes.select("class", "parity").mapInArrow(_folded, "class long, " + ", ".join(f"{w} long" for w in WORDS))
-    lists = common.stored(spark, own.join(maps, "class").select("key", "n", "class", *WORDS), "lists")
+    maps = classes.select("class", "parity").mapInArrow(_folded, "class long, parity binary")
+    lists = common.stored(spark, own.join(maps, "class").select("key", "n", "class", "parity"), "lists")
 
     def links(pairs: DataFrame) -> DataFrame:
         """The pairs (a, b) that link, from the texts of their classes."""
@@ -381,14 +396,13 @@ def near_components(docs: DataFrame, width: int = 5, percent: int = 80) -> DataF
 
     def cells(labels: DataFrame, cut: bool) -> DataFrame:
         """The lists that hold several components, by cell: blocks of a list, and if cut also every two blocks of it."""
-        placed = lists.join(labels, "class", "left").withColumn("component", F.coalesce("component", "class"))
-        placed = common.stored(spark, placed, "placed")
+        placed = lists.select("key", "class").join(labels, "class", "left").withColumn("component", F.coalesce("component", "class"))
         mixed = placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count(F.lit(1)).alias("c")).where("lo < hi")
         mixed = common.stored(spark, mixed.select("key", F.ceil(F.col("c") / LIST_BLOCK).cast("int").alias("blocks")), "mixed")
-        apart = placed.join(mixed, "key").withColumn("block", F.pmod(F.xxhash64("class", F.lit(5)), F.col("blocks")).cast("int"))
+        apart = lists.join(mixed, "key").join(labels, "class", "left").withColumn("component", F.coalesce("component", "class")).withColumn("block", F.pmod(F.xxhash64("class", F.lit(5)), F.col("blocks")).cast("int"))
         apart = apart.withColumn("with", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)) if cut else F.col("block"))
         cell = F.xxhash64("key", F.least("block", "with"), F.greatest("block", "with"))
-        dealt = apart.select(cell.alias("cell"), (F.col("block") > F.col("with")).cast("int").alias("side"), "n", "class", "component", *WORDS)
+        dealt = apart.select(cell.alias("cell"), (F.col("block") > F.col("with")).cast("int").alias("side"), "n", "class", "component", "parity")
         return dealt.repartition(parts, "cell").sortWithinPartitions("cell", "n", "class")
 
     # Texts of one doc_id are one node.
@@ -419,10 +433,10 @@ def near_components(docs: DataFrame, width: int = 5, percent: int = 80) -> DataF
 
 
 def _folded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Classes with their parity maps of the least size."""
+    """Classes with maps of at most LIST_PLACES places."""
     for batch in batches:
-        bits = _map_bits(batch.column("parity").to_pylist(), LEAST_PLACES // 8)
-        yield pa.RecordBatch.from_arrays([batch.column("class"), *[pa.array(bits[:, i].view(np.int64)) for i in range(bits.shape[1])]], names=["class", *WORDS])
+        maps = [m if 8 * len(m) <= LIST_PLACES else _map_bits([m], LIST_PLACES // 8)[0].tobytes() for m in batch.column("parity").to_pylist()]
+        yield pa.RecordBatch.from_arrays([batch.column("class"), pa.array(maps, pa.binary())], names=["class", "parity"])
 
 
 def _merged(labels: DataFrame, links: DataFrame) -> DataFrame:
