@@ -7,8 +7,9 @@ that holds the key.
 
 Plan: each long line yields a row of the key's 64-bit hash, document and
 position; no text moves. Rows go to ranges of (hash, document), sorted there by
-hash, document and position, and the first line of each key and document is
-streamed off. A key's holders are counted from partial counts, so a line that
+hash, document and position, and stream into one row for each first occurrence of
+a key in a document, which carries the sorted places of the later ones. A key's holders
+are these rows, counted in partial counts, so a line that
 a third of the documents share arrives as a few rows, and the join that reads
 the counts back is of the kind whose hot partitions Spark splits. What comes
 back to a document is a run-length keep bitmap.
@@ -54,10 +55,10 @@ def line_bitmaps(docs: DataFrame, min_chars: int = 20, min_docs: int = 3) -> Dat
     hits = common.stored(spark, line_hits(docs, min_chars), "line-hits")
     # Ranges of (hash, document): a key that very many documents hold spans several of them.
     ranged = hits.repartitionByRange(common.partitions(spark), "hash", "doc_id").sortWithinPartitions("hash", "doc_id", "pos")
-    firsts = ranged.groupBy("hash", "doc_id").agg(F.min("pos").alias("pos"))
+    firsts = common.stored(spark, ranged.groupBy("hash", "doc_id").agg(F.collect_list(F.struct("row_key", "pos")).alias("at")), "line-firsts")
     counted = firsts.groupBy("hash").agg(F.count(F.lit(1)).alias("holders"), F.max("doc_id").alias("keeper")).where(F.col("holders") >= min_docs)
     holders = common.stored(spark, counted, "line-holders")  # stored, so that both sides of the join are plain exchanges, whose hot partitions Spark splits
-    lost = hits.join(holders, "hash").where(F.col("doc_id") < F.col("keeper"))
+    lost = firsts.join(holders, "hash").where(F.col("doc_id") < F.col("keeper")).select("doc_id", F.inline("at"))
     drops = lost.groupBy("doc_id", "row_key").agg(F.array_sort(F.collect_set("pos")).alias("at"))
     return drops.select("doc_id", "row_key", F.size("at").cast("long").alias("n_dropped"), runs(F.col("at")).alias("dropped"))
 
@@ -70,17 +71,19 @@ def runs(at: Column) -> Column:
 
 
 def apply_bitmaps(docs: DataFrame, bitmaps: DataFrame) -> DataFrame:
-    """docs with n_lines, n_dropped, dropped and kept_text; every row and column of docs stays."""
-    own = docs.withColumns({"_id": F.coalesce("doc_id", F.lit(-(1 << 63))), "_row": F.xxhash64("text")})
-    found = bitmaps.select(F.col("doc_id").alias("_id"), F.col("row_key").alias("_row"), "n_dropped", "dropped")
-    joined = own.drop("n_dropped", "dropped", "n_lines", "kept_text").hint("shuffle_hash").join(found.hint("shuffle_hash"), ["_id", "_row"], "left")
+    """docs with n_lines, n_dropped, dropped and kept_text, in place of columns of docs of these names; every row and every other column stays."""
+    columns = [c for c in docs.columns if c.lower() not in ("n_lines", "n_dropped", "dropped", "kept_text")]
+    key, row = common.fresh("_id", columns), common.fresh("_row", columns)
+    own = docs.select(*columns).withColumns({key: F.coalesce("doc_id", F.lit(-(1 << 63))), row: F.xxhash64("text")})
+    found = bitmaps.select(F.col("doc_id").alias(key), F.col("row_key").alias(row), "n_dropped", "dropped")
+    joined = own.hint("shuffle_hash").join(found.hint("shuffle_hash"), [key, row], "left")
     all_lines = lines(F.col("text"))
     # The runs kept between the dropped ones, each cut out as one slice.
     starts = F.concat(F.array(F.lit(0)), F.transform("dropped", lambda r: r["to"]))
     stops = F.concat(F.transform("dropped", lambda r: r["from"]), F.array(F.size(all_lines)))
     kept = F.flatten(F.transform(F.arrays_zip(starts.alias("a"), stops.alias("b")), lambda r: F.slice(all_lines, r["a"] + 1, r["b"] - r["a"])))
     return joined.select(
-        *docs.columns,
+        *columns,
         F.size(all_lines).cast("long").alias("n_lines"),
         F.coalesce("n_dropped", F.lit(0)).cast("long").alias("n_dropped"),
         F.coalesce("dropped", F.array().cast("array<struct<from:int,to:int>>")).alias("dropped"),
