@@ -40,6 +40,7 @@ from pyspark.sql import functions as F
 from . import common
 
 FILE_BYTES = 32 << 20
+MEMBER_STEP = 1 << 14
 #: Fixed values of the formats.
 ARC_FIELDS = {
     1: "URL IP-address Archive-date Content-type Archive-length",
@@ -72,17 +73,16 @@ def _clean_url(url: str | None) -> str:
     return "".join(c if " " < c < "\x7f" else "".join(f"%{b:02X}" for b in c.encode()) for c in url or "") or "urn:empty"
 
 
-def http_response(payload: bytes, page_id: int | None) -> bytes:
-    shown = b"" if page_id is None else b"%d" % page_id
-    return b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nX-Page-Id: %b\r\nContent-Length: %d\r\n\r\n" % (shown, len(payload)) + payload
+def http_response(payload: bytes) -> bytes:
+    return b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: %d\r\n\r\n" % len(payload) + payload
 
 
-def arc_archive(pages: list[tuple[int | None, str | None, bytes]], version: int = 1, date: str = "20240101000000") -> bytes:
-    """A legacy archive of these pages (page_id, url, payload)."""
+def arc_archive(pages: list[tuple[str | None, bytes]], version: int = 1, date: str = "20240101000000") -> bytes:
+    """A legacy archive of these pages (url, payload)."""
     block = f"{version} 0 archive\n{ARC_FIELDS[version]}\n\n".encode()
     out = [arc_line("filedesc://legacy.arc", "0.0.0.0", date, "text/plain", len(block), version), block, b"\n"]
-    for page_id, url, payload in pages:
-        body = http_response(payload, page_id)
+    for url, payload in pages:
+        body = http_response(payload)
         out += [arc_line(_clean_url(url), "0.0.0.0", date, "text/html", len(body), version), body, b"\n"]
     return b"".join(out)
 
@@ -126,17 +126,20 @@ def warc_time(date14: str) -> str:
     return datetime.datetime.strptime(date14[:14].ljust(14, "0"), "%Y%m%d%H%M%S").strftime("%Y-%m-%dT%H:%M:%SZ")
 
 
-def convert_record(record: dict, refers_to: int | None = None) -> bytes:
-    """The WARC record for an ARC record; a revisit of the record of page refers_to, if given."""
-    head, _, payload = record["body"].partition(b"\r\n\r\n")
-    shown = next(x.split(b":", 1)[1] for x in head.split(b"\r\n") if x.lower().startswith(b"x-page-id:")).strip()
-    page_id = int(shown) if shown else None
+def convert_record(record: dict, page_id: int | None = None, refers_to: int | None = None) -> bytes:
+    """The WARC record for an ARC record; a revisit of the record of page refers_to, if given.
+
+    Without a page_id the identifier is made of the url, the date and the block. Records fetched over HTTP become responses, others (dns, ftp) resources of their declared type.
+    """
+    web = record["body"].startswith(b"HTTP/")
+    head, gap, payload = record["body"].partition(b"\r\n\r\n") if web else (b"", b"", record["body"])
+    named = b"\n".join([record["URL"].encode(), record["Archive-date"].encode(), payload])
     headers = [
-        ("WARC-Type", "response" if refers_to is None else "revisit"), ("WARC-Record-ID", record_id(page_id, record["URL"].encode() + b"\n" + payload)),
+        ("WARC-Type", "revisit" if refers_to is not None else "response" if web else "resource"), ("WARC-Record-ID", record_id(page_id, named)),
         ("WARC-Date", warc_time(record["Archive-date"])), ("WARC-Target-URI", record["URL"]), ("WARC-IP-Address", record["IP-address"]),
-        ("Content-Type", "application/http; msgtype=response"), ("WARC-Payload-Digest", "sha1:" + sha1_base32(payload)),
+        ("Content-Type", "application/http; msgtype=response" if web else record["Content-type"]), ("WARC-Payload-Digest", "sha1:" + sha1_base32(payload)),
     ]
-    body = record["body"] if refers_to is None else head + b"\r\n\r\n"
+    body = record["body"] if refers_to is None else head + gap
     headers.append(("WARC-Block-Digest", "sha1:" + sha1_base32(body)))
     if refers_to is not None:
         headers += [("WARC-Refers-To", record_id(refers_to)), ("WARC-Profile", REVISIT_PROFILE)]
@@ -162,13 +165,17 @@ def parse_warc(data: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
 
 def members(data: bytes) -> Iterator[bytes]:
     """The gzip members of an archive, one after another."""
-    while data:
-        one = zlib.decompressobj(wbits=31)
-        out = one.decompress(data) + one.flush()
-        if not one.eof:
-            raise ValueError("an archive is cut short")
-        yield out
-        data = one.unused_data
+    view, at = memoryview(data), 0
+    while at < len(view):
+        one, out = zlib.decompressobj(wbits=31), []
+        while not one.eof:
+            part = view[at : at + MEMBER_STEP]  # what a member leaves over is copied, so it must be little
+            if not len(part):
+                raise ValueError("an archive is cut short")
+            out.append(one.decompress(part))
+            at += len(part)
+        at -= len(one.unused_data)
+        yield b"".join(out)
 
 
 def with_revisits(pages: DataFrame, at_least: int = 0) -> DataFrame:
@@ -204,9 +211,9 @@ def write_warc(pages: DataFrame, path: str, version_of=lambda page_id: 1 + (page
 
         for batch in batches:
             for page_id, url, html, refers_to in zip(*(batch.column(c).to_pylist() for c in ("page_id", "url", "html", "refers_to")), strict=True):
-                legacy = arc_archive([(page_id, url, (html or "").encode())], version_of(page_id))
+                legacy = arc_archive([(url, (html or "").encode())], version_of(page_id))
                 for record in parse_arc(legacy):
-                    out.write(gzip.compress(convert_record(record, refers_to), 6, mtime=0))
+                    out.write(gzip.compress(convert_record(record, page_id, refers_to), 6, mtime=0))
                 n += 1
                 if out.tell() >= FILE_BYTES:
                     flush()
@@ -252,15 +259,60 @@ def read_warc(spark, path: str, payloads: bool = True) -> DataFrame:
 
 
 def _record(headers: dict[str, str], body: bytes, payloads: bool) -> tuple:
-    head, _, payload = body.partition(b"\r\n\r\n")
-    declared = int(next(x.split(b":", 1)[1] for x in head.split(b"\r\n") if x.lower().startswith(b"content-length:")))
+    kind = headers["WARC-Type"]
+    head, _, payload = body.partition(b"\r\n\r\n") if kind != "resource" else (b"", b"", body)
+    declared = next((int(x.split(b":", 1)[1]) for x in head.split(b"\r\n") if x.lower().startswith(b"content-length:")), len(payload))
     if "sha1:" + sha1_base32(body) != headers["WARC-Block-Digest"]:
         raise ValueError("a block does not match its digest")
-    kind = headers["WARC-Type"]
-    if kind == "response" and "sha1:" + sha1_base32(payload) != headers["WARC-Payload-Digest"]:
+    if kind != "revisit" and "sha1:" + sha1_base32(payload) != headers["WARC-Payload-Digest"]:
         raise ValueError("a payload does not match its digest")
     refers = page_of(headers["WARC-Refers-To"]) if "WARC-Refers-To" in headers else None
-    return (page_of(headers["WARC-Record-ID"]), headers["WARC-Target-URI"], declared, headers["WARC-Payload-Digest"].removeprefix("sha1:"), kind, refers, headers["WARC-Date"], payload.decode("utf-8") if payloads and kind == "response" else None)
+    return (page_of(headers["WARC-Record-ID"]), headers["WARC-Target-URI"], declared, headers["WARC-Payload-Digest"].removeprefix("sha1:"), kind, refers, headers["WARC-Date"], payload.decode("utf-8", "replace") if payloads and kind != "revisit" else None)
+
+
+_ARC = "file string, at long, url string, ip string, archive_date string, content_type string, result_code string, body binary"
+
+
+def read_arc(spark, path: str) -> DataFrame:
+    """The records of all legacy archives under path (*.arc, *.arc.gz), of either version, with their place in the file."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kinds = pa.schema([("file", pa.string()), ("at", pa.int64()), *[(c, pa.string()) for c in ("url", "ip", "archive_date", "content_type", "result_code")], ("body", pa.binary())])
+        for batch in batches:
+            for name, content in zip(batch.column("path").to_pylist(), batch.column("content"), strict=True):
+                data = content.as_py()
+                data = b"".join(members(data)) if data[:2] == b"\x1f\x8b" else data
+                rows, size = [], 0
+                for at, x in enumerate(parse_arc(data)):
+                    rows.append((name, at, x["URL"], x["IP-address"], x["Archive-date"], x["Content-type"], x.get("Result-code"), x["body"]))
+                    size += len(x["body"])
+                    if size >= 4 << 20:
+                        yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), kinds, strict=True)], schema=kinds)
+                        rows, size = [], 0
+                if rows:
+                    yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), kinds, strict=True)], schema=kinds)
+
+    files = spark.read.format("binaryFile").option("pathGlobFilter", "*.arc*").load(path).select("path", "content")
+    return files.mapInArrow(run, _ARC)
+
+
+def convert_arc(spark, path: str, to: str) -> None:
+    """Every legacy archive under path as a WARC file under to, one for one, so that a repeated task writes the same file again."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from pyspark import TaskContext
+
+        for batch in batches:
+            for name, content in zip(batch.column("path").to_pylist(), batch.column("content"), strict=True):
+                data = content.as_py()
+                data = b"".join(members(data)) if data[:2] == b"\x1f\x8b" else data
+                made = [gzip.compress(convert_record(x), 6, mtime=0) for x in parse_arc(data)]
+                stem = hashlib.sha1(name.encode()).hexdigest()[:16]
+                put_file(f"{to}/{stem}.warc.gz", b"".join(made), f"{TaskContext.get().taskAttemptId()}")
+                yield pa.RecordBatch.from_pydict({"records": pa.array([len(made)], pa.int64())})
+
+    files = spark.read.format("binaryFile").option("pathGlobFilter", "*.arc*").load(path).select("path", "content")
+    files.mapInArrow(run, "records long").agg(F.sum("records")).collect()
 
 
 def _batch(rows: list[tuple]) -> pa.RecordBatch:

@@ -258,12 +258,12 @@ def test_sharding(spark, corpus):
 
 def test_arc_versions_convert_and_round_trip():
     for version in (1, 2):
-        legacy = archives.arc_archive([(5, "http://a b/é", "<p>é</p>".encode()), (6, None, b"")], version)
+        legacy = archives.arc_archive([("http://a b/é", "<p>é</p>".encode()), (None, b"")], version)
         records = list(archives.parse_arc(legacy))
         assert [r["URL"] for r in records] == ["http://a%20b/%C3%A9", "urn:empty"]
         (headers, body), = archives.parse_warc(archives.convert_record(records[0]))
         assert headers["WARC-Date"] == "2024-01-01T00:00:00Z" and body.endswith("<p>é</p>".encode())
-        (again, _), = archives.parse_warc(archives.convert_record(records[1], refers_to=-3))
+        (again, _), = archives.parse_warc(archives.convert_record(records[1], 6, refers_to=-3))
         assert again["WARC-Type"] == "revisit" and archives.page_of(again["WARC-Refers-To"]) == -3
     with pytest.raises(ValueError):
         list(archives.parse_arc(legacy[:-20]))
