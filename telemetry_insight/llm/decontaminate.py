@@ -18,7 +18,7 @@ frequencies and lengths are counted over all of it, so blocks change no score.
 Defined cases: words are runs of letters and digits with A-Z lower-cased, bytes
 beyond ASCII counting as letters; null or empty texts hold nothing; items
 without words are never found; items of fewer than three words are matched whole;
-repeated items and documents each give their own rows, identical ones merged.
+rows that repeat a doc_id or an item_id are judged each on its own, and the best overlap of a pair is returned; null ids pair like others.
 """
 
 from __future__ import annotations
@@ -230,7 +230,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.5, overlap
             part = items.where(F.col("block") == b)
             own_df = held.where(F.col("block") == b).select("term").distinct().join(df, "term").collect()
             whole = size["n"], length["total"], max(1, length["longest"]), {r["term"] % (1 << 64): r["n"] for r in own_df}
-        index = Index(sorted((r["item_id"], r["text"]) for r in part.select("item_id", "text").collect()), threshold, whole)
+        index = Index(sorted(((r["item_id"], r["text"]) for r in part.select("item_id", "text").collect()), key=lambda x: (x[0] is None, x[0] or 0, x[1])), threshold, whole)
 
         def run(batches: Iterator[pa.RecordBatch], index: Index = index) -> Iterator[pa.RecordBatch]:
             for batch in (x for whole in batches for x in wordhash.slices(whole)):
@@ -240,7 +240,8 @@ def leaks(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.5, overlap
                     yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, (_, t) in zip(zip(*rows, strict=True), kinds, strict=True)], schema=pa.schema(kinds))
 
         found = found.union(own.mapInArrow(run, _LEAK)) if index.ids else found
-    return found.dropDuplicates(["doc_id", "item_id"])
+    best = found.groupBy("doc_id", "item_id").agg(F.max(F.struct((F.col("question_overlap") + F.col("answer_overlap")).alias("both"), "score", "question_overlap", "answer_overlap")).alias("x"))
+    return best.select("doc_id", "item_id", "x.score", "x.question_overlap", "x.answer_overlap")
 
 
 def op3_decontaminate(spark, sf_dir: str) -> DataFrame:

@@ -4,7 +4,7 @@ A model is read into a piece table (piece, id, score). Texts are cut into units
 that no piece crosses: runs of the space mark with the characters up to the
 next one, and line breaks, cut again wherever two neighbours stand in no piece. Distinct units are exploded into substrings no longer
 than the longest piece and equi-joined to the piece table; the edges of a unit
-are grouped and folded with Spark's aggregate():
+are grouped and folded with Spark's aggregate() into the places where its tokens start:
 
 * unigram models: Viterbi, the path of the largest summed score;
 * BPE models: edges by score, leftmost first, each joining its two neighbours

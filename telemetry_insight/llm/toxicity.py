@@ -17,7 +17,7 @@ once are left to the backoff, so the table sent to the executors is bounded by h
 
 Defined cases: a null or empty text has no evidence, and its score comes
 from the fitted intercept alone; several labels of a doc_id count as
-toxic if one of them is; labels without text don't count; with one class missing, the score is that class's share.
+toxic if one of them is; of several texts of a doc_id one, by hash, is learnt from; labels without text don't count; with one class missing, the score is that class's share.
 """
 
 from __future__ import annotations
@@ -115,10 +115,12 @@ def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def labelled(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> DataFrame:
     """doc_id, text, toxic of the bounded sample."""
+    texts = docs.select("doc_id", "text").where(F.length("text") > 0)
     known = labels.where(F.col("doc_id").isNotNull() & F.col("toxic").isin(0, 1) & ~held_out()).groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
+    known = known.join(texts.select("doc_id"), "doc_id", "left_semi")
     order = [F.xxhash64("doc_id"), F.col("doc_id")]
     sample = known.where("toxic = 1").orderBy(*order).limit(per_class).union(known.where("toxic = 0").orderBy(*order).limit(per_class))
-    return docs.select("doc_id", "text").where(F.length("text") > 0).join(F.broadcast(sample), "doc_id").dropDuplicates(["doc_id"])
+    return texts.join(F.broadcast(sample), "doc_id").groupBy("doc_id").agg(F.min_by("text", F.struct(F.xxhash64("text"), "text")).alias("text"), F.first("toxic").alias("toxic"))
 
 
 def fit(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> Model | float:
@@ -174,9 +176,9 @@ def _logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1e-2) -> np.ndarray:
 
 
 def score(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> DataFrame:
-    """docs with score and predicted; every row and column stays."""
+    """docs with score and predicted, in place of columns of docs of these names; every row and every other column stays."""
     model = fit(docs, labels, per_class)
-    own = docs.drop("score", "predicted")
+    own = docs.select(*[c for c in docs.columns if c.lower() not in ("score", "predicted")])
     if not isinstance(model, Model):
         return own.withColumn("score", F.lit(float(model))).withColumn("predicted", (F.col("score") >= 0.5).cast("int"))
 
