@@ -13,20 +13,29 @@ from pyspark.sql import functions as F
 from telemetry_insight.llm import common, decontaminate, jaccard_join, line_dedup, piece_lattice, toxicity
 
 
-def _as_documents(rows: DataFrame, docs: DataFrame, text: str) -> DataFrame:
+def _lean(docs: DataFrame) -> tuple[DataFrame, str]:
+    """doc_id, text and the other columns in one, whose name is returned: whatever they are called, they meet no column of an operator."""
+    rest, name = [c for c in docs.columns if c not in ("doc_id", "text")], common.fresh("rest", docs.columns)
+    return docs.select("doc_id", "text", F.struct(F.lit(0).alias(common.fresh("none", rest)), *rest).alias(name)), name
+
+
+def _as_documents(rows: DataFrame, docs: DataFrame, rest: str, text: str = "text") -> DataFrame:
     """The columns of docs with another text; a null text stays null."""
     new = F.when(F.col("text").isNotNull(), F.col(text))
-    return rows.select(*[new.alias("text") if c == "text" else F.length(new).cast(docs.schema[c].dataType).alias(c) if c == "n_chars" else F.col(c) for c in docs.columns])
+    size = lambda c: F.length(new).cast(docs.schema[c].dataType) if text != "text" else F.col(rest)[c]
+    return rows.select(*[new.alias("text") if c == "text" else F.col("doc_id") if c == "doc_id" else size(c).alias(c) if c == "n_chars" else F.col(rest)[c].alias(c) for c in docs.columns])
 
 
 def toxicity_filter(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents scored below 0.5."""
-    return toxicity.score(docs, common.table(spark, sf_dir, "labels")).where("predicted = 0").select(*docs.columns)
+    lean, rest = _lean(docs)
+    return _as_documents(toxicity.score(lean, common.table(spark, sf_dir, "labels")).where("predicted = 0"), docs, rest)
 
 
 def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Every document, without the lines that it shares with others and is not the keeper of."""
-    return _as_documents(line_dedup.apply_bitmaps(docs, line_dedup.line_bitmaps(docs)), docs, "kept_text")
+    lean, rest = _lean(docs)
+    return _as_documents(line_dedup.apply_bitmaps(lean, line_dedup.line_bitmaps(lean)), docs, rest, "kept_text")
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -55,7 +64,7 @@ STAGES = [
     ("SentencePiece encoding", encode),
 ]
 
-#: The stages aren't SQL; the tests run brute-force versions.
+#: The stages aren't SQL; the tests compare run() with plain Python.
 ORACLE_SQL = None
 
 
