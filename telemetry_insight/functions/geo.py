@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -39,25 +41,67 @@ def _around(v: Column, size: float) -> Column:
 
 
 def nearest_by_cells(df: DataFrame, landmarks: DataFrame, size: float = 0.008) -> DataFrame:
-    """As nearest, by an equi-join on grid cells; a landmark must lie within one cell (df rows without one keep nulls)."""
-    spots = landmarks.select("landmark_id", F.col("lat").alias("_lat"), F.col("lon").alias("_lon"), F.col("name").alias("place"), "zone").withColumn("_cy", _around(F.col("_lat"), size)).withColumn("_cx", _around(F.col("_lon"), size))
-    keyed = df.withColumns({"_id": F.monotonically_increasing_id(), "_cy": cell(F.col("lat"), size), "_cx": cell(F.col("lon"), size)})
-    both = keyed.join(spots, ["_cy", "_cx"], "left").withColumn("landmark_m", haversine(F.col("lat"), F.col("lon"), F.col("_lat"), F.col("_lon")))
-    first = F.row_number().over(Window.partitionBy("_id").orderBy(F.col("landmark_m").asc_nulls_last(), "landmark_id"))
-    return both.withColumn("_n", first).where("_n = 1").select(*df.columns, "landmark_id", "landmark_m", "place", "zone")
+    """As nearest, by equi-joins on grid cells.
+
+    A row looks in the cells around its own. What it finds is proven nearest if it is no farther than a cell is wide;
+    rows without such a find look again in cells four times as wide, up to the whole globe, where every place is a neighbour.
+    """
+    from ..plans.store import stored
+
+    keyed = stored(df.withColumn("_id", F.monotonically_increasing_id()), "positions")
+    left, done = keyed.where(F.col("lat").isNotNull() & F.col("lon").isNotNull()), keyed.where(F.col("lat").isNull() | F.col("lon").isNull()).select("_id", *[F.lit(None).cast(t).alias(c) for c, t in (("landmark_id", landmarks.schema["landmark_id"].dataType), ("landmark_m", "double"), ("place", "string"), ("zone", "string"))])
+    if landmarks.isEmpty():
+        return keyed.join(done.union(left.select("_id", *[F.lit(None)] * 4)), "_id").select(*df.columns, "landmark_id", "landmark_m", "place", "zone")
+    while True:
+        last = size >= 360
+        spots = landmarks.select("landmark_id", F.col("lat").alias("_lat"), F.col("lon").alias("_lon"), F.col("name").alias("place"), "zone").withColumn("_cy", _around(F.col("_lat"), size)).withColumn("_cx", _around(F.col("_lon"), size))
+        at = left.select("_id", "lat", "lon", cell(F.col("lat"), size).alias("_cy"), cell(F.col("lon"), size).alias("_cx"))
+        both = at.join(spots, ["_cy", "_cx"], "left").withColumn("landmark_m", haversine(F.col("lat"), F.col("lon"), F.col("_lat"), F.col("_lon")))
+        best = both.groupBy("_id", "lat", "lon").agg(F.min(F.when(F.col("landmark_m").isNotNull(), F.struct("landmark_m", "landmark_id", "place", "zone"))).alias("b"))
+        # A cell's least width in metres, at the latitude where it is narrowest; near the date line nothing is proven.
+        width = size * EARTH_M * math.pi / 180 * F.cos(F.radians(F.least(F.abs("lat") + size, F.lit(90.0)))) * 0.999
+        proven = F.lit(last) | (F.col("b").isNotNull() & (F.col("b.landmark_m") <= width) & (F.abs("lon") + size <= 180))
+        round_ = stored(best.select("_id", F.col("b.landmark_id").alias("landmark_id"), F.col("b.landmark_m").alias("landmark_m"), F.col("b.place").alias("place"), F.col("b.zone").alias("zone"), F.coalesce(proven, F.lit(False)).alias("_ok")), "nearest")
+        done = done.union(round_.where("_ok").drop("_ok"))
+        left = left.join(round_.where("not _ok").select("_id"), "_id", "left_semi")
+        if last or round_.where("not _ok").isEmpty():
+            return keyed.join(done, "_id").select(*df.columns, "landmark_id", "landmark_m", "place", "zone")
+        size = min(360.0, size * 4)
+
+
+def reach(radius_m: float, lat: float) -> tuple[float, float]:
+    """Degrees of latitude and longitude that a radius around a latitude reaches, a little widened; 360 where it reaches a pole."""
+    angle = radius_m / EARTH_M
+    dlat = math.degrees(angle) * 1.001 + 1e-9
+    if abs(lat) + dlat >= 90 or angle >= math.pi / 2:
+        return dlat, 360.0
+    return dlat, math.degrees(math.asin(min(1.0, math.sin(angle) / math.cos(math.radians(lat))))) * 1.001 + 1e-9
 
 
 def within(df: DataFrame, lat: float, lon: float, radius_m: float) -> DataFrame:
-    """Rows within a radius of one place; a bounding box that reaches the scan comes first."""
-    dlat, dlon = radius_m / 110000.0, radius_m / 80000.0
-    box = F.col("lat").between(lat - dlat, lat + dlat) & F.col("lon").between(lon - dlon, lon + dlon)
+    """Rows within a radius of one place; a bounding box that reaches the scan comes first. Across the date line the box has no sides."""
+    dlat, dlon = reach(radius_m, lat)
+    box = F.col("lat").between(lat - dlat, lat + dlat)
+    if -180 <= lon - dlon and lon + dlon <= 180:
+        box &= F.col("lon").between(lon - dlon, lon + dlon)
     return df.where(box).withColumn("distance_m", haversine(F.lit(lat), F.lit(lon), F.col("lat"), F.col("lon"))).where(F.col("distance_m") <= radius_m)
 
 
 def radius_join(a: DataFrame, b: DataFrame, radius_m: float, size: float = CELL_DEGREES) -> DataFrame:
-    """Pairs (a_id, b_id, distance_m) within a radius, of frames with event_id, lat, lon: an equi-join on cells at least a radius wide."""
-    left = a.select(F.col("event_id").alias("a_id"), F.col("lat").alias("a_lat"), F.col("lon").alias("a_lon")).withColumns({"cy": cell(F.col("a_lat"), size), "cx": cell(F.col("a_lon"), size)})
-    right = b.select(F.col("event_id").alias("b_id"), F.col("lat").alias("b_lat"), F.col("lon").alias("b_lon")).withColumn("cy", _around(F.col("b_lat"), size)).withColumn("cx", _around(F.col("b_lon"), size))
+    """Pairs (a_id, b_id, distance_m) within a radius, of frames with event_id, lat, lon: an equi-join on cells at least a radius wide.
+
+    Cells lie in bands of latitude; each band has as many around the globe as are wide enough there, so neighbours
+    are found at any latitude, for any radius and across the date line.
+    """
+    own = math.degrees(radius_m / EARTH_M) * 1.001 + 1e-9
+    tall, wide = max(size, own), max(size, own * math.pi / 2)
+    farthest = lambda cy: F.least(F.greatest(F.abs(cy), F.abs(cy + 1)) * tall + tall, F.lit(90.0))
+    count = lambda cy: F.greatest(F.lit(1), F.floor(F.lit(360.0) * F.cos(F.radians(farthest(cy))) / wide).cast("long"))
+    column = lambda lon, cy: F.pmod(F.floor((lon + 180) * count(cy) / 360.0).cast("long"), count(cy))
+    left = a.select(F.col("event_id").alias("a_id"), F.col("lat").alias("a_lat"), F.col("lon").alias("a_lon")).withColumn("cy", cell(F.col("a_lat"), tall)).withColumn("cx", column(F.col("a_lon"), F.col("cy")))
+    right = b.select(F.col("event_id").alias("b_id"), F.col("lat").alias("b_lat"), F.col("lon").alias("b_lon")).withColumn("cy", _around(F.col("b_lat"), tall))
+    mine, n = column(F.col("b_lon"), F.col("cy")), count(F.col("cy"))
+    right = right.withColumn("cx", F.explode(F.array_distinct(F.array(*[F.pmod(mine + d, n) for d in (-1, 0, 1)]))))
     far = haversine(F.col("a_lat"), F.col("a_lon"), F.col("b_lat"), F.col("b_lon"))
     return left.join(right, ["cy", "cx"]).withColumn("distance_m", far).where((F.col("distance_m") <= radius_m) & (F.col("a_id") != F.col("b_id"))).select("a_id", "b_id", "distance_m")
 
@@ -73,4 +117,4 @@ def speed(fixes: DataFrame) -> DataFrame:
 def snap(df: DataFrame, landmarks: DataFrame) -> DataFrame:
     """Positions moved onto their nearest landmark, with the distance moved."""
     spots = landmarks.select("landmark_id", F.col("lat").alias("snapped_lat"), F.col("lon").alias("snapped_lon"))
-    return nearest(df, landmarks).join(F.broadcast(spots), "landmark_id", "left")
+    return nearest(df, landmarks).join(spots, "landmark_id", "left")

@@ -66,6 +66,22 @@ def classify(df: DataFrame, lex: DataFrame, key: str = "qid") -> DataFrame:
     return b.select(*df.columns, F.when(hit, F.col("_b.intent")).otherwise("unknown").alias("intent"), F.when(hit, F.col("_b.category")).alias("category"), F.when(hit, F.col("_b.scope")).alias("scope"), (-F.col("_b.neg")).cast("int").alias("score"))
 
 
+PROFILES = ["Calm", "Moderate", "Slightly Unstable", "Aggressive", "Very Aggressive"]
+
+
+def label_of(text: Column) -> Column:
+    """The driving profile a question names, the longest name first, or null."""
+    out = F.lit(None).cast("string")
+    for name in sorted(PROFILES, key=len):
+        out = F.when(F.lower(text).rlike(rf"\b{name.lower()}\b"), F.lit(name)).otherwise(out)
+    return out
+
+
+def event_of(text: Column) -> Column:
+    """The number of the event a question names, or null."""
+    return F.nullif(F.regexp_extract(text, r"(?i)\bevent\s+#?([0-9]+)", 1), F.lit("")).try_cast("long")
+
+
 def hours_of(text: Column) -> Column:
     """The hour band a question names, as struct<from, to>, or null."""
     out = F.lit(None).cast("struct<from:int,to:int>")

@@ -16,20 +16,21 @@ from .registry import query
 L = f"WITH {LABELLED_SQL}"
 
 
-def retrieve(spark: SparkSession, d: str, intent: str, band: tuple[int, int] | None = None, place: str | None = None, event_id: int | None = None) -> Q.Facts:
-    """The facts of an intent: one aggregation over the pre-labelled windows, a handful of rows to the driver."""
+def retrieve(spark: SparkSession, d: str, intent: str, band: tuple[int, int] | None = None, place: str | None = None, event_id: int | None = None, label: str | None = None) -> Q.Facts:
+    """The facts of an intent about the profile, place, hours or event asked for: one aggregation over the pre-labelled windows, a handful of rows to the driver."""
     w = labelled_windows(spark, d)
     if band:
         w = w.where(F.col("hour").between(*band))
     if intent == "hotspots":
-        top = A.hotspots(w, A.SEVERE).orderBy(F.desc("events"), "landmark_id").collect()
-        return Q.Facts("Severe driving events", {"total events": top[0]["total_events"] if top else 0}, [(r["place"], r["events"]) for r in top], "Aggressive")
+        own = label or "Aggressive"
+        top = A.hotspots(w, (own,)).orderBy(F.desc("events"), "landmark_id").collect()
+        return Q.Facts(f"{own} driving events", {"total events": top[0]["total_events"] if top else 0}, [(r["place"], r["events"]) for r in top], own)
     if intent == "dwell":
         rows = A.dwell(w, 43200).orderBy(F.desc("longest"), "place").limit(3).collect()
         return Q.Facts("Longest stays in minutes", {"stays": sum(r["stays"] for r in rows)}, [(r["place"], round(r["longest"], 2)) for r in rows])
     if intent == "count":
-        n = w.where("label = 'Moderate'").count()
-        return Q.Facts("Moderate driving windows", {"count": n}, [], "Moderate")
+        n = (w.where(F.col("label") == label) if label else w).count()
+        return Q.Facts(f"{label} driving windows" if label else "All driving windows", {"count": n}, [], label)
     if intent == "efficiency":
         r = A.compare_bands(w).agg(F.sum("morning_events").alias("m"), F.sum("evening_events").alias("e"), F.avg("morning_instability").alias("mi"), F.avg("evening_instability").alias("ei")).first()
         return Q.Facts("Morning against evening", {"morning events": r["m"] or 0, "evening events": r["e"] or 0, "morning instability": round(r["mi"] or 0, 2), "evening instability": round(r["ei"] or 0, 2)}, [])
@@ -45,19 +46,35 @@ def retrieve(spark: SparkSession, d: str, intent: str, band: tuple[int, int] | N
     return Q.Facts("Supported questions", {}, [])
 
 
-def ask(spark: SparkSession, d: str, text: str, responder: Q.TemplateResponder | None = None, cache: Q.Cache | None = None, retries: int = 1, recluster: bool = False) -> Q.Answer:
-    """A question to a checked answer. recluster fits profiles first, the cost that stored centroids save."""
-    began = time.perf_counter()
-    one = spark.createDataFrame([(1, text)], "qid int, text string")
-    q = Q.place_of(Q.classify(one, Q.lexicon(spark)), C.landmarks(spark, d)).withColumn("h", Q.hours_of(F.col("text"))).first()
-    if recluster:
-        from ..functions import profiles
-
-        profiles.kmeans(labelled_windows(spark, d).select(*profiles.FEATURES), iterations=20)
-    band = (q["h"]["from"], q["h"]["to"]) if q["h"] and q["intent"] != "efficiency" else None
-    facts = retrieve(spark, d, q["intent"], band, q["place"])
+def parse(spark: SparkSession, d: str, texts: list[str]) -> list:
+    """One row a question, in order: intent, place, hours, profile and event number. One job for all."""
+    given = spark.createDataFrame(list(enumerate(texts)), "qid int, text string")
+    slots = {"h": Q.hours_of(F.col("text")), "label": Q.label_of(F.col("text")), "event_id": Q.event_of(F.col("text"))}
+    return Q.place_of(Q.classify(given, Q.lexicon(spark)), C.landmarks(spark, d)).withColumns(slots).orderBy("qid").collect()
+
+
+def ask_batch(spark: SparkSession, d: str, texts: list[str], responder: Q.TemplateResponder | None = None, cache: Q.Cache | None = None, retries: int = 1, recluster: bool = False) -> list[Q.Answer]:
+    """Questions to checked answers; questions of the same intent and slots share their facts. recluster fits profiles first, the cost that stored centroids save."""
+    began, known = time.perf_counter(), {}
     directory = [r["name"] for r in C.landmarks(spark, d).select("name").collect()]
-    return Q.answer(text, q["intent"], facts, directory, responder or Q.TemplateResponder(), cache, retries, began)
+    out = []
+    for q in parse(spark, d, texts):
+        if recluster:
+            from ..functions import profiles
+
+            profiles.kmeans(labelled_windows(spark, d).select(*profiles.FEATURES), iterations=20)
+        band = (q["h"]["from"], q["h"]["to"]) if q["h"] and q["intent"] != "efficiency" else None
+        key = (q["intent"], band, q["place"], q["event_id"], q["label"])
+        if key not in known:
+            known[key] = retrieve(spark, d, *key)
+        out.append(Q.answer(q["text"], q["intent"], known[key], directory, responder or Q.TemplateResponder(), cache, retries, began))
+        began = time.perf_counter()
+    return out
+
+
+def ask(spark: SparkSession, d: str, text: str, responder: Q.TemplateResponder | None = None, cache: Q.Cache | None = None, retries: int = 1, recluster: bool = False) -> Q.Answer:
+    """A question to a checked answer."""
+    return ask_batch(spark, d, [text], responder, cache, retries, recluster)[0]
 
 
 def _frame(spark, answers: list[Q.Answer]) -> DataFrame:
@@ -66,13 +83,12 @@ def _frame(spark, answers: list[Q.Answer]) -> DataFrame:
 
 @query("ask")
 def ask_query(spark, d):
-    cache = Q.Cache()
-    return _frame(spark, [ask(spark, d, t, cache=cache) for _, t, _ in Q.QUESTIONS])
+    return _frame(spark, ask_batch(spark, d, [t for _, t, _ in Q.QUESTIONS], cache=Q.Cache()))
 
 
-_FACT = f"""{L}, h AS (SELECT place, landmark_id, count(*) AS n FROM lw WHERE quality = 1 AND label IN ('Aggressive', 'Very Aggressive') GROUP BY 1, 2),
+_FACT = f"""{L}, h AS (SELECT place, landmark_id, count(*) AS n FROM lw WHERE quality = 1 AND label = 'Aggressive' GROUP BY 1, 2),
 t AS (SELECT *, row_number() OVER (ORDER BY n DESC, landmark_id) AS i FROM h)
-SELECT concat_ws(chr(10), 'Severe driving events', '- total events: ' || (SELECT CAST(sum(n) AS BIGINT) FROM h), string_agg(i || '. ' || place || ' (' || n || ')', chr(10) ORDER BY i)) AS block FROM t WHERE i <= 3"""
+SELECT concat_ws(chr(10), 'Aggressive driving events', '- total events: ' || (SELECT CAST(sum(n) AS BIGINT) FROM h), string_agg(i || '. ' || place || ' (' || n || ')', chr(10) ORDER BY i)) AS block FROM t WHERE i <= 3"""
 
 
 @query("fact_block", _FACT)
@@ -83,7 +99,7 @@ def fact_block(spark, d):
 @query("prompt_template")
 def prompt_template(spark, d):
     """Prompts of all intents with their estimated tokens, which stay under the budget."""
-    rows = [(i, text := Q.prompt(i, Q.fact_block(retrieve(spark, d, i)), q), Q.tokens(text)) for i, q in (("hotspots", "Where?"), ("dwell", "Where do they wait?"), ("count", "How many?"))]
+    rows = [(i, text := Q.prompt(i, Q.fact_block(retrieve(spark, d, i)), q), Q.tokens(text)) for i, q in (("hotspots", "Where?"), ("dwell", "Where do they wait?"), ("count", "How many?"), ("efficiency", "Morning or evening?"), ("spatial", "What is it like around there?"), ("event", "Why did it happen?"))]
     return spark.createDataFrame(rows, "intent string, prompt string, tokens int").withColumn("within_budget", F.col("tokens") < 500)
 
 

@@ -12,13 +12,15 @@ from .registry import query
 
 BUDGET, CHUNKS = 3000, 5
 
-#: One compact row as the baseline would print it; lengths come from its integer fields.
-_ROW_SQL = "'{\"v\":' || vehicle_id || ',\"t\":' || epoch_s || ',\"e\":' || event_id || '}'"
+#: One compact row as the baseline would print it: the telemetry itself under one-letter keys, in thousandths and in 1e-5 degrees.
+_KEYS = {"x": ("x", 1000), "y": ("y", 1000), "z": ("z", 1000), "a": ("lat", 100000), "o": ("lon", 100000)}
+_ROW_SQL = "'{\"v\":' || vehicle_id || ',\"t\":' || epoch_s || ',\"e\":' || event_id" + "".join(f" || ',\"{k}\":' || CAST(round({c} * {m}) AS BIGINT)" for k, (c, m) in _KEYS.items()) + " || '}'"
 
 
 def compact(df: DataFrame) -> DataFrame:
-    """df with its row text under one-letter keys."""
-    return df.withColumn("row", F.concat(F.lit('{"v":'), F.col("vehicle_id"), F.lit(',"t":'), F.col("epoch_s"), F.lit(',"e":'), F.col("event_id"), F.lit("}")))
+    """df with its row text under one-letter keys: vehicle, time, event, the three axes, position."""
+    telemetry = [x for k, (c, m) in _KEYS.items() for x in (F.lit(f',"{k}":'), F.round(F.col(c) * m).cast("long"))]
+    return df.withColumn("row", F.concat(F.lit('{"v":'), F.col("vehicle_id"), F.lit(',"t":'), F.col("epoch_s"), F.lit(',"e":'), F.col("event_id"), *telemetry, F.lit("}")))
 
 
 def running_total(df: DataFrame, value: str, order: list[str], parts: int = 16) -> DataFrame:
@@ -50,10 +52,12 @@ def pick(chunks: DataFrame, m: int = CHUNKS, seed: int = 42, mode: str = "strati
 
 
 def _rows(spark, d):
-    return compact(C.events(spark, d)).withColumn("tokens", F.ceil(F.length("row") / 4.0).cast("long"))
+    e = C.events(spark, d).withColumns(C.fix_columns())
+    rank = F.create_map(*[F.lit(x) for p in zip(C.EVENT_TYPES, range(5), strict=True) for x in p])
+    return compact(e.withColumns({"x": F.col("value"), "y": F.col("k").cast("double"), "z": rank[F.col("event_type")].cast("double")})).withColumn("tokens", F.ceil(F.length("row") / 4.0).cast("long"))
 
 
-_ROWS = f"WITH {C.EVENTS_SQL}, rw AS (SELECT *, {_ROW_SQL} AS row, CAST(ceil(length({_ROW_SQL}) / 4e0) AS BIGINT) AS tokens FROM ev), cu AS (SELECT *, sum(tokens) OVER (ORDER BY epoch_s, event_id ROWS UNBOUNDED PRECEDING) AS cum FROM rw), ch AS (SELECT *, CAST(floor((cum - 1) / 3000e0) AS BIGINT) AS chunk_id FROM cu)"
+_ROWS = f"WITH {C.FIX_SQL}{C.NATIVE_SQL.removeprefix(C.EVENTS_SQL)}, te AS (SELECT ev.*, x, y, z, lat, lon FROM ev JOIN na USING (event_id) JOIN fx USING (event_id)), rw AS (SELECT *, {_ROW_SQL} AS row, CAST(ceil(length({_ROW_SQL}) / 4e0) AS BIGINT) AS tokens FROM te), cu AS (SELECT *, sum(tokens) OVER (ORDER BY epoch_s, event_id ROWS UNBOUNDED PRECEDING) AS cum FROM rw), ch AS (SELECT *, CAST(floor((cum - 1) / 3000e0) AS BIGINT) AS chunk_id FROM cu)"
 _PICK = _ROWS + ", st AS (SELECT chunk_id, ntile(5) OVER (ORDER BY chunk_id) AS s FROM (SELECT DISTINCT chunk_id FROM ch)), pk AS (SELECT chunk_id FROM (SELECT chunk_id, row_number() OVER (PARTITION BY s ORDER BY (chunk_id * 7919 + 42) % 10007, chunk_id) AS n FROM st) WHERE n = 1)"
 
 

@@ -39,7 +39,7 @@ def stream_static_assign(spark, d):
     return S.static_assign(spark, d)
 
 
-@query("stream_stream_fix_join", "SELECT count(*) AS pairs FROM events WHERE event_type <> 'error'")
+@query("stream_stream_fix_join", f"WITH {C.EVENTS_SQL} SELECT count(*) AS pairs FROM ev s JOIN ev f ON s.vehicle_id = f.vehicle_id AND abs(s.epoch_s - f.epoch_s) <= 1 WHERE f.event_type <> 'error'")
 def stream_stream_fix_join(spark, d):
     return S.fix_join(spark, d)
 

@@ -100,12 +100,12 @@ def static_assign(spark, d):
 
 
 def fix_join(spark, d):
-    """Samples with fixes of the same event within a second, both watermarked."""
+    """Samples with fixes of the same vehicle within a second, both watermarked."""
     samples = read(spark, feed(spark, d), 10).withWatermark("at", "1 hour")
     path = _path(spark, "fixes")
-    C.fixes(spark, d).where("quality = 1").select("event_id", "lat", "lon", F.timestamp_seconds("epoch_s").alias("fix_at")).coalesce(1).write.parquet(path)
-    fixes = spark.readStream.schema("event_id long, lat double, lon double, fix_at timestamp").parquet(path).withWatermark("fix_at", "1 hour").withColumnRenamed("event_id", "fix_event")
-    near = (F.col("event_id") == F.col("fix_event")) & (F.col("fix_at") >= F.col("at") - F.expr("interval 1 second")) & (F.col("fix_at") <= F.col("at") + F.expr("interval 1 second"))
+    C.fixes(spark, d).where("quality = 1").select(F.col("vehicle_id").alias("fix_vehicle"), "lat", "lon", F.timestamp_seconds("epoch_s").alias("fix_at")).coalesce(1).write.parquet(path)
+    fixes = spark.readStream.schema("fix_vehicle long, lat double, lon double, fix_at timestamp").parquet(path).withWatermark("fix_at", "1 hour")
+    near = (F.col("vehicle_id") == F.col("fix_vehicle")) & (F.col("fix_at") >= F.col("at") - F.expr("interval 1 second")) & (F.col("fix_at") <= F.col("at") + F.expr("interval 1 second"))
     return run(samples.join(fixes, near).select("event_id", "lat", "lon"), "joined").agg(F.count(F.lit(1)).alias("pairs"))
 
 
