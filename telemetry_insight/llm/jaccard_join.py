@@ -44,9 +44,9 @@ from .components import components
 
 SKETCH_BITS, SEGMENTS = 21, 128
 #: Places of a parity map, and of the map that each entry of a list carries.
-LEAST_PLACES, LIST_PLACES, MOST_PLACES = 256, 1 << 14, 1 << 16
+LEAST_PLACES, LIST_PLACES, MOST_PLACES = 256, 1 << 12, 1 << 16
 #: Rows of a list that one task compares with one another, and heads of a list in the first round.
-LIST_BLOCK, HEADS = 1024, 16
+LIST_BLOCK, HEADS = 4096, 16
 _EMPTY = 0
 
 
@@ -379,12 +379,12 @@ def near_components(docs: DataFrame, width: int = 5, percent: int = 80) -> DataF
     every = common.stored(spark, postings.repartition(parts, "key").sortWithinPartitions("key", "n", "class").mapInArrow(_shared, "key long, n int, class long"), "lists")
     # Lists of the same classes say the same: one of them stays.
     marks = every.groupBy("key").agg(F.sum(F.xxhash64("class").cast("decimal(38,0)")).alias("h"), F.count(F.lit(1)).alias("c"))
-    alone = common.stored(spark, marks.groupBy("h", "c").agg(F.min("key").alias("key")).select("key"), "lists")
-    own = every.join(alone, "key", "left_semi")
+    alone = marks.groupBy("h", "c").agg(F.min("key").alias("key")).select("key", F.ceil(F.col("c") / LIST_BLOCK).cast("int").alias("blocks"))
+    own = every.join(common.stored(spark, alone, "lists"), "key")
     classes = described.where("n > 0 and doc_id is not null").groupBy("class").agg(F.min("doc_id").alias("doc_id"), F.first("n").alias("n"), F.first("parity").alias("parity"))
     classes = common.stored(spark, classes.join(own.select("class").distinct(), "class", "left_semi"), "classes")
     maps = classes.select("class", "parity").mapInArrow(_folded, "class long, parity binary")
-    lists = common.stored(spark, own.join(maps, "class").select("key", "n", "class", "parity"), "lists")
+    lists = common.stored(spark, own.join(maps, "class").select("key", "blocks", "n", "class", "parity"), "lists")
 
     def links(pairs: DataFrame) -> DataFrame:
         """The pairs (a, b) that link, from the texts of their classes."""
@@ -395,11 +395,8 @@ def near_components(docs: DataFrame, width: int = 5, percent: int = 80) -> DataF
             return common.stored(spark, _links(pairs, common.stored(spark, found, "candidates"), width, percent), "links")
 
     def cells(labels: DataFrame, cut: bool) -> DataFrame:
-        """The lists that hold several components, by cell: blocks of a list, and if cut also every two blocks of it."""
-        placed = lists.select("key", "class").join(labels, "class", "left").withColumn("component", F.coalesce("component", "class"))
-        mixed = placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count(F.lit(1)).alias("c")).where("lo < hi")
-        mixed = common.stored(spark, mixed.select("key", F.ceil(F.col("c") / LIST_BLOCK).cast("int").alias("blocks")), "mixed")
-        apart = lists.join(mixed, "key").join(labels, "class", "left").withColumn("component", F.coalesce("component", "class")).withColumn("block", F.pmod(F.xxhash64("class", F.lit(5)), F.col("blocks")).cast("int"))
+        """The lists by cell: blocks of a list, and if cut also every two blocks of it. Cells of one component are passed over where they are read."""
+        apart = lists.join(labels, "class", "left").withColumn("component", F.coalesce("component", "class")).withColumn("block", F.pmod(F.xxhash64("class", F.lit(5)), F.col("blocks")).cast("int"))
         apart = apart.withColumn("with", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)) if cut else F.col("block"))
         cell = F.xxhash64("key", F.least("block", "with"), F.greatest("block", "with"))
         dealt = apart.select(cell.alias("cell"), (F.col("block") > F.col("with")).cast("int").alias("side"), "n", "class", "component", "parity")
@@ -429,7 +426,7 @@ def near_components(docs: DataFrame, width: int = 5, percent: int = 80) -> DataF
         elif not heads:
             return _labelled(sets, labels)
         else:
-            few, heads = 4, 0
+            few, heads = 1, 0
 
 
 def _folded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
