@@ -317,7 +317,10 @@ def _near_pairs(percent: int, few: int, heads: int):
         found, more = [], False
 
         def sent() -> pa.RecordBatch:
-            every = np.unique(np.concatenate(found), axis=0)
+            every = np.concatenate(found)
+            if not heads:  # only then the direction says nothing
+                every.sort(axis=1)
+            every = np.unique(every, axis=0)
             found.clear()
             return pa.RecordBatch.from_arrays([pa.array(every[:, 0]), pa.array(every[:, 1]), pa.array(np.full(len(every), more))], names=["a", "b", "more"])
 
@@ -410,7 +413,7 @@ def near_components(docs: DataFrame, width: int = 5, percent: int = 80) -> DataF
     tested, few, heads = [], 1, HEADS
     while True:
         near = common.stored(spark, cells(labels, not heads).mapInArrow(_near_pairs(percent, few, heads), "a long, b long, more boolean"), "near")
-        pairs = near.select("a", "b").distinct() if heads else near.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+        pairs = near.select("a", "b").distinct()
         for known in tested:
             pairs = pairs.join(known, ["a", "b"], "left_anti")
         side = lambda c: classes.select(F.col("class").alias(c), F.col("n").alias(f"{c}_n"), F.col("parity").alias(f"{c}_parity"))
@@ -422,7 +425,7 @@ def near_components(docs: DataFrame, width: int = 5, percent: int = 80) -> DataF
             tested.append(asked)
             labels = _merged(labels, links(asked))
         if not heads and not near.where("more").isEmpty():
-            few *= 16
+            few *= 64
         elif not heads:
             return _labelled(sets, labels)
         else:
