@@ -54,6 +54,19 @@ def around(w: DataFrame, lat: float, lon: float, radius_m: float = 250.0) -> Dat
     return per.crossJoin(F.broadcast(per.agg(F.sum("windows").alias("t")))).withColumn("share", F.col("windows") / F.col("t")).drop("t")
 
 
+def density(w: DataFrame, lat: float, lon: float, radius_m: float = 250.0) -> DataFrame:
+    """Windows within radius_m of a point by hour, and per square kilometre of the circle."""
+    near = geo.within(w.drop("distance_m"), lat, lon, radius_m)
+    return near.groupBy("hour").agg(F.count(F.lit(1)).alias("windows")).withColumn("per_km2", F.col("windows") / (F.pi() * (radius_m / 1000) ** 2))
+
+
+def idle_bands(w: DataFrame, gap: int, tau: float) -> DataFrame:
+    """Per route: minutes of low-motion stays by the band they start in; idle_change is evening less morning."""
+    s = stays(w, gap, "route", tau).withColumn("band", band(F.floor(F.col("first") % 86400 / 3600)))
+    idle = lambda b: F.coalesce(F.sum(F.when(F.col("band") == b, F.col("minutes"))), F.lit(0.0)).alias(f"{b}_idle")
+    return s.groupBy(F.col("place").alias("route")).agg(idle("morning"), idle("evening")).withColumn("idle_change", F.col("evening_idle") - F.col("morning_idle"))
+
+
 def maneuver() -> Column:
     """What a window's widest axis says: braking, acceleration, turn or shock."""
     sx, sy, sz = (F.col(f"{a}_p99") - F.col(f"{a}_p01") for a in "xyz")

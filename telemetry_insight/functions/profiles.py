@@ -171,3 +171,13 @@ def rules(extreme_cuts: tuple[float, ...] = (10.6, 11.2, 12.0, 13.3), vocabulary
     for cut, name in reversed(list(zip(extreme_cuts, vocabulary, strict=False))):
         out = F.when(F.col("extreme") < cut, name).otherwise(out)
     return out
+
+
+def shift(w: DataFrame, ref: Column, label: str = "label") -> DataFrame:
+    """label, shift, ref_share, cur_share: the distance between a profile's mean features in the reference rows and in the others, and its shares of both. One aggregation; a profile without rows on a side has a null shift."""
+    both = {"ref": ref, "cur": ~ref}
+    sides = [a for s, c in both.items() for a in (F.count_if(c).alias(f"{s}_n"), *[F.avg(F.when(c, F.col(f))).alias(f"{s}_{f}") for f in FEATURES])]
+    per = w.groupBy(label).agg(*sides)
+    total = per.agg(*[F.sum(f"{s}_n").alias(f"{s}_total") for s in both])
+    apart = F.sqrt(sum((F.col(f"cur_{f}") - F.col(f"ref_{f}")) ** 2 for f in FEATURES))
+    return per.crossJoin(F.broadcast(total)).select(label, apart.alias("shift"), *[(F.col(f"{s}_n") / F.col(f"{s}_total")).alias(f"{s}_share") for s in both])

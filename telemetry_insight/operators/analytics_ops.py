@@ -92,6 +92,26 @@ def spatial_patterns(spark, d):
     return r.select("label", "windows", *[F.round(c, 6).alias(c) for c in ("instability", "extreme", "share")])
 
 
+@query("spatial_density", f"{L}, c AS (SELECT lat, lon FROM lm WHERE landmark_id = 12) SELECT lw.hour, count(*) AS windows, round(count(*) / (pi() * 0.0625e0), 4) AS per_km2 FROM lw, c WHERE {C.haversine_sql('c', 'lw')} <= 250 GROUP BY 1")
+def spatial_density(spark, d):
+    """Windows around a landmark by hour, and how many that is to the square kilometre."""
+    at = C.landmarks(spark, d).where("landmark_id = 12").first()
+    return A.density(labelled_windows(spark, d), at["lat"], at["lon"], 250.0).withColumn("per_km2", F.round("per_km2", 4))
+
+
+_IDLE = """, o AS (SELECT *, CASE WHEN lag(route) OVER w = route AND win_start - lag(win_start) OVER w <= 43200 THEN 0 ELSE 1 END AS new FROM lw WHERE instability <= 0.35 WINDOW w AS (PARTITION BY vehicle_id ORDER BY win_start, event_id)),
+r AS (SELECT *, sum(new) OVER (PARTITION BY vehicle_id ORDER BY win_start, event_id) AS run FROM o),
+st AS (SELECT route, min(win_start) AS first, (max(win_start) + 3 - min(win_start)) / 60e0 AS minutes FROM r GROUP BY vehicle_id, run, route),
+b AS (SELECT route, minutes, CAST(floor(first % 86400 / 3600e0) AS INTEGER) AS h FROM st)
+SELECT route, round(coalesce(sum(minutes) FILTER (h BETWEEN 6 AND 11), 0), 4) AS morning_idle, round(coalesce(sum(minutes) FILTER (h BETWEEN 17 AND 22), 0), 4) AS evening_idle, round(coalesce(sum(minutes) FILTER (h BETWEEN 17 AND 22), 0) - coalesce(sum(minutes) FILTER (h BETWEEN 6 AND 11), 0), 4) AS idle_change FROM b GROUP BY route"""
+
+
+@query("route_idle", L + _IDLE)
+def route_idle(spark, d):
+    """Minutes of low-motion stays that start in the morning and in the evening, by route, and the difference."""
+    return A.idle_bands(labelled_windows(spark, d), 43200, 0.35).select("route", *[F.round(c, 4).alias(c) for c in ("morning_idle", "evening_idle", "idle_change")])
+
+
 @query("anomaly_windows", f"{L}, q AS (SELECT quantile_cont(instability, 0.99) AS qi, quantile_cont(extreme, 0.99) AS qe FROM lw) SELECT event_id, label, instability > qi AS by_instability, extreme > qe AS by_extreme FROM lw, q WHERE instability > qi OR extreme > qe")
 def anomaly_windows(spark, d):
     w = labelled_windows(spark, d)

@@ -23,11 +23,12 @@ def compact(df: DataFrame) -> DataFrame:
     return df.withColumn("row", F.concat(F.lit('{"v":'), F.col("vehicle_id"), F.lit(',"t":'), F.col("epoch_s"), F.lit(',"e":'), F.col("event_id"), *telemetry, F.lit("}")))
 
 
-def running_total(df: DataFrame, value: str, order: list[str], parts: int = 16) -> DataFrame:
-    """df with cum, the running sum in a global order: range partitions, their totals as offsets, then sums inside each.
+def running_total(df: DataFrame, value: str, order: list[str], parts: int | None = None) -> DataFrame:
+    """df with cum, the running sum in a global order: range partitions (as many as the session shuffles to), their totals as offsets, then sums inside each.
 
     The ranged frame is stored first, so both passes see the same ranges; totals are one row a partition.
     """
+    parts = parts or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     ranged = stored(df.repartitionByRange(parts, *order).withColumn("_part", F.spark_partition_id()), "ranged")
     totals = ranged.groupBy("_part").agg(F.sum(value).alias("t"))
     before = totals.withColumn("before", F.coalesce(F.sum("t").over(Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).select("_part", "before")
@@ -41,14 +42,23 @@ def chunk(rows: DataFrame, budget: int = BUDGET) -> DataFrame:
 
 
 def pick(chunks: DataFrame, m: int = CHUNKS, seed: int = 42, mode: str = "stratified") -> DataFrame:
-    """At most m chunk ids spread over the data; chunks are few, one row for each budget of tokens."""
+    """At most m chunk ids spread over the data, one of each of m equal runs of ids.
+
+    Ids grow with the data, so their ranks come from a distributed running sum, and each run is reduced by a partial aggregate.
+    """
     ids = chunks.select("chunk_id").distinct()
     mix = F.pmod(F.col("chunk_id") * 7919 + seed, F.lit(10007))
     if mode == "random":
         return ids.orderBy(mix, "chunk_id").limit(m)
-    strata = ids.withColumn("s", F.ntile(m).over(Window.orderBy("chunk_id")))
+    ranked = running_total(ids.withColumn("one", F.lit(1).cast("long")), "one", ["chunk_id"])
+    total = ranked.agg(F.max("cum").alias("total"))
+    # The first total % m runs hold one id more than the rest.
+    short, at = F.floor(F.col("total") / m), F.col("cum") - 1
+    long_end = (F.col("total") % m) * (short + 1)
+    run = F.when(at < long_end, F.floor(at / (short + 1))).otherwise(F.col("total") % m + F.floor((at - long_end) / F.greatest(short, F.lit(1))))
     key = mix if mode == "stratified" else F.col("chunk_id")
-    return strata.withColumn("n", F.row_number().over(Window.partitionBy("s").orderBy(key, "chunk_id"))).where("n = 1").select("chunk_id")
+    best = ranked.crossJoin(F.broadcast(total)).groupBy(run.alias("s")).agg(F.min(F.struct(key.alias("key"), "chunk_id")).alias("best"))
+    return best.select("best.chunk_id")
 
 
 def _rows(spark, d):

@@ -222,6 +222,13 @@ def drift_detection(spark, d):
     return P.psi(ref, cur, "extreme", r["lo"], r["hi"]).select("bin", F.round("ref_share", 6).alias("ref_share"), F.round("cur_share", 6).alias("cur_share"), F.round("part", 6).alias("part"))
 
 
+@query("drift_centroid_shift", f"{L}, s AS (SELECT label, count(*) FILTER ({_WEEK}) AS ref_windows, count(*) FILTER (NOT ({_WEEK})) AS cur_windows, avg(instability) FILTER ({_WEEK}) AS ri, avg(instability) FILTER (NOT ({_WEEK})) AS ci, avg(extreme) FILTER ({_WEEK}) AS re, avg(extreme) FILTER (NOT ({_WEEK})) AS ce FROM lw GROUP BY label) SELECT label, round(sqrt((ci - ri) * (ci - ri) + (ce - re) * (ce - re)), 6) AS shift, round(ref_windows * 1e0 / sum(ref_windows) OVER (), 6) AS ref_share, round(cur_windows * 1e0 / sum(cur_windows) OVER (), 6) AS cur_share FROM s")
+def drift_centroid_shift(spark, d):
+    """By profile: how far the mean of its windows has moved since the reference week, and its share of the windows then and now."""
+    moved = P.shift(labelled_windows(spark, d), F.expr(_WEEK))
+    return moved.select("label", *[F.round(c, 6).alias(c) for c in ("shift", "ref_share", "cur_share")])
+
+
 @query("cluster_profile", f"{L} SELECT label, rank, count(*) AS windows, round(count(*) / (SELECT count(*) FROM lw), 6) AS share, round(avg(instability), 6) AS mean_instability, round(avg(extreme), 6) AS mean_extreme FROM lw GROUP BY 1, 2")
 def cluster_profile(spark, d):
     p = P.profile(labelled_windows(spark, d))
