@@ -12,7 +12,7 @@ from ..functions import questions as Q
 from ..plans.store import labelled_windows
 from ..sources import carriers as C
 from . import baseline_ops
-from .answer_ops import ask
+from .answer_ops import ask, parse, retrieve
 from .registry import query
 
 #: The five macro questions, in our words.
@@ -52,6 +52,60 @@ def workload_compare_modes(spark, d):
     return per.select("*", less("tokens"), less("usd"), less("simulated_s"))
 
 
+def timed(spark, d, text: str, responder: Q.TemplateResponder | None = None) -> list[tuple[str, str, float, bool]]:
+    """A grounded answer stage by stage: question, stage, seconds, whether simulated. Parse, retrieve and check are clocked; the model's seconds are those its reply states."""
+    clock, rows = time.perf_counter(), []
+
+    def lap(stage: str) -> None:
+        nonlocal clock
+        rows.append((text, stage, time.perf_counter() - clock, False))
+        clock = time.perf_counter()
+
+    q = parse(spark, d, [text])[0]
+    lap("parse")
+    band = (q["h"]["from"], q["h"]["to"]) if q["h"] and q["intent"] != "efficiency" else None
+    facts = retrieve(spark, d, q["intent"], band, q["place"], q["event_id"], q["label"])
+    lap("retrieve")
+    config = Q.Config.micro() if q["intent"] == "event" else Q.Config.macro()
+    reply = (responder or Q.TemplateResponder()).generate(Q.prompt(q["intent"], Q.fact_block(facts), text), config)
+    rows.append((text, "model", reply.seconds, True))
+    clock = time.perf_counter()
+    Q.issues(reply.text, facts, [r["name"] for r in C.landmarks(spark, d).select("name").collect()])
+    lap("check")
+    return rows
+
+
+@query("latency")
+def latency(spark, d):
+    """A1: from question to checked reply for the five macro questions, a row a stage; waits for rate limits are no part of it."""
+    return spark.createDataFrame([x for q in MACRO for x in timed(spark, d, q)], "question string, stage string, seconds double, simulated boolean")
+
+
+@query("latency_measured")
+def latency_measured(spark, d):
+    """A1a, A2, A5 over a log of three seeded runs of each macro question in grounded mode: mean, least, most and spread of the seconds, with tokens and calls a run."""
+    log = runs(spark, d, modes=("grounded",)).withColumn("seconds", F.col("spark_seconds") + F.col("simulated_seconds"))
+    spread = [f("seconds").alias(n) for f, n in ((F.avg, "mean_s"), (F.min, "min_s"), (F.max, "max_s"), (F.stddev_samp, "spread"))]
+    return log.groupBy("question", "mode").agg(F.count(F.lit(1)).alias("runs"), *spread, F.avg(F.col("tokens_in") + F.col("tokens_out")).alias("tokens"), F.max("calls").alias("most_calls"))
+
+
+#: The questions whose answers are shown side by side: dwell, count, aggressive.
+SHOWN = [MACRO[1], MACRO[2], MACRO[0]]
+
+
+@query("workload_answer_quality")
+def workload_answer_quality(spark, d):
+    """W5: the grounded and the raw reply to each shown question, with words about the mechanism, coordinates, and the score that the checks give against the same facts."""
+    directory = [r["name"] for r in C.landmarks(spark, d).select("name").collect()]
+    rows = []
+    for q in parse(spark, d, SHOWN):
+        facts = retrieve(spark, d, q["intent"], None, q["place"], q["event_id"], q["label"])
+        said = {"grounded": ask(spark, d, q["text"]).text, "raw": baseline_ops.answer(spark, d, q["text"], Q.TemplateResponder())[0]}
+        rows += [(q["text"], mode, text, Q.score(sum(Q.issues(text, facts, directory).values()))) for mode, text in said.items()]
+    t = spark.createDataFrame(rows, "question string, mode string, reply string, score int")
+    return t.withColumns({"jargon": F.regexp_count("reply", F.lit(Q.JARGON)), "coordinates": F.regexp_count("reply", F.lit(r"-?[0-9]+[.][0-9]{3,}")), "chars": F.length("reply")})
+
+
 @query("workload_edge_mission", f"WITH {C.SUMMARY_SQL} SELECT count(*) AS windows, CAST(sum(n) AS BIGINT) AS samples, round(count(*) * 1584 / 1048576e0, 4) AS raw_mib, round(count(*) * 420 / 1048576e0, 4) AS summary_mib FROM su")
 def workload_edge_mission(spark, d):
     """W6: edge aggregation of the carrier, with the bytes of both ways."""
