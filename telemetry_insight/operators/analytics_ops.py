@@ -60,9 +60,13 @@ def dwell_low_motion(spark, d):
 
 @query("dwell_sessions", f"WITH {C.NATIVE_SQL}, o AS (SELECT *, CASE WHEN epoch_s - lag(epoch_s) OVER w <= 21599 THEN 0 ELSE 1 END AS new FROM na WINDOW w AS (PARTITION BY vehicle_id ORDER BY epoch_s, event_id)), r AS (SELECT *, sum(new) OVER (PARTITION BY vehicle_id ORDER BY epoch_s, event_id) AS run FROM o) SELECT vehicle_id, min(epoch_s) AS first_s, count(*) AS samples FROM r GROUP BY vehicle_id, run")
 def dwell_sessions(spark, d):
-    """Activity sessions by session windows: gaps of under six hours belong together."""
-    n = C.native(spark, d).withColumn("at", F.timestamp_seconds("epoch_s"))
-    return n.groupBy("vehicle_id", F.session_window("at", "6 hours")).agg(F.min("epoch_s").alias("first_s"), F.count(F.lit(1)).alias("samples")).drop("session_window")
+    """Activity sessions by session windows: gaps of under six hours belong together; a sample without a time is a session of its own.
+
+    Session windows that touch are merged, so a window of 21599 s holds together gaps of up to 21599 s.
+    """
+    n = C.native(spark, d).select("vehicle_id", "epoch_s", F.timestamp_seconds("epoch_s").alias("at"))
+    timed = n.groupBy("vehicle_id", F.session_window("at", "21599 seconds")).agg(F.min("epoch_s").alias("first_s"), F.count(F.lit(1)).alias("samples")).drop("session_window")
+    return timed.union(n.where("epoch_s is null").select("vehicle_id", "epoch_s", F.lit(1).cast("long")))
 
 
 @query("count_profile", f"{L} SELECT count(*) AS windows FROM lw WHERE label = 'Moderate'")

@@ -140,3 +140,18 @@ def test_every_rare_row_gets_its_nearest(spark):
 def test_rare_windows_are_doubled(spark, data):
     rare = sum(r["label"] == "Very Aggressive" for r in labelled_windows(spark, data).select("label").collect())
     assert len(run(spark, data, "minority_synthesis")) == rare
+
+
+def own_events(spark, path, rows):
+    """An events table of (event_id, vehicle, time or None, value, k) rows."""
+    rows = [(e, v, t, "view", x, f'{{"k": {k}}}') for e, v, t, x, k in rows]
+    spark.createDataFrame(rows, "event_id long, user_id long, ts string, event_type string, value double, props string").selectExpr("event_id", "user_id", "to_timestamp_ntz(ts) AS ts", "event_type", "value", "props").write.parquet(f"{path}/events.parquet")
+    return str(path)
+
+
+def test_a_session_ends_with_a_gap_of_six_hours(spark, tmp_path):
+    at = [(1, "00:00:00"), (1, "05:59:59"), (1, "11:59:59"), (2, "03:00:00.5"), (2, "09:00:00.25"), (3, None), (3, None), (3, "01:00:00")]
+    d = own_events(spark, tmp_path, [(e, v, t and f"2024-01-01 {t}", 1.0, 1) for e, (v, t) in enumerate(at)])
+    day = 1704067200
+    want = [(1, day, 2), (1, day + 43199, 1), (2, day + 10800, 1), (2, day + 32400, 1), (3, day + 3600, 1), (3, None, 1), (3, None, 1)]
+    assert sorted(((r["vehicle_id"], r["first_s"], r["samples"]) for r in run(spark, d, "dwell_sessions")), key=str) == sorted(want, key=str)
