@@ -5,6 +5,9 @@ import math
 import random
 from collections import Counter, defaultdict
 
+import numpy as np
+
+from telemetry_insight.functions import edge
 from telemetry_insight.functions import questions as Q
 from telemetry_insight.operators import profile_ops, registry, workload_ops
 from telemetry_insight.plans.store import labelled_windows
@@ -155,3 +158,19 @@ def test_a_session_ends_with_a_gap_of_six_hours(spark, tmp_path):
     day = 1704067200
     want = [(1, day, 2), (1, day + 43199, 1), (2, day + 10800, 1), (2, day + 32400, 1), (3, day + 3600, 1), (3, None, 1), (3, None, 1)]
     assert sorted(((r["vehicle_id"], r["first_s"], r["samples"]) for r in run(spark, d, "dwell_sessions")), key=str) == sorted(want, key=str)
+
+
+def test_vibration_features_are_worked_out_without_moving_samples(spark, tmp_path):
+    """As over single samples, also for events without a value and two events of one id; the plan has no row a sample."""
+    rows = [(2, 10.0, 5), (3, None, 5), (4, 10.0, 5), (4, 11.0, 7), (5, 120.0, 99), (-6, 3.5, 12), (None, 2.0, 3)]
+    d = own_events(spark, tmp_path, [(e, 1, "2024-01-01 00:00:00", x, k) for e, x, k in rows])
+    got = {r["event_id"]: r for r in run(spark, d, "vibration_features")}
+    want = {r["event_id"]: r for r in edge.vibration(C.burst(spark, d), ["event_id"], ["i", "value"]).collect()}
+    assert set(got) == set(want) == {-6, 2, 3, 4, 5, None}
+    assert all(tuple(x[e])[1:] == (None, 0, None) for x in (got, want) for e in (3, None))
+    for e in (-6, 2, 4, 5):
+        assert abs(got[e]["rms"] - want[e]["rms"]) < 2e-6 and got[e]["crossings"] == want[e]["crossings"] and abs(got[e]["autocorrelation"] - want[e]["autocorrelation"]) < 2e-6
+    rms, crossings, r, no_rms, no_r = edge.vibration_of(np.full((2, 4), 2.5), np.array([[True] * 4, [False] * 4]))
+    assert (rms[0], crossings[0], no_rms.tolist(), no_r.tolist()) == (0.0, 0, [False, True], [False, True]) and math.isnan(r[0])
+    plan = registry.queries()["vibration_features"](spark, d)._jdf.queryExecution().executedPlan().toString()
+    assert "Generate" not in plan and "Window" not in plan
