@@ -168,8 +168,7 @@ def join_band_hours(spark, d):
 @query("join_radius")
 def join_radius(spark, d):
     """All fixes with all fixes."""
-    f = C.fixes(spark, d)
-    return geo.radius_join(f, f, 100.0).agg(_n().alias("pairs"))
+    return geo.radius_counts(C.fixes(spark, d), 100.0).agg(F.coalesce(F.sum("neighbours"), F.lit(0)).cast("long").alias("pairs"))
 
 
 @query("join_radius_first_200", f"WITH {C.FIX_SQL} SELECT count(*) AS pairs FROM fx a JOIN fx b ON a.event_id < 200 AND a.event_id <> b.event_id AND abs(a.lat - b.lat) < 0.001 AND {C.haversine_sql('a', 'b')} <= 100")

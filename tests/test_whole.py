@@ -7,7 +7,7 @@ from collections import Counter, defaultdict
 
 import numpy as np
 
-from telemetry_insight.functions import edge
+from telemetry_insight.functions import edge, geo
 from telemetry_insight.functions import questions as Q
 from telemetry_insight.operators import profile_ops, registry, workload_ops
 from telemetry_insight.plans.store import labelled_windows
@@ -174,3 +174,25 @@ def test_vibration_features_are_worked_out_without_moving_samples(spark, tmp_pat
     assert (rms[0], crossings[0], no_rms.tolist(), no_r.tolist()) == (0.0, 0, [False, True], [False, True]) and math.isnan(r[0])
     plan = registry.queries()["vibration_features"](spark, d)._jdf.queryExecution().executedPlan().toString()
     assert "Generate" not in plan and "Window" not in plan
+
+
+def test_neighbours_are_counted_without_pairs(spark, monkeypatch):
+    """Many rows of few places, places at the radius, repeated ids, rows without a place; and no join on cells in the plan."""
+    monkeypatch.setattr(geo, "TILE", 4)
+    r = random.Random(5)
+    spots = [(40.1 + r.random() * 0.004, -88.2 + r.random() * 0.004) for _ in range(150)] + [(60.0, 179.9999), (60.0, -179.9999), (89.9999, 10.0), (89.9999, -170.0)]
+    spots += [(spots[0][0] + math.degrees(100 / geo.EARTH_M) + x, spots[0][1]) for x in (-1e-9, 1e-9)]
+    rows = [(e, *spots[e % len(spots)]) for e in range(500)] + [(7, *spots[0]), (7, *spots[1]), (600, None, 1.0), (601, float("nan"), 1.0), (None, *spots[0])]
+    df = spark.createDataFrame(rows, "event_id long, lat double, lon double")
+
+    def far(a, b):
+        (u, v), (x, y) = (tuple(map(math.radians, p[1:])) for p in (a, b))
+        return 2 * geo.EARTH_M * math.asin(math.sqrt(math.sin((x - u) / 2) ** 2 + math.cos(u) * math.cos(x) * math.sin((y - v) / 2) ** 2))
+
+    good = [x for x in rows if x[1] is not None and x[1] == x[1]]
+    want = Counter(a[0] for a in good for b in good if None not in (a[0], b[0]) and a[0] != b[0] and far(a, b) <= 100)
+    got = {x["event_id"]: x["neighbours"] for x in geo.radius_counts(df, 100.0).collect()}
+    # A row without an id is nobody's neighbour in a join on different ids.
+    assert got == dict(want)
+    plan = registry.queries()["join_radius"](spark, "/root/testdata/sf0.001")._jdf.queryExecution().executedPlan().toString()
+    assert "FlatMapCoGroupsInArrow" in plan and "[cy" not in plan.split("FlatMapCoGroupsInArrow")[0]
