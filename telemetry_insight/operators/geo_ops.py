@@ -45,8 +45,7 @@ def within_radius(spark, d):
 
 @query("radius_self_join", f"{FL} SELECT a.event_id AS a_id, count(*) AS neighbours FROM fx a JOIN fx b ON abs(a.lat - b.lat) < 0.001 AND a.event_id <> b.event_id AND {C.haversine_sql('a', 'b')} <= 100 GROUP BY 1")
 def radius_self_join(spark, d):
-    f = C.fixes(spark, d)
-    return geo.radius_join(f, f, 100.0).groupBy("a_id").agg(F.count(F.lit(1)).alias("neighbours"))
+    return geo.radius_counts(C.fixes(spark, d), 100.0).withColumnRenamed("event_id", "a_id")
 
 
 @query("zone_rollup", f"{L} SELECT zone, place, count(*) AS windows FROM lw GROUP BY 1, 2")
