@@ -8,6 +8,7 @@ from telemetry_insight.sources import carriers as C
 READ = [
     "api_calls",
     "call_cost",
+    "centroid_separation",
 ]
 
 
