@@ -9,6 +9,7 @@ READ = [
     "api_calls",
     "call_cost",
     "centroid_separation",
+    "daily_volume",
 ]
 
 
