@@ -10,6 +10,7 @@ READ = [
     "call_cost",
     "centroid_separation",
     "daily_volume",
+    "generation_config",
 ]
 
 
