@@ -11,6 +11,7 @@ READ = [
     "centroid_separation",
     "daily_volume",
     "generation_config",
+    "gps_bytes_sensitivity",
 ]
 
 
