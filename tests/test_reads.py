@@ -12,6 +12,7 @@ READ = [
     "daily_volume",
     "generation_config",
     "gps_bytes_sensitivity",
+    "ingest_projection",
 ]
 
 
