@@ -13,6 +13,7 @@ READ = [
     "generation_config",
     "gps_bytes_sensitivity",
     "ingest_projection",
+    "intent_category",
 ]
 
 
