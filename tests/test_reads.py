@@ -14,6 +14,7 @@ READ = [
     "gps_bytes_sensitivity",
     "ingest_projection",
     "intent_category",
+    "intent_classify",
 ]
 
 
