@@ -15,6 +15,7 @@ READ = [
     "ingest_projection",
     "intent_category",
     "intent_classify",
+    "intent_scope",
 ]
 
 
