@@ -16,6 +16,7 @@ READ = [
     "intent_category",
     "intent_classify",
     "intent_scope",
+    "intent_unknown",
 ]
 
 
