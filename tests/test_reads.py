@@ -17,6 +17,7 @@ READ = [
     "intent_classify",
     "intent_scope",
     "intent_unknown",
+    "label_profiles",
 ]
 
 
