@@ -196,3 +196,22 @@ def test_neighbours_are_counted_without_pairs(spark, monkeypatch):
     assert got == dict(want)
     plan = registry.queries()["join_radius"](spark, "/root/testdata/sf0.001")._jdf.queryExecution().executedPlan().toString()
     assert "FlatMapCoGroupsInArrow" in plan and "[cy" not in plan.split("FlatMapCoGroupsInArrow")[0]
+
+
+def test_block_distances_by_tiles(monkeypatch):
+    """Two blocks, and a block with itself, whose ranks and tiles do not line up."""
+    import pyarrow as pa
+
+    monkeypatch.setattr(profile_ops, "_TILE", (3, 5))
+    r = random.Random(6)
+    x, y = ([{"event_id": e, "rank": r.choice([0, 1, 4]), "instability": r.random(), "extreme": 10 + r.random()} for e in ids] for ids in (range(23), range(100, 117)))
+    kind = pa.list_(pa.struct([("event_id", pa.int64()), ("rank", pa.int32()), ("instability", pa.float64()), ("extreme", pa.float64())]))
+    batch = pa.RecordBatch.from_arrays([pa.array([0, 0]), pa.array([1, 0]), pa.array([x, x], kind), pa.array([y, x], kind)], names=["x", "y", "x_rows", "y_rows"])
+    got = defaultdict(float)
+    for out in profile_ops._block_distances([batch]):
+        for o in out.to_pylist():
+            got[o["event_id"], o["rank"], o["o_rank"]] += o["far"]
+    want = defaultdict(float)
+    for a, b in [(a, b) for p, q in ((x, y), (y, x), (x, x)) for a in p for b in q]:
+        want[a["event_id"], a["rank"], b["rank"]] += math.hypot(a["instability"] - b["instability"], a["extreme"] - b["extreme"])
+    assert got.keys() == want.keys() and all(abs(got[k] - want[k]) < 1e-9 for k in want)
