@@ -139,6 +139,44 @@ def test_jaccard_join_of_a_large_group_over_small_blocks(spark, monkeypatch):
     assert {x["doc_id"]: x["component_id"] for x in got} == linked(rows)[1]
 
 
+def test_jaccard_join_candidates_do_not_grow_with_the_square_of_a_group(spark, monkeypatch):
+    """Texts of one base, most of them too far apart to link: candidate rows stay within a few times the texts, also in many blocks of a room."""
+    r, rows, stored, counts = random.Random(5), [], jaccard_join.common.stored, {}
+    for i in range(240):
+        w = [f"w{k}" for k in range(140)]
+        for at in r.sample(range(140), 2):
+            w[at] = f"x{r.randrange(100000)}"
+        rows.append((i, " ".join(w)))
+
+    def counted(session, df, name):
+        out = stored(session, df, name)
+        if name in ("near", "pairs"):
+            counts[name] = counts.get(name, 0) + out.count()
+        return out
+
+    monkeypatch.setattr(jaccard_join.common, "stored", counted)
+    monkeypatch.setattr(jaccard_join, "ROOM_ELEMENTS", 5000, raising=False)
+    got = jaccard_join.near_components(docs(spark, rows)).collect()
+    assert {x["doc_id"]: x["component_id"] for x in got} == linked(rows)[1]
+    assert counts["near"] + counts["pairs"] <= 10 * len(rows), counts
+
+
+def test_jaccard_forest_connects_the_same():
+    pairs = np.random.default_rng(1).integers(0, 60, (90, 2)) * 7 - 100
+    kept = jaccard_join.forest(pairs)
+
+    def roots(edges):
+        root = {int(x): int(x) for x in pairs.ravel()}
+        for _ in root:
+            for a, b in edges.tolist():
+                root[a] = root[b] = min(root[a], root[b])
+        return root
+
+    assert roots(kept) == roots(pairs)
+    assert len(kept) == len(roots(pairs)) - len(set(roots(pairs).values()))
+    assert len(jaccard_join.forest(pairs[:0])) == 0
+
+
 def test_jaccard_boundary_follows_costs():
     sizes = {10: 100, 50: 100, 150: 10}
     assert jaccard_join.choose_boundary(sizes, 0.0, 80) <= jaccard_join.choose_boundary(sizes, 50.0, 80)
