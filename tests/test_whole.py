@@ -6,11 +6,12 @@ import random
 from collections import Counter, defaultdict
 
 import numpy as np
+from pyspark.sql import functions as F
 
-from telemetry_insight.functions import edge, geo
+from telemetry_insight.functions import distances, edge, geo
 from telemetry_insight.functions import questions as Q
 from telemetry_insight.operators import profile_ops, registry, workload_ops
-from telemetry_insight.plans.store import labelled_windows
+from telemetry_insight.plans.store import labelled_windows, summaries
 from telemetry_insight.sources import carriers as C
 
 
@@ -100,6 +101,98 @@ def test_exact_silhouette_of_all_windows(spark, data, monkeypatch):
     assert got["points"] == len(w) and abs(got["silhouette"] - total / len(w)) < 2e-6
 
 
+def mean_silhouette(rows):
+    """Of (rank, a, b): mean over the rows that have one, by all pairs."""
+    size, values = Counter(r for r, *_ in rows), []
+    for rank, a, b in rows:
+        far = defaultdict(float)
+        for o, c, d in rows:
+            far[o] += math.hypot(a - c, b - d)
+        if size[rank] == 1:
+            values.append(0.0)
+        elif len(size) > 1:
+            own, other = far[rank] / (size[rank] - 1), min(far[o] / size[o] for o in size if o != rank)
+            values += [(other - own) / max(own, other)] if own or other else []
+    return sum(values) / len(values) if values else None
+
+
+def test_silhouette_of_dense_far_and_odd_places(spark, monkeypatch):
+    monkeypatch.setattr(profile_ops, "_BLOCK", 40)
+    g = np.random.default_rng(3)
+    base = [(int(x > 0) + 2 * int(y > 1), float(x), float(y)) for x, y in g.normal(0, 1, (500, 2))]
+    dense = [(2, 3 + float(x) * 1e-9, float(y) * 1e-9) for x, y in g.normal(0, 1, (150, 2))]
+    twins = [(i % 2, 0.25, -0.5) for i in range(90)]
+    cases = [base + dense + twins + [(4, -1e12, 3.0), (4, 1e13, 5.0), (9, 4.0, 4.0)], [(0, *x) for _, *x in base], twins, [(7, 1.0, 1.0)], [(i % 3, 0.0, 0.0) for i in range(9)], [(r, a * 1e-300, b * 1e-300) for r, a, b in base[:50]]]
+    for rows in cases[:-1]:
+        got = profile_ops.pairwise_silhouette(spark.createDataFrame(rows, "rank int, instability double, extreme double")).first()
+        want = mean_silhouette(rows)
+        assert got["points"] == len(rows) and (got["silhouette"] is None) == (want is None) and (want is None or abs(got["silhouette"] - want) < 2e-6)
+    unknown = [(base + [(1, x, 1.0), (1, 2.0, 2.0)], math.nan) for x in (math.nan, math.inf, None)] + [([], None), (cases[-1], None)]
+    for rows, want in unknown:
+        got = profile_ops.pairwise_silhouette(spark.createDataFrame(rows, "rank int, instability double, extreme double")).first()
+        assert got["points"] == len(rows) and (got["silhouette"] is None if want is None else math.isnan(got["silhouette"]))
+
+
+def test_distances_by_cells_are_those_of_all_pairs_without_making_them():
+    g = np.random.default_rng(5)
+    a = np.concatenate([g.exponential(1, 8000), g.normal(3, 1e-6, 2000), [-1e6, 1e6]])
+    b = np.concatenate([10 + a[:8000] + g.normal(0, 0.5, 8000), g.normal(-2, 1e-6, 2000), [5, -1e6]])
+    rank, n = g.integers(0, 3, len(a)), g.integers(1, 4, len(a))
+
+    def count(scale, kept, scale_kept):
+        ok = np.isin(np.floor(a * scale_kept) + 1j * np.floor(b * scale_kept), kept[0] + 1j * kept[1]) if kept else np.ones(len(a), bool)
+        cells, size = np.unique(np.floor(a[ok] * scale) + 1j * np.floor(b[ok] * scale), return_counts=True)
+        return cells.real.astype(np.int64), cells.imag.astype(np.int64), size
+
+    cells = distances.Cells((a.min(), b.min()), (a.max(), b.max()), 50, count)
+    leaf = cells.leaf_of(a, b)
+    assert (np.bincount(leaf, minlength=len(cells.leaves)) == cells.places).all() and cells.places.max() <= 50
+    order = np.lexsort((rank, leaf))
+    leaf, rank, a, b, n = (x[order] for x in (leaf, rank, a, b, n))
+    charges = []
+    for i, j in distances.runs(leaf * 3 + rank):
+        x, y = cells.inside(leaf[i], a[i:j], b[i:j])
+        charges.append((leaf[i], rank[i], (x * n[i:j, None]).T @ y))
+    cells.charge(*(np.array(x) for x in zip(*charges, strict=True)))
+    near, got = cells.near(), np.zeros((len(a), 3))
+    assert sum(cells.places[i] * cells.places[p:q].sum() for i, runs in enumerate(near) for p, q in runs) < 0.05 * len(a) ** 2
+    for at, total in distances.place_sums(leaf, rank, a, b, n, cells, near, range(len(near)), 3):
+        got[at] = total
+    some = g.permutation(len(a))[:500]
+    want = np.sqrt((a[some, None] - a) ** 2 + (b[some, None] - b) ** 2) @ (np.eye(3)[rank] * n[:, None])
+    assert (np.abs(got[some] - want) < 1e-11 * want).all()
+
+
+def test_nodes_stand_for_the_places_of_cells_that_do_not_touch():
+    t = np.linspace(-1, 1, 9)
+    x, y = (np.repeat(t, 9), np.tile(t, 9))
+    at = np.einsum("ni,nj->nij", distances.basis(x), distances.basis(y)).reshape(81, -1)
+    for dx, dy in ((2, 0), (0, -2), (2, 1), (-2, 2), (3, 3)):
+        far = np.hypot(x[:, None] - x - 2 * dx, y[:, None] - y - 2 * dy)
+        assert (np.abs(at @ distances._kernel(dx, dy) @ at.T - far) < 1e-10 * far).all()
+
+
+def test_windows_are_summarized_without_shuffling_samples(spark, tmp_path, data):
+    x = lambda n: F.pmod(F.xxhash64("event_id"), F.lit(n))
+    odd = C.table(spark, data, "events").withColumns({
+        "value": F.when(x(11) == 0, None).when(x(11) == 1, math.nan).when(x(11) == 2, math.inf).otherwise(F.col("value")),
+        "user_id": F.when(x(13) == 0, None).when(x(13) < 6, 1).otherwise(F.col("user_id")),
+        "ts": F.when(x(13) < 3, None).when(x(13) < 6, F.date_trunc("day", "ts").cast("timestamp_ntz")).otherwise(F.col("ts")),
+        "props": F.when(x(19) == 0, "{}").otherwise(F.col("props")),
+    })
+    odd.write.parquet(f"{tmp_path}/events.parquet")
+    last = (F.max("event_id").alias("event_id"), F.max_by("k", "event_id").alias("k"), F.max_by("event_type", "event_id").alias("event_type"))
+    for d in (data, str(tmp_path)):
+        want = edge.summarize(C.burst(spark, d), extra=last).withColumns(C.fix_columns())
+        got = summaries(spark, d)
+        assert got.columns == want.columns and "Generate" not in got._jdf.queryExecution().executedPlan().toString()
+        key = lambda r: (r["event_id"], str(r["win_start"]))
+        a, b = (sorted(t.collect(), key=key) for t in (got, want))
+        assert len(a) == len(b)
+        for u, v in zip(a, b, strict=True):
+            assert all(p == q or (math.isnan(p) and math.isnan(q)) or abs(p - q) <= 1e-12 * max(1, abs(q)) for p, q in zip(u, v, strict=True))
+
+
 def test_radius_join_of_all_fixes(spark, data):
     f = [(math.radians(r["lat"]), math.radians(r["lon"])) for r in C.fixes(spark, data).collect()]
     near = lambda a, b: 2 * 6371000 * math.asin(math.sqrt(math.sin((a[0] - b[0]) / 2) ** 2 + math.cos(a[0]) * math.cos(b[0]) * math.sin((a[1] - b[1]) / 2) ** 2)) <= 100
